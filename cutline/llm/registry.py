@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from . import sharding
+from . import mixing, sharding
 
 
 def queries() -> dict:
-    return {"op2_rendezvous": sharding.op2_rendezvous}
+    return {"op2_rendezvous": sharding.op2_rendezvous, "op3_entropy_mix": mixing.op3_entropy_mix}
 
 
 def oracle_sql() -> dict[str, str]:
