@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
-from . import mixing, sharding
+from . import line_dedup, mixing, sharding
 
 
 def queries() -> dict:
-    return {"op2_rendezvous": sharding.op2_rendezvous, "op3_entropy_mix": mixing.op3_entropy_mix}
+    return {
+        "op2_rendezvous": sharding.op2_rendezvous,
+        "op3_entropy_mix": mixing.op3_entropy_mix,
+        "op4_line_dedup": line_dedup.op4_line_dedup,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op4_line_dedup": line_dedup.OP4_SQL}
