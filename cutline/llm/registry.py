@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import line_dedup, mixing, sharding
+from . import line_dedup, mixing, packing, sharding
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op2_rendezvous": sharding.op2_rendezvous,
         "op3_entropy_mix": mixing.op3_entropy_mix,
         "op4_line_dedup": line_dedup.op4_line_dedup,
+        "op5_best_fit": packing.op5_best_fit,
     }
 
 
