@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import html_text, language, line_dedup, mixing, packing, sharding, toxicity
+from . import avi, html_text, language, line_dedup, mixing, packing, sharding, toxicity
 
 
 def queries() -> dict:
@@ -11,6 +11,7 @@ def queries() -> dict:
         "op3_entropy_mix": mixing.op3_entropy_mix,
         "op4_line_dedup": line_dedup.op4_line_dedup,
         "op5_best_fit": packing.op5_best_fit,
+        "op6_avi": avi.op6_avi,
         "op7_main_text": html_text.op7_main_text,
         "op8_toxicity": toxicity.op8_toxicity,
         "op10_language": language.op10_language,
