@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import avi, html_text, language, line_dedup, mixing, packing, sharding, toxicity
+from . import avi, html_text, language, line_dedup, mixing, packing, sharding, topk, toxicity
 
 
 def queries() -> dict:
     return {
+        "op1_maxscore": topk.op1_maxscore,
         "op2_rendezvous": sharding.op2_rendezvous,
         "op3_entropy_mix": mixing.op3_entropy_mix,
         "op4_line_dedup": line_dedup.op4_line_dedup,
@@ -19,4 +20,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_line_dedup": line_dedup.OP4_SQL}
+    return {"op1_maxscore": topk.OP1_SQL, "op4_line_dedup": line_dedup.OP4_SQL}
