@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import avi, html_text, language, line_dedup, mixing, packing, sharding, topk, toxicity
+from . import avi, html_text, language, line_dedup, mixing, near_dup, packing, sharding, topk, toxicity
 
 
 def queries() -> dict:
@@ -15,9 +15,10 @@ def queries() -> dict:
         "op6_avi": avi.op6_avi,
         "op7_main_text": html_text.op7_main_text,
         "op8_toxicity": toxicity.op8_toxicity,
+        "op9_jaccard": near_dup.op9_jaccard,
         "op10_language": language.op10_language,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_maxscore": topk.OP1_SQL, "op4_line_dedup": line_dedup.OP4_SQL}
+    return {"op1_maxscore": topk.OP1_SQL, "op4_line_dedup": line_dedup.OP4_SQL, "op9_jaccard": near_dup.OP9_SQL}
