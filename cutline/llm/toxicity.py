@@ -1,9 +1,9 @@
 """Toxicity: a linear classifier over character n-grams, features scaled by naive Bayes log-count ratios.
 
-Features are hashed character n-grams of a whole text, counted once per text. Over all labelled training rows the operator counts
-in how many toxic and clean texts each n-gram occurs, and takes r = ln of the ratio of the smoothed shares. The n-grams
+Features are hashed character n-grams of a whole text, counted once per text. Training takes at most about `sample` labelled rows, those
+with the smallest key hashes, and counts in how many toxic and clean texts each n-gram occurs, and takes r = ln of the ratio of the smoothed shares. The n-grams
 with the largest r * sqrt(support) in absolute value become the features, with value r where present. A logistic regression
-over these is fitted by Newton's method on at most `sample` labelled rows, those with the smallest key hashes.
+over these is fitted by Newton's method.
 
 Scoring looks each position's n-gram up in a table of weights; n-grams that are no feature weigh 0, so that only
 the few others are made distinct per text.
@@ -20,14 +20,18 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import table
+from .common import stored, table
 from .language import remainder
 from .ngrams import chunks, rolling, spans
 
 ORDERS = (3, 4, 5, 6)
 SLOTS = 1 << 20
-#: Labelled rows that the regression is fitted on at about the most; counts cover all labelled rows.
-SAMPLE = 20_000
+PART = 1 << 14
+#: Labelled rows that counts and regression are fitted on at about the most, those with the smallest key hashes; the only
+#: sample of this operator. All texts are scored.
+SAMPLE = 40_000
+#: Tasks that count the sample.
+COUNTERS = 16
 FEATURES = 4096
 
 
@@ -54,7 +58,7 @@ def features_of(column: pa.Array, wanted: np.ndarray | None = None):
 
 
 def count_features(labelled: DataFrame) -> tuple[np.ndarray, np.ndarray, int, int]:
-    """Clean and toxic texts that hold each slot, and numbers of clean and toxic texts. labelled: text, label (0 or 1)."""
+    """Clean and toxic texts that hold each slot, and numbers of clean and toxic texts. labelled: text, label (0 or 1), a bounded sample."""
 
     def count(batches):
         held, n = np.zeros((2, SLOTS), np.int32), np.zeros(2, np.int64)
@@ -65,21 +69,20 @@ def count_features(labelled: DataFrame) -> tuple[np.ndarray, np.ndarray, int, in
                 for label in (0, 1):
                     held[label] += np.bincount(slot[labels[at + row] == label], minlength=SLOTS).astype(np.int32)
         # a task's counts leave in parts, so that they are added up in parallel
-        for part in range(0, SLOTS, 1 << 14):
-            for label in (0, 1):
-                own = np.flatnonzero(held[label, part : part + (1 << 14)]) + part
-                if len(own):
-                    yield pa.RecordBatch.from_arrays([pa.array(own * 2 + label), pa.array(held[label, own].astype(np.int64))], ["at", "c"])
-        yield pa.RecordBatch.from_arrays([pa.array([-2, -1], pa.int64()), pa.array(n)], ["at", "c"])
-
-    got = labelled.select("text", "label").mapInArrow(count, "at long, c long").groupBy("at").agg(F.sum("c").alias("c"))
-    # a slot that only one text holds can't become a feature and stays on the executors
-    rows = got.filter("c >= 2 or at < 0").toPandas()
-    counts = np.zeros(2 * SLOTS, np.int64)
-    own = rows["at"].to_numpy(np.int64) >= 0
-    counts[rows["at"][own].to_numpy(np.int64)] = rows["c"][own]
-    n = {int(a): int(c) for a, c in zip(rows["at"][~own], rows["c"][~own], strict=True)}
-    return counts[0::2], counts[1::2], n.get(-2, 0), n.get(-1, 0)
+        for label in (0, 1):
+            blobs = [held[label, part : part + PART].tobytes() for part in range(0, SLOTS, PART)]
+            yield pa.RecordBatch.from_arrays([pa.array([label] * len(blobs), pa.int32()), pa.array(range(len(blobs)), pa.int32()), pa.array(blobs, pa.binary()), pa.array([int(n[label])] * len(blobs), pa.int64())], ["label", "part", "counts", "n"])
+
+    def add(t: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(b, np.int32).astype(np.int64) for b in t.column("counts").to_pylist())
+        return pa.table({"label": t.column("label").slice(0, 1), "part": t.column("part").slice(0, 1), "counts": pa.array([total.astype(np.int32).tobytes()], pa.binary()), "n": pa.array([sum(t.column("n").to_pylist())], pa.int64())})
+
+    schema = "label int, part int, counts binary, n long"
+    counts, n = np.zeros((2, SLOTS), np.int64), [0, 0]
+    for r in labelled.select("text", "label").repartition(COUNTERS).mapInArrow(count, schema).groupBy("label", "part").applyInArrow(add, schema).collect():
+        counts[r.label, r.part * PART : (r.part + 1) * PART] = np.frombuffer(r.counts, np.int32)
+        n[r.label] = r.n
+    return counts[0], counts[1], *n
 
 
 class Model:
@@ -134,8 +137,10 @@ def fit(x_rows: np.ndarray, x_cols: np.ndarray, values: np.ndarray, y: np.ndarra
     return w, b
 
 
-def train(labelled: DataFrame, features: int = FEATURES, sample: int = SAMPLE, penalty: float = 1.0, alpha: float = 1.0) -> Model:
-    """labelled: key, text, label (0 or 1)."""
+def train(labelled: DataFrame, rows: int, features: int = FEATURES, sample: int = SAMPLE, penalty: float = 1.0, alpha: float = 1.0) -> Model:
+    """labelled: key, text, label (0 or 1), about `rows` of them."""
+    place = F.pmod(F.xxhash64(F.col("key").cast("string")), F.lit(1 << 20)) / float(1 << 20)
+    labelled = stored(labelled.filter(place < min(1.0, sample / max(1, rows))).select("text", "label"), "labelled")
     clean, toxic, n0, n1 = count_features(labelled)
     weights = np.zeros(SLOTS)
     if not n0 or not n1:
@@ -149,7 +154,6 @@ def train(labelled: DataFrame, features: int = FEATURES, sample: int = SAMPLE, p
     column_of = np.full(SLOTS, -1, np.int64)
     column_of[chosen] = np.arange(len(chosen))
     wanted = column_of >= 0
-    share = F.pmod(F.xxhash64(F.col("key").cast("string")), F.lit(1 << 20)) / float(1 << 20)
     held = labelled.sparkSession.sparkContext.broadcast(wanted)
 
     def sparse(batches):
@@ -157,11 +161,11 @@ def train(labelled: DataFrame, features: int = FEATURES, sample: int = SAMPLE, p
             labels = batch.column("label").to_numpy(zero_copy_only=False)
             for at, n, row, slot in features_of(batch.column("text"), held.value):
                 ends = np.searchsorted(row, np.arange(n + 1))
-                yield pa.RecordBatch.from_arrays([pa.array(labels[at : at + n].astype(np.int32)), pa.array([slot[ends[i] : ends[i + 1]].astype(np.int32).tolist() for i in range(n)], pa.list_(pa.int32()))], ["y", "slots"])
+                yield pa.RecordBatch.from_arrays([pa.array(labels[at : at + n].astype(np.int32)), pa.array([slot[ends[i] : ends[i + 1]].astype(np.int32).tobytes() for i in range(n)], pa.binary())], ["y", "slots"])
 
-    rows = labelled.filter(share < min(1.0, sample / (n0 + n1))).select("text", "label").mapInArrow(sparse, "y int, slots array<int>").toPandas()
-    lengths = rows.slots.map(len).to_numpy() if len(rows) else np.zeros(0, int)
-    cols = column_of[np.concatenate([np.zeros(0, int), *rows.slots]).astype(np.int64)]
+    rows = labelled.mapInArrow(sparse, "y int, slots binary").toPandas()
+    lengths = rows.slots.map(len).to_numpy() // 4
+    cols = column_of[np.frombuffer(b"".join(rows.slots), np.int32)]
     # values are the log-count ratios, so the fitted weight is multiplied by them
     w, b = fit(np.repeat(np.arange(len(rows)), lengths), cols, ratio[chosen], rows.y.to_numpy(float), len(chosen), penalty)
     weights[chosen] = w * ratio[chosen]
@@ -187,4 +191,4 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     held_out = F.coalesce(remainder(F.col("doc_id"), 5) == 0, F.lit(False))
     labels = table(spark, sf_dir, "labels").filter(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out)
     labelled = docs.filter(~held_out).join(labels.select("doc_id", "toxic"), "doc_id").select(F.col("doc_id").alias("key"), F.coalesce("text", F.lit("")).alias("text"), F.col("toxic").alias("label"))
-    return predict(docs, train(labelled)).select("doc_id", held_out.alias("held_out"), "score", "predicted")
+    return predict(docs, train(labelled, labels.count())).select("doc_id", held_out.alias("held_out"), "score", "predicted")
