@@ -38,6 +38,14 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def discard(df: DataFrame) -> None:
+    """Removes the files of a stored table that nothing reads any more."""
+    jvm = df.sparkSession._jvm
+    for file in {f.rpartition("/")[0] for f in df.inputFiles()}:
+        path = jvm.org.apache.hadoop.fs.Path(file)
+        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
 def text_key(col: Column) -> Column:
     """A key as text; null and the empty text have keys of their own."""
     return F.coalesce(F.concat(F.lit("k"), col.cast("string")), F.lit("n"))

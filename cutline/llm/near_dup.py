@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import stored, table
+from .common import discard, stored, table
 from .shingles import sets, signature
 
 #: Similarity as a fraction: 75 / 100.
@@ -38,6 +38,8 @@ FREQUENT, MAX_FREQUENT = 16, 500_000
 LONG = 64
 MOST_MATCHES = 4
 CHECK_COST = 20.0
+#: Sets of candidate pairs whose ids a broadcast may hold (about 40 bytes each); beyond it their texts are found by a shuffled join.
+BROADCAST_SETS = 1_000_000
 #: Size classes of the join within long lists: ratio of successive bounds.
 CLASS_RATIO = 1.05
 
@@ -242,7 +244,7 @@ def _competing(a: Column, b: Column) -> Column:
 def verified(pairs: DataFrame, docs: DataFrame, described: DataFrame, key: str, text: str) -> DataFrame:
     """The pairs (a, b) whose whole sets have the wanted similarity."""
     needed = pairs.select(F.col("a").alias("rid")).union(pairs.select("b")).distinct()
-    reps = described.join(needed, "rid").groupBy("rid").agg(F.min("key").alias("rep"))
+    reps = stored(described.join(needed, "rid").groupBy("rid").agg(F.min("key").alias("r")), "pair-docs")
 
     def shingled(batches):
         for batch in batches:
@@ -253,7 +255,7 @@ def verified(pairs: DataFrame, docs: DataFrame, described: DataFrame, key: str,
                     blobs.append(s.tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(rids, pa.int64()), pa.array(blobs, pa.binary())], ["rid", "s"])
 
-    texts = docs.select(F.col(key).alias("rep"), F.col(text).cast("string").alias("t")).join(reps.withColumnRenamed("rep", "r"), F.col("rep").eqNullSafe(F.col("r")))
+    texts = docs.select(F.col(key).alias("rep"), F.col(text).cast("string").alias("t")).join(F.broadcast(reps) if reps.count() <= BROADCAST_SETS else reps, F.col("rep").eqNullSafe(F.col("r")))
     whole = stored(texts.select("t", "rid").mapInArrow(shingled, "rid long, s binary"), "pair-sets")
 
     def check(batches):
@@ -269,7 +271,9 @@ def verified(pairs: DataFrame, docs: DataFrame, described: DataFrame, key: str,
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     side = lambda c: whole.select(F.col("rid").alias(c), F.col("s").alias(f"s{c}"))
-    return stored(pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").mapInArrow(check, "a long, b long"), "links")
+    links = stored(pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").mapInArrow(check, "a long, b long"), "links")
+    discard(whole)
+    return links
 
 
 def components(links: DataFrame) -> DataFrame:
