@@ -8,11 +8,13 @@ is the total length of its prefix's lists plus the candidates that can match L t
 two documents, within the prefixes that its own two sizes give.
 
 1. One pass gives each text's set size and signature; equal sets are one *set* from here on. It also finds the corpus' frequent shingles.
-2. Each set's prefix is dealt by shingle. Short lists give all their pairs at once. In long lists only one hub, the set with the
+2. Each set's prefix is dealt by shingle. Short lists give all their pairs at once, with their matches. As the prefixes are long enough
+   for the most unequal sizes, a pair of similar sizes can be held to the larger L that both whole prefixes allow: its matches in
+   short lists, and as many more as the two have shingles in long lists, must reach it. In long lists only one hub, the set with the
    smallest part of rare shingles, is paired with the others, in one streaming pass.
 3. Pairs are checked exactly on whole texts, and links are contracted to components.
-4. In long lists, sets outside the list's largest component are paired with the sets of other components, by size class. Their
-   matches are added up, and pairs with enough of them are checked as well. Sets of one component need no further check, so
+4. In long lists, sets outside the list's largest component are paired with the sets of other components, by size class, where one
+   of their first shingles meets (L = 1: longer prefixes would meet everywhere in such lists), and are checked as well. Sets of one component need no further check, so
    a group of copies never gives all its pairs; no link between different components is lost.
 
 Defined results: null and empty texts have empty sets and link with nothing; exact copies, repeated rows and texts with equal sets share a component;
@@ -35,7 +37,7 @@ NUMERATOR, DENOMINATOR = 75, 100
 #: The order only decides how many candidates there are, never which links are found.
 FREQUENT, MAX_FREQUENT = 16, 500_000
 #: Lists of more sets than this are long.
-LONG = 64
+LONG = 16
 MOST_MATCHES = 4
 CHECK_COST = 20.0
 #: Sets of candidate pairs whose ids a broadcast may hold (about 40 bytes each); beyond it their texts are found by a shuffled join.
@@ -145,17 +147,32 @@ def competing(meta_a, meta_b) -> np.ndarray:
     return (DENOMINATOR * np.minimum(na, nb) >= NUMERATOR * np.maximum(na, nb)) & (pa_ <= na - req + spare) & (pb <= nb - req + spare)
 
 
+def most_matches(meta_a, meta_b) -> np.ndarray:
+    """The largest L that both whole prefixes allow for pairs of these sizes."""
+    (na, _, la), (nb, _, lb) = _parts(meta_a), _parts(meta_b)
+    req = required(na, nb)
+    least = lambda n: -(-(NUMERATOR * n) // DENOMINATOR)
+    return np.minimum(la + req - least(na), lb + req - least(nb))
+
+
+def within(meta_a, meta_b) -> np.ndarray:
+    """Whether matches at these positions count towards `most_matches`."""
+    (na, pa_, _), (nb, pb, _) = _parts(meta_a), _parts(meta_b)
+    req, spare = required(na, nb), most_matches(meta_a, meta_b) - 1
+    return (DENOMINATOR * np.minimum(na, nb) >= NUMERATOR * np.maximum(na, nb)) & (pa_ <= na - req + spare) & (pb <= nb - req + spare)
+
+
 def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
-    """Rows (pair): a, b, meta_a, meta_b, c matches of short lists' pairs; rows (not pair): token, set a and hub b of long lists."""
+    """Rows (pair): a, b, meta_a, meta_b, c and every matches of short lists' pairs (within the chosen L, within the largest); rows (not pair): token, set a and hub b of long lists."""
 
     def run(batches):
-        names = ["pair", "token", "a", "meta_a", "b", "meta_b", "c"]
+        names = ["pair", "token", "a", "meta_a", "b", "meta_b", "c", "every"]
         rest = None  # the rows of the last token so far, if its list is short so far
         hub = None  # token, rid, meta of the long list at hand
 
         def listed(token, rid, meta, lead_rid, lead_meta):
             n = len(rid)
-            return pa.RecordBatch.from_arrays([pa.array(np.zeros(n, bool)), pa.array(token), pa.array(rid), pa.array(meta), pa.array(lead_rid), pa.array(lead_meta), pa.array(np.zeros(n, np.int64))], names)
+            return pa.RecordBatch.from_arrays([pa.array(np.zeros(n, bool)), pa.array(token), pa.array(rid), pa.array(meta), pa.array(lead_rid), pa.array(lead_meta), pa.array(np.zeros(n, np.int64)), pa.array(np.zeros(n, np.int64))], names)
 
         def paired(rid, meta, starts, lengths):
             found = []
@@ -167,7 +184,7 @@ def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
                 for part in range(0, len(base), max(1, 400_000 // len(i))):
                     own = base[part : part + max(1, 400_000 // len(i))]
                     x, y = (own[:, None] + i).ravel(), (own[:, None] + j).ravel()
-                    good = competing(meta[x], meta[y])
+                    good = within(meta[x], meta[y])
                     x, y = x[good], y[good]
                     swap = rid[x] > rid[y]
                     found.append(np.where(swap, y, x) * np.int64(len(rid)) + np.where(swap, x, y))
@@ -175,8 +192,10 @@ def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
             x, y = pairs // max(1, len(rid)), pairs % max(1, len(rid))
             key = np.empty(len(x), [("a", np.int64), ("b", np.int64)])
             key["a"], key["b"] = rid[x], rid[y]
-            u, first, c = np.unique(key, return_index=True, return_counts=True)
-            return pa.RecordBatch.from_arrays([pa.array(np.ones(len(u), bool)), pa.array(np.zeros(len(u), np.int64)), pa.array(u["a"].copy()), pa.array(meta[x[first]]), pa.array(u["b"].copy()), pa.array(meta[y[first]]), pa.array(c.astype(np.int64))], names)
+            u, first, at = np.unique(key, return_index=True, return_inverse=True)
+            every = np.bincount(at.ravel(), minlength=len(u)).astype(np.int64)
+            c = np.bincount(at.ravel(), competing(meta[x], meta[y]), len(u)).astype(np.int64)
+            return pa.RecordBatch.from_arrays([pa.array(np.ones(len(u), bool)), pa.array(np.zeros(len(u), np.int64)), pa.array(u["a"].copy()), pa.array(meta[x[first]]), pa.array(u["b"].copy()), pa.array(meta[y[first]]), pa.array(c), pa.array(every)], names)
 
         def process(token, meta, rid, final):
             nonlocal rest, hub
@@ -222,7 +241,7 @@ def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
             yield from process(*last, True)
 
     dealt = posts.repartition("token").sortWithinPartitions("token", "meta", "rid")
-    return dealt.mapInArrow(run, "pair boolean, token long, a long, meta_a long, b long, meta_b long, c long")
+    return dealt.mapInArrow(run, "pair boolean, token long, a long, meta_a long, b long, meta_b long, c long, every long")
 
 
 def _field(meta: Column, shift: int, bits: int) -> Column:
@@ -234,11 +253,10 @@ def _size(meta: Column) -> Column:
 
 
 def _competing(a: Column, b: Column) -> Column:
-    """As `competing`, for columns."""
+    """Whether matches at these positions are within the prefixes for one match (L = 1)."""
     na, nb = _size(a), _size(b)
     req = F.ceil((na + nb) * NUMERATOR / (NUMERATOR + DENOMINATOR))
-    spare = F.least(_field(a, 0, _L), _field(b, 0, _L)) - 1
-    return (F.least(na, nb) * DENOMINATOR >= F.greatest(na, nb) * NUMERATOR) & (_field(a, _L, _POS) <= na - req + spare) & (_field(b, _L, _POS) <= nb - req + spare)
+    return (F.least(na, nb) * DENOMINATOR >= F.greatest(na, nb) * NUMERATOR) & (_field(a, _L, _POS) <= na - req) & (_field(b, _L, _POS) <= nb - req)
 
 
 def verified(pairs: DataFrame, docs: DataFrame, described: DataFrame, key: str, text: str) -> DataFrame:
@@ -291,7 +309,7 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def _cross(listed: DataFrame, labels: DataFrame) -> DataFrame:
-    """a, b, meta_a, meta_b: matches in long lists between sets of different components."""
+    """a, b: pairs of sets of different components that share one of their first shingles in a long list."""
     known = listed.select("token", F.col("a").alias("rid"), F.col("meta_a").alias("meta")).join(labels, "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
     known = stored(known.withColumn("class", F.floor(F.log(_size(F.col("meta")).cast("double")) / float(np.log(CLASS_RATIO))).cast("int")), "long-lists")
     most = known.groupBy("token", "comp").agg(F.count("*").alias("n")).groupBy("token").agg(F.max(F.struct("n", "comp"))["comp"].alias("most"), F.count("*").alias("comps")).filter("comps > 1")
@@ -301,9 +319,7 @@ def _cross(listed: DataFrame, labels: DataFrame) -> DataFrame:
     other = known.select("token", "class", F.col("rid").alias("y"), F.col("meta").alias("my"), F.col("comp").alias("cy"))
     # of two minor sets each finds the other; the smaller id speaks
     met = probe.join(other, ["token", "class"]).filter((F.col("cx") != F.col("cy")) & ((F.col("cy") == F.col("most")) | (F.col("x") < F.col("y"))) & _competing(F.col("mx"), F.col("my")))
-    first = F.col("x") < F.col("y")
-    pick = lambda a, b: F.when(first, F.col(a)).otherwise(F.col(b))
-    return met.select(pick("x", "y").alias("a"), pick("y", "x").alias("b"), pick("mx", "my").alias("meta_a"), pick("my", "mx").alias("meta_b"))
+    return met.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", long: int = LONG) -> DataFrame:
@@ -311,15 +327,18 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", lo
     described, frequent, counts = describe_docs(docs, key, text)
     found = stored(candidates(postings(docs, text, frequent, counts), long), "candidates")
     enough = F.least(_field(F.col("meta_a"), 0, _L), _field(F.col("meta_b"), 0, _L))
-    short = stored(found.filter("pair").groupBy("a", "b").agg(F.sum("c").alias("c"), F.first("meta_a").alias("meta_a"), F.first("meta_b").alias("meta_b")).select("a", "b", "c", enough.alias("enough")), "short-pairs")
+    each = found.filter("pair").groupBy("a", "b").agg(*[F.sum(c).alias(c) for c in ("c", "every")], *[F.first(c).alias(c) for c in ("meta_a", "meta_b")])
     listed = found.filter("not pair")
+    in_long = lambda c: listed.groupBy(F.col("a").alias(c)).agg(F.count("*").alias(f"in_{c}"))
+    more = F.least(F.coalesce("in_a", F.lit(0)), F.coalesce("in_b", F.lit(0)))
+    most = F.least(*[_field(F.col(m), 0, _L) - F.ceil(_size(F.col(m)) * NUMERATOR / DENOMINATOR) for m in ("meta_a", "meta_b")]) + F.ceil((_size(F.col("meta_a")) + _size(F.col("meta_b"))) * NUMERATOR / (NUMERATOR + DENOMINATOR))
+    short = each.join(in_long("a"), "a", "left").join(in_long("b"), "b", "left").filter((F.col("c") >= 1) & (F.col("c") + more >= enough) & (F.col("every") + more >= most))
     hubs = listed.filter((F.col("a") != F.col("b")) & _competing(F.col("meta_a"), F.col("meta_b"))).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    first = stored(short.filter("c >= enough").select("a", "b").union(hubs).distinct(), "pairs")
+    first = stored(short.select("a", "b").union(hubs).distinct(), "pairs")
     links = verified(first, docs, described, key, text)
     labels = components(links)
     if not listed.isEmpty():
-        rest = short.filter("c < enough").unionByName(_cross(listed, labels).groupBy("a", "b").agg(F.count("*").alias("c"), F.first("meta_a").alias("meta_a"), F.first("meta_b").alias("meta_b")).select("a", "b", "c", enough.alias("enough")))
-        second = rest.groupBy("a", "b").agg(F.sum("c").alias("c"), F.max("enough").alias("enough")).filter("c >= enough").join(first, ["a", "b"], "left_anti")
+        second = _cross(listed, labels).join(first, ["a", "b"], "left_anti")
         # what the first links have joined needs no check
         of = lambda c: labels.select(F.col("rid").alias(c), F.col("comp").alias(f"comp_{c}"))
         second = second.join(of("a"), "a", "left").join(of("b"), "b", "left").filter(F.coalesce("comp_a", "a") != F.coalesce("comp_b", "b"))
