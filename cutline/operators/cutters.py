@@ -73,6 +73,8 @@ def wide_cuts(g: Graph, params: SweepParams, budget: int = 8) -> DataFrame:
             own.number = k
             found = kernel.interleave([own], most_cut=limit)
             rows = _rows(cell, f"SP{params.q}", kg, found, own.units, False)
+            if not found:  # no cut within the budget: a row that keeps the cutter in the run
+                rows = pd.DataFrame([(cell, f"SP{params.q}", k, 0, 0, 0, kg.n, "", "", None, own.units)], columns=rows.columns)
             return rows.assign(rule=np.where(rows.index == len(rows) - 1, "over" if own.done else "open", rows.rule))
 
         here = nodes if waiting is None else nodes.join(F.broadcast(waiting), ["cell_id", "k"], "left_semi")

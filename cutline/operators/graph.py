@@ -99,8 +99,25 @@ def component_rounds(g: Graph) -> DataFrame:
     return g.nodes.select("node_id").join(label.withColumnRenamed("u", "node_id"), "node_id", "left").select("node_id", F.coalesce("component_id", "node_id").alias("component_id"))
 
 
-def hop_dist(g: Graph, seeds: DataFrame) -> DataFrame:
-    """node_id, dist from the nearest seed; a level is one join of the frontier."""
+def hop_dist(g: Graph, seeds: DataFrame, local_arcs: int = LOCAL_ARCS) -> DataFrame:
+    """node_id, dist from the nearest seed, of the nodes that are reached; in one task if the edges' count allows it."""
+    from ..functions.flow import Net
+
+    edges = kept(g.edges.select("u", "v"), "edges")
+    if edges.count() > local_arcs:
+        return hop_rounds(Graph(g.nodes, edges), seeds)
+
+    def run(e: pd.DataFrame, s: pd.DataFrame) -> pd.DataFrame:
+        ids = np.unique(np.concatenate([e[["u", "v"]].to_numpy(np.int64).ravel(), s.node_id.to_numpy(np.int64)]))
+        far = np.array(Net.undirected(len(ids), *(np.searchsorted(ids, e[c].to_numpy(np.int64)) for c in ("u", "v"))).hops(np.unique(np.searchsorted(ids, s.node_id)).tolist()), np.int64)
+        return pd.DataFrame({"node_id": ids[far < len(ids)], "dist": far[far < len(ids)]})
+
+    one = lambda df: df.withColumn("all", F.lit(0)).groupBy("all")
+    return one(edges).cogroup(one(seeds.select("node_id").distinct())).applyInPandas(lambda e, s: run(e, s), "node_id long, dist long")
+
+
+def hop_rounds(g: Graph, seeds: DataFrame) -> DataFrame:
+    """As `hop_dist`, for graphs that no task can hold: a level is one join of the frontier."""
     arcs = to_arcs(g.edges)
     seen = kept(seeds.select("node_id", F.lit(0).cast("long").alias("dist")).distinct(), "bfs")
     front, d = seen, 0

@@ -96,6 +96,14 @@ def bfs_part(spark, sf_dir):
     return ops.hop_dist(g, g.edges.agg(F.min("u").alias("node_id")))
 
 
+@query("bfs_rounds_supp", f"""with recursive e as ({SUPP}), a as ({ARCS}), d(node_id, dist) using key (node_id) as (select cast(0 as bigint), cast(0 as bigint)
+    union select a.dst, min(d.dist + 1) from d join a on a.src = d.node_id left join recurring.d r on r.node_id = a.dst where r.dist is null group by a.dst) select node_id, dist from d""")
+def bfs_rounds_supp(spark, sf_dir):
+    """The distributed search, one join a level."""
+    g = graphs.graph(spark, sf_dir, "supp")
+    return ops.hop_rounds(g, g.nodes.filter("node_id = 0"))
+
+
 @query("bicomp_sizes", zeros(["edges_once", "numbers_gapless"], f"select count(*) from ({SUPP}) e"))
 def bicomp_sizes(spark, sf_dir):
     """Each edge has one biconnected component, and components are numbered without gaps."""

@@ -213,26 +213,15 @@ def udtf_steps(spark, sf_dir):
 @query("udf_project", "select vec_id as node_id, cast(round(cast(embedding[1] as double) * 10000) as bigint) * 923880 + cast(round(cast(embedding[2] as double) * 10000) as bigint) * 382683 as key from embeddings")
 def udf_project(spark, sf_dir):
     """The projection as a pandas UDF, to compare with the native one."""
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
-
+    from ..functions.udfs import projector
     from ..sources import graphs
 
-    @pandas_udf("long")
-    def project(x: pd.Series, y: pd.Series) -> pd.Series:
-        return x * 923880 + y * 382683
-
-    return graphs.nodes(spark, sf_dir, "emb").select("node_id", project("x", "y").alias("key"))
+    return graphs.nodes(spark, sf_dir, "emb").select("node_id", projector(923880, 382683)("x", "y").alias("key"))
 
 
 @query("udaf_expansion", "select c_nationkey, round(min(cast(c_custkey as double) / (1 + c_nationkey)), 6) as least from customer group by 1")
 def udaf_expansion(spark, sf_dir):
     """A grouped-aggregate pandas UDF for the least expansion of size and block."""
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
-
-    @pandas_udf("double")
-    def least(size: pd.Series, small: pd.Series) -> float:
-        return round(float((size / small).min()), 6)
+    from ..functions.udfs import least_expansion
 
-    return read(spark, sf_dir, "customer").groupBy("c_nationkey").agg(least(F.col("c_custkey").cast("double"), (F.col("c_nationkey") + 1).cast("double")).alias("least"))
+    return read(spark, sf_dir, "customer").groupBy("c_nationkey").agg(least_expansion(F.col("c_custkey").cast("double"), (F.col("c_nationkey") + 1).cast("double")).alias("least"))
