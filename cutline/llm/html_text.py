@@ -50,6 +50,7 @@ WORDS = frozenset("ad ads adv advert adverts advertisement advertising banner pr
 _TOKEN = re.compile(rf"<!--.*?(?:-->|\Z)|<({'|'.join(RAW)})\b[^>]*>.*?(?:</\1\s*>|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)(?:>|\Z)|<[!?/][^>]*(?:>|\Z)|[^<]+|<", re.S | re.I)
 _ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _HOST = re.compile(r"^(?:[a-zA-Z][a-zA-Z0-9+.-]*:)?//(?:[^/?#@]*@)?([^/?#:]*)")
+_NAME = re.compile(r"[^.#]*")
 _SPLIT = re.compile(r"[^a-z0-9]+")
 
 
@@ -249,16 +250,17 @@ def low_branches(tree: DataFrame, threshold: float = THRESHOLD, damping: float =
             worth[path] = 0.0 if r.furniture else max((1 - share) * r.own + share * mean, 0.0)
             text = r.content if r.content is not None and not math.isnan(r.content) else 0.0
             best[path] = 0.0 if r.furniture else max([worth[path], text, *(best[c] for c in children.get(path, ()))])
-        low = sorted(p for p, w in best.items() if w < threshold and own[p].pages > 1)
+        # emphasis and links within a text stay with it
+        low = sorted(p for p, w in best.items() if w < threshold and own[p].pages > 1 and _NAME.match(p.rpartition("/")[2])[0] not in INLINE)
         return pd.DataFrame({"host": nodes.host.iloc[:1], "low": [low]})
 
     return tree.groupBy("host").applyInPandas(judge, "host string, low array<string>").filter(F.size("low") > 0)
 
 
 def extract(pages: DataFrame, url: str = "url", page: str = "html", threshold: float = THRESHOLD) -> DataFrame:
-    """pages with text and n_chars."""
+    """pages with text and n_chars; columns of these names are replaced."""
     low = stored(low_branches(style_tree(pages, url, page), threshold), "low-branches")
-    names = pages.columns
+    names = [c for c in pages.columns if c not in ("text", "n_chars")]
     host = F.lower(F.coalesce(F.regexp_extract(F.col(url).cast("string"), _HOST.pattern, 1), F.lit("")))
     packed = pages.select(F.struct(*names).alias("row"), F.col(page).cast("string").alias("page"), host.alias("host"))
     small = (low.agg(F.sum(F.size("low"))).first()[0] or 0) <= BROADCAST_PATHS

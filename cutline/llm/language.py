@@ -139,7 +139,8 @@ def train(rows: DataFrame, ratio: float = 0.35, sample: int = SAMPLE_PER_LANGUAG
 
 
 def predict(docs: DataFrame, filters: Filters, text: str = "text") -> DataFrame:
-    """docs with lang_pred and score."""
+    """docs with lang_pred and score; columns of these names are replaced."""
+    docs = docs.drop("lang_pred", "score")
     held = docs.sparkSession.sparkContext.broadcast(filters)
     names = docs.columns
     from pyspark.sql import types as T

@@ -175,9 +175,9 @@ def apply_changes(counts: DataFrame | None, inserted: DataFrame | None = None, d
 
 
 def drop_frequent(docs: DataFrame, counts: DataFrame, min_docs: int, text: str = "text", broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
-    """docs with n_lines, n_dropped and kept: the text without lines whose key has a count of min_docs or more."""
+    """docs with n_lines, n_dropped and kept (columns of these names are replaced): the text without lines whose key has a count of min_docs or more."""
     frequent = stored(counts.filter(F.col("n") >= min_docs).select("h1", "h2"), "line-keys")
-    inner = docs.select(F.struct(*docs.columns).alias("row"), F.col(text).alias("t"))
+    inner = docs.select(F.struct(*[c for c in docs.columns if c not in ("n_lines", "n_dropped", "kept")]).alias("row"), F.col(text).alias("t"))
     n = frequent.count()
     decided = _by_broadcast(inner, frequent) if n <= broadcast_keys else _by_shuffle(inner, frequent)
     return decided.select("row.*", *[F.col(c) for c in ("n_lines", "n_dropped", "kept")])

@@ -114,7 +114,7 @@ def copies_per_cell(cells: DataFrame, targets: DataFrame, multipliers: DataFrame
     rising = Window.partitionBy("source").orderBy("size").rowsBetween(Window.unboundedPreceding, -1)
     roomy = lacking.withColumn("room", F.when(F.col("size") > 0, room).otherwise(0)).withColumn("before", F.coalesce(F.sum(F.col("room") * F.col("size")).over(rising), F.lit(0)))
     left = F.greatest(F.lit(0), F.abs("missing") - F.col("before"))
-    more = F.when(F.col("size") > 0, F.least(F.col("room"), F.floor(left / F.col("size")).cast("long"))).otherwise(0)
+    more = F.when(F.col("size") > 0, F.least(F.col("room"), F.round(left / F.col("size")).cast("long"))).otherwise(0)
     return roomy.select("source", "size", "n", (F.col("copies") + F.signum(F.col("missing").cast("double")).cast("long") * more).alias("copies"))
 
 

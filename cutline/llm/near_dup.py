@@ -309,7 +309,7 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def _cross(listed: DataFrame, labels: DataFrame) -> DataFrame:
-    """a, b: pairs of sets of different components that share one of their first shingles in a long list."""
+    """a, b, meta_a, meta_b: pairs of sets of different components that share one of their first shingles in a long list."""
     known = listed.select("token", F.col("a").alias("rid"), F.col("meta_a").alias("meta")).join(labels, "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
     known = stored(known.withColumn("class", F.floor(F.log(_size(F.col("meta")).cast("double")) / float(np.log(CLASS_RATIO))).cast("int")), "long-lists")
     most = known.groupBy("token", "comp").agg(F.count("*").alias("n")).groupBy("token").agg(F.max(F.struct("n", "comp"))["comp"].alias("most"), F.count("*").alias("comps")).filter("comps > 1")
@@ -319,26 +319,46 @@ def _cross(listed: DataFrame, labels: DataFrame) -> DataFrame:
     other = known.select("token", "class", F.col("rid").alias("y"), F.col("meta").alias("my"), F.col("comp").alias("cy"))
     # of two minor sets each finds the other; the smaller id speaks
     met = probe.join(other, ["token", "class"]).filter((F.col("cx") != F.col("cy")) & ((F.col("cy") == F.col("most")) | (F.col("x") < F.col("y"))) & _competing(F.col("mx"), F.col("my")))
-    return met.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    first = F.col("x") < F.col("y")
+    pick = lambda a, b: F.when(first, F.col(a)).otherwise(F.col(b))
+    both = met.select(pick("x", "y").alias("a"), pick("y", "x").alias("b"), pick("mx", "my").alias("meta_a"), pick("my", "mx").alias("meta_b"))
+    return both.groupBy("a", "b").agg(*[F.first(c).alias(c) for c in ("meta_a", "meta_b")])
+
+
+def _reachable(pairs: DataFrame, in_long: DataFrame) -> DataFrame:
+    """Pairs whose matches can still reach what their chosen L and the largest L ask for: those counted in short lists, and no more
+    in long lists than either set has shingles there. c and every null: no match in short lists.
+
+    pairs: a, b, meta_a, meta_b, c, every. in_long: rid, n."""
+    of = lambda c: in_long.select(F.col("rid").alias(c), F.col("n").alias(f"in_{c}"))
+    more = F.least(F.coalesce("in_a", F.lit(0)), F.coalesce("in_b", F.lit(0)))
+    metas = [F.col("meta_a"), F.col("meta_b")]
+    chosen = F.least(*[_field(m, 0, _L) for m in metas])
+    req = F.ceil((_size(metas[0]) + _size(metas[1])) * NUMERATOR / (NUMERATOR + DENOMINATOR))
+    most = F.least(*[_field(m, 0, _L) - F.ceil(_size(m) * NUMERATOR / DENOMINATOR) for m in metas]) + req
+    known = lambda c: F.coalesce(c, F.lit(0))
+    return pairs.join(of("a"), "a", "left").join(of("b"), "b", "left").filter((known("c") + more >= chosen) & (known("every") + more >= most)).select("a", "b")
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", long: int = LONG) -> DataFrame:
     """key, n_shingles, component_id of each row of docs."""
     described, frequent, counts = describe_docs(docs, key, text)
     found = stored(candidates(postings(docs, text, frequent, counts), long), "candidates")
-    enough = F.least(_field(F.col("meta_a"), 0, _L), _field(F.col("meta_b"), 0, _L))
-    each = found.filter("pair").groupBy("a", "b").agg(*[F.sum(c).alias(c) for c in ("c", "every")], *[F.first(c).alias(c) for c in ("meta_a", "meta_b")])
     listed = found.filter("not pair")
-    in_long = lambda c: listed.groupBy(F.col("a").alias(c)).agg(F.count("*").alias(f"in_{c}"))
-    more = F.least(F.coalesce("in_a", F.lit(0)), F.coalesce("in_b", F.lit(0)))
-    most = F.least(*[_field(F.col(m), 0, _L) - F.ceil(_size(F.col(m)) * NUMERATOR / DENOMINATOR) for m in ("meta_a", "meta_b")]) + F.ceil((_size(F.col("meta_a")) + _size(F.col("meta_b"))) * NUMERATOR / (NUMERATOR + DENOMINATOR))
-    short = each.join(in_long("a"), "a", "left").join(in_long("b"), "b", "left").filter((F.col("c") >= 1) & (F.col("c") + more >= enough) & (F.col("every") + more >= most))
-    hubs = listed.filter((F.col("a") != F.col("b")) & _competing(F.col("meta_a"), F.col("meta_b"))).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    first = stored(short.select("a", "b").union(hubs).distinct(), "pairs")
+    in_long = stored(listed.groupBy(F.col("a").alias("rid")).agg(F.count("*").alias("n")), "in-long")
+    swap = F.col("a") > F.col("b")
+    hubs = listed.filter((F.col("a") != F.col("b")) & _competing(F.col("meta_a"), F.col("meta_b"))).select(
+        F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), *[F.when(swap, F.col(y)).otherwise(F.col(x)).alias(x) for x, y in (("meta_a", "meta_b"), ("meta_b", "meta_a"))],
+        F.lit(0).cast("long").alias("c"), F.lit(0).cast("long").alias("every"), F.lit(True).alias("hub"),
+    )
+    both = found.filter("pair").select("a", "b", "meta_a", "meta_b", "c", "every", F.lit(False).alias("hub")).unionByName(hubs)
+    counted = stored(both.groupBy("a", "b").agg(*[F.first(c).alias(c) for c in ("meta_a", "meta_b")], *[F.sum(c).alias(c) for c in ("c", "every")], F.max("hub").alias("hub")), "pair-counts")
+    first = stored(_reachable(counted.filter("hub or c >= 1"), in_long), "pairs")
     links = verified(first, docs, described, key, text)
     labels = components(links)
     if not listed.isEmpty():
-        second = _cross(listed, labels).join(first, ["a", "b"], "left_anti")
+        crossing = _cross(listed, labels).join(counted.select("a", "b", "c", "every"), ["a", "b"], "left")
+        second = _reachable(crossing, in_long).join(first, ["a", "b"], "left_anti")
         # what the first links have joined needs no check
         of = lambda c: labels.select(F.col("rid").alias(c), F.col("comp").alias(f"comp_{c}"))
         second = second.join(of("a"), "a", "left").join(of("b"), "b", "left").filter(F.coalesce("comp_a", "a") != F.coalesce("comp_b", "b"))

@@ -173,7 +173,8 @@ def train(labelled: DataFrame, rows: int, features: int = FEATURES, sample: int
 
 
 def predict(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
-    """docs with score (0 to 1) and predicted (1 from 0.5 on)."""
+    """docs with score (0 to 1) and predicted (1 from 0.5 on); columns of these names are replaced."""
+    docs = docs.drop("score", "predicted")
     held, names = docs.sparkSession.sparkContext.broadcast(model), docs.columns
     schema = T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())])
 
