@@ -57,7 +57,7 @@ def separator_violations(edges: DataFrame, sides: DataFrame) -> DataFrame:
 
 def is_balanced(large: Column, n: Column, eps_permille: Column) -> Column:
     """large <= ceil((1 + eps) * n / 2), in integers with eps in thousandths."""
-    return large <= F.expr("0") + F.ceil((eps_permille + 1000) * n / 2000)
+    return large <= F.ceil((eps_permille + 1000) * n / 2000)
 
 
 #: Edges that one task may hold; graphs with more go through the distributed rounds.
