@@ -190,8 +190,8 @@ def preorder(g: Graph) -> DataFrame:
 
 def midline_ranks(cells: DataFrame) -> DataFrame:
     """node_id, rank from node_id, gx, gy: nested grid lines, the one of more trailing zero bits ranked higher; ties by id."""
-    from pyspark.sql.window import Window
+    from .geometry import global_rank
 
     zeros = lambda c: F.bit_count(F.expr(f"({c} + 1) & (-({c} + 1))") - 1)
     height = F.greatest(zeros("gx") * 2 + 1, zeros("gy") * 2)
-    return cells.select("node_id", (F.row_number().over(Window.orderBy(height, "node_id")) - 1).cast("long").alias("rank"))
+    return global_rank(cells.select("node_id", height.alias("height")), ["height", "node_id"], "rank").select("node_id", "rank")
