@@ -43,7 +43,7 @@ CHECK_COST = 20.0
 #: Sets of candidate pairs whose ids a broadcast may hold (about 40 bytes each); beyond it their texts are found by a shuffled join.
 BROADCAST_SETS = 1_000_000
 #: Size classes of the join within long lists: ratio of successive bounds.
-CLASS_RATIO = 1.05
+CLASS_RATIO = 1.34
 
 _N, _POS, _L = 26, 24, 3  # bits of a posting's size, position and matches; its rarity is above them
 
@@ -314,7 +314,7 @@ def _cross(listed: DataFrame, labels: DataFrame) -> DataFrame:
     known = stored(known.withColumn("class", F.floor(F.log(_size(F.col("meta")).cast("double")) / float(np.log(CLASS_RATIO))).cast("int")), "long-lists")
     most = known.groupBy("token", "comp").agg(F.count("*").alias("n")).groupBy("token").agg(F.max(F.struct("n", "comp"))["comp"].alias("most"), F.count("*").alias("comps")).filter("comps > 1")
     minor = known.join(most, "token").filter("comp <> most")
-    reach = int(np.ceil(np.log(DENOMINATOR / NUMERATOR) / np.log(CLASS_RATIO))) + 1
+    reach = int(np.ceil(np.log(DENOMINATOR / NUMERATOR) / np.log(CLASS_RATIO)))
     probe = minor.select("token", F.col("rid").alias("x"), F.col("meta").alias("mx"), F.col("comp").alias("cx"), "most", F.explode(F.sequence(F.col("class") - reach, F.col("class") + reach)).alias("class"))
     other = known.select("token", "class", F.col("rid").alias("y"), F.col("meta").alias("my"), F.col("comp").alias("cy"))
     # of two minor sets each finds the other; the smaller id speaks
