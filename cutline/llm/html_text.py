@@ -8,11 +8,14 @@ pages share weighs 0 and text of one page weighs 1. A node's composite importanc
 Branches that are below `threshold` with all that is in them are removed from each page of the host; what is left is the page's main text, of the
 article element where the page has one.
 
+Each distinct page counts once for its host: a page whose html stands in k rows of the host adds 1/k of a page from each of them, so copies are not taken for
+what all pages of the host share.
+
 Merging is two distributed aggregates of counts (host, path, presentation or segment); pages of a host never meet in one
 task, and only one row per host and path is put together to a tree.
 
-Defined results: null or empty html is the empty text; a null url is a host of its own; a page whose host has no other page is
-judged by roles alone; unclosed and stray tags are mended as browsers do; comments and truncated pages are no error.
+Defined results: null or empty html is the empty text; a null url is a host of its own; a page whose host has no other page, or
+only copies of it, is judged by roles alone; unclosed and stray tags are mended as browsers do; comments and truncated pages are no error.
 """
 
 from __future__ import annotations
@@ -34,6 +37,10 @@ DAMPING = 0.9
 THRESHOLD = 0.15
 #: Hosts and paths below the threshold that a broadcast may hold; beyond it they are joined by host.
 BROADCAST_PATHS = 200_000
+#: Repeated pages whose digests a broadcast may hold (about 40 bytes each); beyond it pages find their number of copies by a shuffled join.
+BROADCAST_COPIES = 500_000
+#: Keys that the copies of one page are dealt to in that join.
+SALTS = 16
 
 # Element kinds of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -192,31 +199,53 @@ def main_text(page: str | None, low: frozenset = frozenset()) -> str:
     return "\n\n".join(blocks)
 
 
+def _host(url: str):
+    return F.lower(F.coalesce(F.regexp_extract(F.col(url).cast("string"), _HOST.pattern, 1), F.lit("")))
+
+
+def _copied(pages: DataFrame, url: str, page: str) -> DataFrame:
+    """url, html and copies of each page: the number of rows of its host with the same html. Only digests of pages are grouped."""
+    text, host = F.col(page).cast("string"), _host(url)
+    # two hashes of 64 bits, as the second starts from the page's own
+    marked = pages.select(F.col(url).cast("string").alias("u"), text.alias("h"), F.xxhash64(host, text).alias("d"), F.xxhash64(text, host).alias("e"))
+    repeated = stored(marked.filter("h <> ''").groupBy("d", "e").agg(F.count("*").alias("copies")).filter("copies > 1"), "page-copies")
+    n = repeated.count()
+    if not n:
+        return marked.select("u", "h", F.lit(1).cast("long").alias("copies"))
+    if n <= BROADCAST_COPIES:
+        joined = marked.join(F.broadcast(repeated), ["d", "e"], "left")
+    else:
+        salted = marked.withColumn("salt", F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)))
+        joined = salted.join(repeated.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long")))), ["d", "e", "salt"], "left")
+    return joined.select("u", "h", F.coalesce("copies", F.lit(1).cast("long")).alias("copies"))
+
+
 def style_tree(pages: DataFrame, url: str = "url", page: str = "html") -> DataFrame:
-    """host, path, pages, own, content, furniture: the merged nodes of each host and their own importances."""
+    """host, path, pages, own, content, furniture: the merged nodes of each host's distinct pages and their own importances."""
 
     def count(batches):
-        held: dict[tuple, int] = {}
+        held: dict[tuple, float] = {}
 
         def out():
             keys = list(held)
-            columns = [pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.string()), pa.array([k[2] for k in keys], pa.int32()), pa.array([k[3] for k in keys], pa.int64()), pa.array(list(held.values()), pa.int64())]
+            columns = [pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.string()), pa.array([k[2] for k in keys], pa.int32()), pa.array([k[3] for k in keys], pa.int64()), pa.array(list(held.values()), pa.float64())]
             held.clear()
             return pa.RecordBatch.from_arrays(columns, ["host", "path", "kind", "value", "n"])
 
         for batch in batches:
-            for u, h in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            for u, h, copies in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if h:
                     host = host_of(u)
                     for path, kind, value in segments(h):
                         key = (host, path, kind, value)
-                        held[key] = held.get(key, 0) + 1
+                        held[key] = held.get(key, 0.0) + 1 / copies
                 if len(held) > 100_000:
                     yield out()
         yield out()
 
-    raw = pages.select(F.col(url).cast("string"), F.col(page).cast("string")).mapInArrow(count, "host string, path string, kind int, value long, n long")
-    each = raw.groupBy("host", "path", "kind", "value").agg(F.sum("n").cast("double").alias("n"))
+    raw = _copied(pages, url, page).mapInArrow(count, "host string, path string, kind int, value long, n double")
+    # all copies of a page have the same nodes and texts, so the sums are whole numbers but for rounding
+    each = raw.groupBy("host", "path", "kind", "value").agg(F.round(F.sum("n")).alias("n"))
     of = lambda k, x: F.coalesce(F.sum(F.when(F.col("kind") == k, x)), F.lit(0.0))
     n, spread = F.col("n"), F.col("n") * F.log(F.col("n"))
     sums = each.groupBy("host", "path").agg(of(0, n).alias("pages"), of(1, n).alias("n1"), of(1, spread).alias("s1"), of(2, n).alias("n2"), of(2, spread).alias("s2"), (of(3, n) > 0).alias("furniture"))
@@ -261,8 +290,7 @@ def extract(pages: DataFrame, url: str = "url", page: str = "html", threshold: f
     """pages with text and n_chars; columns of these names are replaced."""
     low = stored(low_branches(style_tree(pages, url, page), threshold), "low-branches")
     names = [c for c in pages.columns if c not in ("text", "n_chars")]
-    host = F.lower(F.coalesce(F.regexp_extract(F.col(url).cast("string"), _HOST.pattern, 1), F.lit("")))
-    packed = pages.select(F.struct(*names).alias("row"), F.col(page).cast("string").alias("page"), host.alias("host"))
+    packed = pages.select(F.struct(*names).alias("row"), F.col(page).cast("string").alias("page"), _host(url).alias("host"))
     small = (low.agg(F.sum(F.size("low"))).first()[0] or 0) <= BROADCAST_PATHS
     joined = packed.join(F.broadcast(low) if small else low, "host", "left").drop("host")
 

@@ -264,6 +264,21 @@ def test_main_text(spark):
     assert html_text.extract(df.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("broadcast", [500_000, 0])
+def test_main_text_of_copies(spark, monkeypatch, broadcast):
+    monkeypatch.setattr(html_text, "BROADCAST_COPIES", broadcast, raising=False)
+    page = lambda body: f"<html><body><nav>Menu</nav><article><h1>{body[:9]}</h1><p>{body}</p></article></body></html>"
+    own = [words(20) for _ in range(5)]
+    rows = [("http://twice/a", page("only one page here"))] * 2
+    rows += [("http://mostly/a", page("a page in many copies"))] * 95 + [(f"http://mostly/{i}", page(own[i])) for i in range(5)]
+    df = spark.createDataFrame([(i, *r) for i, r in enumerate(rows)], "page_id long, url string, html string").repartition(4)
+    got = {r.page_id: r.text for r in html_text.extract(df).collect()}
+    assert {got[0], got[1]} == {"only one\n\nonly one page here"}
+    assert {got[i] for i in range(2, 97)} == {"a page in\n\na page in many copies"}
+    assert [got[97 + i] for i in range(5)] == [f"{t[:9].strip()}\n\n{t}" for t in own]
+    assert html_text.style_tree(df).filter("host = 'mostly' and path = '/html/body/article'").first().pages == 6
+
+
 # 8 ----------------------------------------------------------------------------------------------------
 
 
