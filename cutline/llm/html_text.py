@@ -4,10 +4,13 @@ The DOMs of one host are merged into a style tree: nodes with the same path of t
 A node's own importance is the entropy of its presentations (sequences of child tags) over the pages that have it, in units of the
 largest possible entropy; the importance of its text is 1 minus the mean entropy of its text segments, so text that all
 pages share weighs 0 and text of one page weighs 1. A node's composite importance mixes its own with its children's
-(weight damping ** children), and a node whose role is page furniture (menus, footers, forms, adverts ...) has none.
+(weight damping ** children), and a node whose element or role is page furniture (menus, footers, forms, adverts ...) has none.
 Branches that are below `threshold` with all that is in them are removed from each page of the host; what is left is the page's main text, of the
 article element where the page has one.
 
+Words in classes and ids are weaker (has-sidebar, comments-open stand on wrappers of the content): the style tree gives such nodes the importance they
+have by entropy, and a page drops them unless they hold its article or main element, a h1 of it, or more than half of its text outside removed branches.
+
 Each distinct page counts once for its host: a page whose html stands in k rows of the host adds 1/k of a page from each of them, so copies are not taken for
 what all pages of the host share.
 
@@ -67,26 +70,26 @@ def host_of(url: str | None) -> str:
 
 
 class Node:
-    __slots__ = ("tag", "path", "children", "furniture", "parent")
+    __slots__ = ("tag", "path", "children", "furniture", "worded", "parent")
 
-    def __init__(self, tag: str, path: str, parent, furniture: bool):
-        self.tag, self.path, self.parent, self.furniture, self.children = tag, path, parent, furniture, []
+    def __init__(self, tag: str, path: str, parent, furniture: bool, worded: bool = False):
+        self.tag, self.path, self.parent, self.furniture, self.worded, self.children = tag, path, parent, furniture, worded, []
 
 
-def _label(tag: str, attributes: str, inside_article: bool) -> tuple[str, bool]:
-    """A node's name in its path, and whether its role is page furniture. A header inside an article is content."""
+def _label(tag: str, attributes: str, inside_article: bool) -> tuple[str, bool, bool]:
+    """A node's name in its path, whether its element or role is page furniture, and whether its class or id says so. A header inside an article is content."""
     furniture = tag in FURNITURE and not (tag == "header" and inside_article)
     if "=" not in attributes:
-        return tag, furniture
-    name = tag
+        return tag, furniture, False
+    name, worded = tag, False
     for key, a, b, c in _ATTRIBUTE.findall(attributes):
         value = (a or b or c).lower()
         if key.lower() == "role":
             furniture |= value in ROLES
         elif tag not in ("html", "body", "article", "main"):
             name += ("." if key.lower() == "class" else "#") + re.sub(r"\d+", "0", value)
-            furniture |= any(w in WORDS for w in _SPLIT.split(value))
-    return name, furniture
+            worded |= any(w in WORDS and not (w == "header" and inside_article) for w in _SPLIT.split(value))
+    return name, furniture, worded
 
 
 def parse(page: str) -> Node:
@@ -132,8 +135,8 @@ def parse(page: str) -> Node:
                 up = up.parent
             if last is not None:
                 at = last.parent
-        name, furniture = _label(tag, attributes, articles > 0)
-        node = Node(tag, f"{at.path}/{name}", at, furniture)
+        name, furniture, worded = _label(tag, attributes, articles > 0)
+        node = Node(tag, f"{at.path}/{name}", at, furniture, worded)
         at.children.append(node)
         if tag not in VOID and not attributes.endswith("/"):
             at = node
@@ -159,15 +162,50 @@ def segments(page: str):
     return found
 
 
+def _keep_wrappers(root: Node, low: frozenset) -> None:
+    """Clears `worded` of nodes that hold the page's content: its article or main element, a h1 of it, or more than half of its text."""
+    free, held, stack = [], [], [(root, False)]
+    while stack:
+        node, inside = stack.pop()
+        if node.furniture or node.path in low:
+            continue
+        inside |= node.worded
+        if node.tag == "main" or node.tag == "article":
+            # articles in comments and teasers are not the page's where it has another
+            (held if inside and node.tag == "article" else free).append(node)
+        stack.extend((c, inside) for c in node.children if not isinstance(c, str))
+    tops = {id(node) for node in free or held}
+    nodes, above, holds, letters = [], [], [], []
+    todo = [(root, -1, not tops)]
+    while todo:
+        node, up, inside = todo.pop()
+        if node.furniture or node.path in low:
+            continue
+        top = id(node) in tops
+        inside |= top
+        todo.extend((c, len(nodes), inside) for c in node.children if not isinstance(c, str))
+        nodes.append(node)
+        above.append(up)
+        holds.append(top or (inside and node.tag == "h1"))
+        letters.append(sum(len(c.strip()) for c in node.children if isinstance(c, str)) if inside else 0)
+    for i in range(len(nodes) - 1, 0, -1):  # parents stand before their children
+        holds[above[i]] |= holds[i]
+        letters[above[i]] += letters[i]
+    for i, node in enumerate(nodes):
+        if holds[i] or 2 * letters[i] > letters[0]:
+            node.worded = False
+
+
 def main_text(page: str | None, low: frozenset = frozenset()) -> str:
     """The page's blocks in page order, joined by two line breaks, without furniture and branches in `low`."""
     if not page:
         return ""
     root = parse(page)
+    _keep_wrappers(root, low)
     top, stack, articles = root, [root], []
     while stack:
         node = stack.pop()
-        if node.furniture or node.path in low:
+        if node.furniture or node.worded or node.path in low:
             continue
         if node.tag == "article" or node.tag == "main":
             articles.append(node)
@@ -189,7 +227,7 @@ def main_text(page: str | None, low: frozenset = frozenset()) -> str:
                 flush()
             elif isinstance(node, str):
                 current.append(node)
-            elif not (node.furniture or node.path in low):
+            elif not (node.furniture or node.worded or node.path in low):
                 block = node.tag not in INLINE
                 if block:
                     flush()

@@ -279,6 +279,22 @@ def test_main_text_of_copies(spark, monkeypatch, broadcast):
     assert html_text.style_tree(df).filter("host = 'mostly' and path = '/html/body/article'").first().pages == 6
 
 
+def test_main_text_of_wrappers(spark):
+    text = words(30)
+    article = f"<article><div class='entry-header'><h1>Title</h1></div><p>{text}</p><div class=share>Share this</div></article>"
+    whole = f"Title\n\n{text}"
+    for name in ("has-sidebar", "no-sidebar", "nav-open", "comments-open", "social-layout"):
+        assert html_text.main_text(f"<body><nav>Menu</nav><div id=page class='{name}'>{article}<div class=sidebar>Links</div></div>") == whole
+        assert html_text.main_text(f"<body><div class='{name}'><h1>Title</h1><p>{text}</p><div class=sidebar>Links</div></div><p>end") == f"{whole}\n\nend"
+        assert html_text.main_text(f"<body><section class='{name}'><p>{text}</p></section>") == text
+    assert html_text.main_text(f"<body>{article}<div class=related><article>Teaser {words(90)}</article></div><div id=comments>{words(90)}</div>") == whole
+    # most of the text is the same on all pages of the host, so the wrapper holds most of what counts
+    same, own = words(200), [words(30) for _ in range(8)]
+    rows = [(i, f"http://wrapped/{i}", f"<body><div class=about>{same}</div><div class=has-sidebar><p>{own[i]}</p></div></body>") for i in range(8)]
+    got = html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert {r.page_id: r.text for r in got} == dict(enumerate(own))
+
+
 # 8 ----------------------------------------------------------------------------------------------------
 
 
