@@ -1,15 +1,15 @@
 """Language identification with bit-sliced Bloom filters of character n-grams.
 
 Training counts the n-grams of a bounded sample of documents per language. An n-gram belongs to a language if its
-share of that language's n-grams is at least `ratio` of its largest share in any language. One filter serves all languages:
-a slot holds a bitmask of languages, an n-gram sets its languages' bits in `probes` slots, and the AND of these slots
-returns all languages that contain it (and, rarely, others: false positives).
+share of that language's n-grams is at least `ratio` of its largest share in any language. One filter serves 64 languages, and there are as many
+filters as the languages need: a slot holds a bitmask of languages, an n-gram sets its languages' bits in `probes` slots, and the AND of these slots
+returns all languages of the filter that contain it (and, rarely, others: false positives).
 
 A text is decided by its n-grams: for each language the number of masks with its bit (its popcount) minus the number that
 the filter's fill makes likely by chance, weighted by the n-gram's order. The largest count wins, ties go to the language of more training text.
 
 Defined results: null, empty texts and texts without a letter are `und` with score 0; training rows with a null language or text
-are left out; without any training row every text is `und`.
+are left out; without any training row every text is `und`. N-grams that stand once in the sample are left out, except those of a language that has no others.
 """
 
 from __future__ import annotations
@@ -27,9 +27,12 @@ from .ngrams import chunks, rolling, spans, sums
 ORDERS = (2, 3, 4, 5)
 #: Documents of one language that training reads at about the most; whole texts. The only sample of this operator.
 SAMPLE_PER_LANGUAGE = 2000
-MAX_LANGUAGES = 64
-#: Distinct n-grams of one language that the filter takes at most (the most frequent); bounds the broadcast filter to 64 MB.
+#: Languages of one filter: the bits of its widest mask word.
+WORD_LANGUAGES = 64
+#: Distinct n-grams of one language that the filter takes at most (the most frequent); the broadcast grows with the number of languages only.
 MAX_GRAMS = 200_000
+#: Counts that a training task holds before it passes them on.
+HELD_GRAMS = 8_000_000
 
 
 def gram_counts(rows: DataFrame) -> DataFrame:
@@ -37,6 +40,7 @@ def gram_counts(rows: DataFrame) -> DataFrame:
 
     def count(batches):
         held: dict[tuple[str, int], list] = {}
+        size = 0
 
         def merged(parts):
             h = np.concatenate([p[0] for p in parts])
@@ -44,6 +48,12 @@ def gram_counts(rows: DataFrame) -> DataFrame:
             u, where = np.unique(h, return_inverse=True)
             return u, np.bincount(where, c, len(u)).astype(np.int64)
 
+        def out():
+            for (lang, n), parts in held.items():
+                u, c = merged(parts)
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(u), pa.string()), pa.array(np.full(len(u), n, np.int32)), pa.array(u.view(np.int64)), pa.array(c)], ["lang", "n", "h", "c"])
+            held.clear()
+
         for batch in batches:
             langs = np.array(batch.column("lang").to_pylist(), object)
             for lang in sorted(set(langs)):
@@ -57,33 +67,31 @@ def gram_counts(rows: DataFrame) -> DataFrame:
                         u, c = np.unique(h[np.cumsum(inside)[:-1] > 0], return_counts=True)
                         parts = held.setdefault((lang, n), [])
                         parts.append((u, c))
+                        size += len(u)
                         if len(parts) > 8:
                             held[lang, n] = [merged(parts)]
-        for (lang, n), parts in held.items():
-            u, c = merged(parts)
-            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(u), pa.string()), pa.array(np.full(len(u), n, np.int32)), pa.array(u.view(np.int64)), pa.array(c)], ["lang", "n", "h", "c"])
+                            size -= sum(len(x[0]) for x in parts) - len(held[lang, n][0][0])
+                if size > HELD_GRAMS:
+                    yield from out()
+                    size = 0
+        yield from out()
 
     return rows.select("lang", "text").mapInArrow(count, "lang string, n int, h long, c long").groupBy("lang", "n", "h").agg(F.sum("c").alias("c"))
 
 
-class Filters:
-    """The bit-sliced filter and the false positive rate of each language."""
+class Filter:
+    """The bit-sliced filter of up to 64 languages and the false positive rate of each of them."""
 
-    def __init__(self, grams: pd.DataFrame, ratio: float, probes: int = 2, bits_per_gram: int = 16):
-        order = grams.groupby("lang").c.sum().sort_values(ascending=False, kind="stable") if len(grams) else pd.Series(dtype=int)
-        self.langs = sorted(order.index, key=lambda x: (-order[x], x))[:MAX_LANGUAGES]
+    def __init__(self, g: pd.DataFrame, langs: list[str], probes: int, bits_per_gram: int):
         self.probes = probes
-        kind = next(t for t in (np.uint8, np.uint16, np.uint32, np.uint64) if np.dtype(t).itemsize * 8 >= max(1, len(self.langs)))
-        g = grams[grams.lang.isin(self.langs)].copy()
-        if len(g):
-            g["share"] = g.c / g.groupby(["lang", "n"]).c.transform("sum")
-            g = g[g.share >= ratio * g.groupby(["n", "h"]).share.transform("max")]
+        kind = next(t for t in (np.uint8, np.uint16, np.uint32, np.uint64) if np.dtype(t).itemsize * 8 >= max(1, len(langs)))
         self.slots = 1 << max(10, int(np.ceil(np.log2(max(1, g.h.nunique()) * bits_per_gram / 8))) if len(g) else 10)
         self.masks = np.zeros(self.slots, kind)
-        for i, lang in enumerate(self.langs):
-            for at in self._places(g.h[g.lang == lang].to_numpy(np.int64).view(np.uint64)):
+        own = dict(tuple(g.groupby("lang").h))
+        for i, lang in enumerate(langs):
+            for at in self._places(own[lang].to_numpy(np.int64).view(np.uint64)) if lang in own else ():
                 np.bitwise_or.at(self.masks, at, kind(1 << i))
-        fill = np.array([(self.masks >> kind(i) & kind(1)).mean() for i in range(len(self.langs))])
+        fill = np.array([(self.masks >> kind(i) & kind(1)).mean() for i in range(len(langs))])
         self.false = fill**probes
 
     def _places(self, h: np.ndarray) -> list[np.ndarray]:
@@ -98,6 +106,20 @@ class Filters:
             mask &= self.masks[at]
         return mask
 
+
+class Filters:
+    """The filters of all languages, 64 languages in each."""
+
+    def __init__(self, grams: pd.DataFrame, ratio: float, probes: int = 2, bits_per_gram: int = 16):
+        order = grams.groupby("lang").c.sum().sort_values(ascending=False, kind="stable") if len(grams) else pd.Series(dtype=int)
+        self.langs = sorted(order.index, key=lambda x: (-order[x], x))
+        g = grams
+        if len(g):
+            g = g.assign(share=g.c / g.groupby(["lang", "n"]).c.transform("sum"))
+            g = g[g.share >= ratio * g.groupby(["n", "h"]).share.transform("max")]
+        parts = [self.langs[i : i + WORD_LANGUAGES] for i in range(0, len(self.langs), WORD_LANGUAGES)]
+        self.filters = [Filter(g[g.lang.isin(part)] if len(parts) > 1 else g, part, probes, bits_per_gram) for part in parts]
+
     def decide(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Predicted language and score (the winner's part of all languages' corrected counts) of each text."""
         letters = pc.match_substring_regex(column.cast(pa.large_string()).fill_null(""), r"\p{L}").to_numpy(zero_copy_only=False)
@@ -108,12 +130,14 @@ class Filters:
         for buffer, starts, ends in chunks(column):
             counts = np.zeros((len(starts), len(self.langs)))
             for n in ORDERS:
-                mask = self.languages_of(rolling(buffer, n))
-                first, last = spans(starts, ends, n, len(mask))
+                h = rolling(buffer, n)
+                first, last = spans(starts, ends, n, len(h))
                 total = last - first
-                for i in range(len(self.langs)):
-                    hits = sums((mask >> mask.dtype.type(i)) & mask.dtype.type(1), first, last)
-                    counts[:, i] += n * np.maximum(0, hits - total * self.false[i]) / (1 - self.false[i])
+                for k, part in enumerate(self.filters):
+                    mask = part.languages_of(h)
+                    for i, false in enumerate(part.false):
+                        hits = sums((mask >> mask.dtype.type(i)) & mask.dtype.type(1), first, last)
+                        counts[:, k * WORD_LANGUAGES + i] += n * np.maximum(0, hits - total * false) / (1 - false)
             best = counts.argmax(1)
             own = slice(at, at + len(starts))
             lang[own] = np.array(self.langs, object)[best]
@@ -126,16 +150,23 @@ class Filters:
 def train(rows: DataFrame, ratio: float = 0.35, sample: int = SAMPLE_PER_LANGUAGE, key: str = "doc_id", lang: str = "lang", text: str = "text") -> Filters:
     """Filters from rows' languages: about `sample` whole documents of each, those with the smallest key hashes."""
     known = rows.filter(F.col(lang).isNotNull() & F.col(text).isNotNull())
-    sizes = [(r[0], r[1]) for r in known.groupBy(F.col(lang).alias("lang")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()]
+    sizes = [(r[0], r[1]) for r in known.groupBy(F.col(lang).alias("lang")).agg(F.count("*").alias("n")).collect()]
     if not sizes:
         return Filters(pd.DataFrame({"lang": [], "n": [], "h": [], "c": []}), ratio)
-    share = F.create_map(*[F.lit(x) for name, n in sizes for x in (name, min(1.0, sample / n))])
+    shares = rows.sparkSession.createDataFrame([(name, min(1.0, sample / n)) for name, n in sizes], "lang string, share double")
     place = F.pmod(F.xxhash64(F.col(key).cast("string")), F.lit(1 << 20)) / float(1 << 20)
-    chosen = known.filter(place < share[F.col(lang)]).select(F.col(lang).alias("lang"), F.col(text).alias("text"))
+    keyed = known.select(F.col(lang).cast("string").alias("lang"), F.col(text).alias("text"), place.alias("place"))
+    chosen = keyed.join(F.broadcast(shares), "lang").filter("place < share").select("lang", "text")
     from pyspark.sql.window import Window
 
     rank = F.row_number().over(Window.partitionBy("lang", "n").orderBy(F.desc("c"), "h"))
-    return Filters(gram_counts(chosen).filter("c >= 2").withColumn("r", rank).filter(F.col("r") <= MAX_GRAMS // len(ORDERS)).drop("r").toPandas(), ratio)
+    most = lambda counted: counted.withColumn("r", rank).filter(F.col("r") <= MAX_GRAMS // len(ORDERS)).drop("r").toPandas()
+    grams = most(gram_counts(chosen).filter("c >= 2"))
+    rest = {name for name, _ in sizes} - set(grams.lang)
+    if rest:
+        missing = rows.sparkSession.createDataFrame([(name,) for name in sorted(rest)], "lang string")
+        grams = pd.concat([grams, most(gram_counts(chosen.join(F.broadcast(missing), "lang", "left_semi")))], ignore_index=True)
+    return Filters(grams, ratio)
 
 
 def predict(docs: DataFrame, filters: Filters, text: str = "text") -> DataFrame:

@@ -380,6 +380,17 @@ def test_language(spark, empty):
     assert {x.lang_pred for x in language.predict(df, language.train(empty)).collect()} == {"und"}
 
 
+def test_more_languages_than_a_word_has_bits(spark):
+    """70 languages of three letters each, and one whose only text repeats no n-gram."""
+    r = random.Random(6)
+    letters = {f"l{k:02d}": [chr(0x4E00 + 3 * k + i) for i in range(3)] for k in range(70)}
+    rows = [(i, " ".join("".join(r.choice(letters[k]) for _ in range(5)) for _ in range(12)), k) for i, k in enumerate(sorted(letters) * 4)]
+    rows.append((900, "abcdefg", "zz"))
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    got = {x.doc_id: x.lang_pred for x in language.predict(df, language.train(df.filter("doc_id < 210 or doc_id = 900"))).collect()}
+    assert got == {i: k for i, _, k in rows}
+
+
 # pipeline ---------------------------------------------------------------------------------------------
 
 
