@@ -1,23 +1,29 @@
 """Word shingles of whole texts as sorted arrays of 64-bit hashes, in numpy.
 
 Words are runs without ASCII white space, A-Z lower-cased. A text's set is its distinct shingles of WIDTH words; with
-fewer words the whole sequence is its one shingle; without words it is empty.
+fewer words the whole sequence is its one shingle; without words it is empty. A word's hash depends on its bytes alone: words of more than
+LONG_WORD bytes have one of their own kind, wherever they stand.
 """
 
 from __future__ import annotations
 
 import functools
+import re
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 
 WIDTH = 5
 SEGMENT = 2_000_000
+LONG_WORD = 4096
 _BASE = 0x9E3779B97F4A7C55  # odd, so that it has an inverse modulo 2**64
 _FOLD = np.array([b + 32 if 65 <= b <= 90 else b for b in range(256)], np.uint64) + np.uint64(1)
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
+_SPACES = tuple(bytes([b]) for b in np.flatnonzero(_SPACE).tolist())
+_NEXT_SPACE = re.compile(b"[" + b"".join(_SPACES) + b"]")
 
 
 @functools.lru_cache(maxsize=1)
@@ -38,20 +44,22 @@ def mixed(h: np.ndarray) -> np.ndarray:
 
 def words_of(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
     """Hash and first byte of each word. Long input is cut between words, so memory doesn't grow with it."""
-    if len(raw) > SEGMENT:
-        cut = next((i for i in range(SEGMENT, 0, -1) if _SPACE[raw[i]]), 0)
-        if not cut:
-            cut = next((i for i in range(SEGMENT, len(raw)) if _SPACE[raw[i]]), len(raw))
-        if cut < len(raw):
-            done, at = [], 0
-            while at < len(raw):
-                end = min(len(raw), at + SEGMENT)
-                while end < len(raw) and not _SPACE[raw[end]]:
-                    end += 1
-                done.append((*_words(raw[at:end]), at))
-                at = end
-            return np.concatenate([d[0] for d in done]), np.concatenate([d[1] + d[2] for d in done])
-    return _words(raw)
+    if len(raw) <= SEGMENT:
+        return _words(raw)
+    done, at = [], 0
+    while at < len(raw):
+        end = min(len(raw), at + SEGMENT)
+        if end < len(raw) and not _SPACE[raw[end]]:
+            # the word across the end goes to the next segment, or is one of its own
+            start = max(raw.rfind(c, at, end) for c in _SPACES) + 1
+            if start > at:
+                end = start
+            else:
+                found = _NEXT_SPACE.search(raw, end)
+                end = found.start() if found else len(raw)
+        done.append((*_words(raw[at:end]), at))
+        at = end
+    return np.concatenate([d[0] for d in done]), np.concatenate([d[1] + d[2] for d in done])
 
 
 def _words(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
@@ -62,12 +70,14 @@ def _words(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
     starts, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
     up, down = _powers()
     if len(data) > len(up):  # a single word of more than a segment
-        import xxhash
-
-        return np.array([xxhash.xxh64_intdigest(raw[a:b].lower()) for a, b in zip(starts, ends, strict=True)], np.uint64), starts
-    total = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum(_FOLD[data] * up[: len(data)], out=total[1:])
-    return mixed((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64)), starts
+        hashes = np.zeros(len(starts), np.uint64)
+    else:
+        total = np.zeros(len(data) + 1, np.uint64)
+        np.cumsum(_FOLD[data] * up[: len(data)], out=total[1:])
+        hashes = mixed((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+    for i in np.flatnonzero(ends - starts > LONG_WORD).tolist():
+        hashes[i] = xxhash.xxh64_intdigest(raw[starts[i] : ends[i]].lower())
+    return hashes, starts
 
 
 def _shingled(words: np.ndarray) -> np.ndarray:

@@ -366,6 +366,24 @@ def test_long_words_and_texts(monkeypatch):
     assert [s.tolist() for s in shingles.sets(pa.array(t))] == want
 
 
+def test_word_hashes_depend_on_bytes_alone():
+    import pyarrow as pa
+
+    passage = " ".join(f"p{i}" for i in range(1000))
+    (want,) = shingles.sets(pa.array([passage]))
+    before, after = " ".join(f"b{i}" for i in range(260_000)), " ".join(f"a{i}" for i in range(30_000))
+    for size in (4096, 4097, 150_000, 2_200_000):
+        for cut in (0, 700_001, 1_880_000):
+            text = f"{before[:cut]} {passage} {before[cut:1_950_000]} {'X' * size} {passage} {after} {passage}"
+            (got,) = shingles.sets(pa.array([text]))
+            assert np.isin(want, got).all()
+            n = len(text.split())
+            # every passage after the first adds only the shingles that cross its ends
+            assert len(got) == n - shingles.WIDTH + 1 - 2 * len(want)
+    (low,), (high,) = (list(shingles.sets(pa.array([x * 9000]))) for x in ("x", "X"))
+    assert low.tolist() == high.tolist()
+
+
 # 10 ---------------------------------------------------------------------------------------------------
 
 
