@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import in_arrow, table
 
 UNIT = 64
 BLOCKS = 64
@@ -345,7 +345,7 @@ def clips(df: DataFrame, key: str, media: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, kinds, strict=True)], ["key", "clip", "first_frame", "last_frame", "start_ms", "end_ms", "error"])
 
     kind = df.schema[key].dataType.simpleString()
-    return df.select(F.col(key).alias("key"), media).mapInArrow(run, f"key {kind}, clip int, first_frame long, last_frame long, start_ms long, end_ms long, error string").withColumnRenamed("key", key)
+    return in_arrow(df.select(F.col(key).alias("key"), media), run, f"key {kind}, clip int, first_frame long, last_frame long, start_ms long, end_ms long, error string").withColumnRenamed("key", key)
 
 
 def padded(text: str | None) -> tuple[int, bytes]:
@@ -363,7 +363,7 @@ def store_texts(df: DataFrame, key: str, text: str) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([store_payload(padded(t)[1]) for t in part.column(1).to_pylist()], pa.binary())], ["key", "media"])
 
     kind = df.schema[key].dataType.simpleString()
-    return df.select(F.col(key).alias("key"), F.col(text).cast("string")).mapInArrow(run, f"key {kind}, media binary").withColumnRenamed("key", key)
+    return in_arrow(df.select(F.col(key).alias("key"), F.col(text).cast("string")), run, f"key {kind}, media binary").withColumnRenamed("key", key)
 
 
 def describe(shares: np.ndarray, film: dict) -> str:
@@ -409,7 +409,7 @@ def digests(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
 
     kind = df.schema[key].dataType.simpleString()
     schema = f"key {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
-    return df.select(F.col(key).alias("key"), F.col(text).cast("string")).mapInArrow(run, schema).withColumnRenamed("key", key)
+    return in_arrow(df.select(F.col(key).alias("key"), F.col(text).cast("string")), run, schema).withColumnRenamed("key", key)
 
 
 def op6_avi(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -13,6 +17,11 @@ from pyspark.sql.window import Window
 SPACE = " \t\n\x0b\x0c\r"
 WORD = "[^\\x20\\x09-\\x0D]+"
 
+#: Rows of a small table (a row per language, source or cell) that a broadcast may hold.
+BROADCAST_ROWS = 200_000
+#: Bytes of an Arrow batch that a Python worker takes up at once; a single longer row is a batch of its own.
+BATCH_BYTES = 4_000_000
+
 _own_folder: list[str] = []
 
 
@@ -21,10 +30,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that all machines share (spark.checkpoint.dir); one of this process's own where it is unset, as in tests."""
+    """The folder that all machines share (spark.checkpoint.dir). Where it is unset, local mode, as in tests, has a folder of this process's own; a cluster is an error."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if found:
         return found
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
     if not _own_folder:
         _own_folder.append(f"file://{tempfile.mkdtemp(prefix='cutline-')}")
     return _own_folder[0]
@@ -38,6 +49,11 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """A stored table for a join: with a broadcast hint while it has at most `rows` rows, else as it is, so that the join is shuffled."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
 def discard(df: DataFrame) -> None:
     """Removes the files of a stored table that nothing reads any more."""
     jvm = df.sparkSession._jvm
@@ -46,6 +62,33 @@ def discard(df: DataFrame) -> None:
         path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
+def pieces_of(batch: pa.RecordBatch, most: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:
+    """The batch's rows in order, in slices of at most `most` bytes, or of one row."""
+    todo = [batch]
+    while todo:
+        part = todo.pop()
+        if part.nbytes <= most or part.num_rows <= 1:
+            yield part
+        else:
+            half = part.num_rows // 2
+            todo += [part.slice(half), part.slice(0, half)]
+
+
+def in_arrow(df: DataFrame, run: Callable, schema, most: int = BATCH_BYTES) -> DataFrame:
+    """df.mapInArrow(run, schema) with bounded memory: run sees batches of at most `most` bytes, and as Spark keeps its Python
+    workers from stage to stage, a task gives back what it has freed when it ends."""
+
+    def bounded(batches):
+        try:
+            yield from run(part for batch in batches for part in pieces_of(batch, most))
+        finally:
+            pa.default_memory_pool().release_unused()
+            with contextlib.suppress(OSError, AttributeError):  # other C libraries have no malloc_trim
+                ctypes.CDLL(None).malloc_trim(0)
+
+    return df.mapInArrow(bounded, schema)
+
+
 def text_key(col: Column) -> Column:
     """A key as text; null and the empty text have keys of their own."""
     return F.coalesce(F.concat(F.lit("k"), col.cast("string")), F.lit("n"))
@@ -59,13 +102,15 @@ def numbered(df: DataFrame, group: list[str], order: list[str], name: str, digit
     rows are numbered inside their part only. The order is (part, order columns); rows equal in all of
     these are interchangeable. Nulls in the group columns form a group.
     """
-    part = "__part"
-    keyed = df.withColumn(part, F.substring(F.md5(text_key(F.col(order[0]))), 1, digits))
-    marks = [f"__g{i}" for i in range(len(group))]
-    for mark, col in zip(marks, group, strict=True):
-        keyed = keyed.withColumn(mark, text_key(F.col(col)))
-    before = Window.partitionBy(*marks).orderBy(part).rowsBetween(Window.unboundedPreceding, -1)
-    first = keyed.groupBy(*marks, part).agg(F.count("*").alias("__n")).withColumn("__first", F.coalesce(F.sum("__n").over(before), F.lit(0))).drop("__n")
-    within = Window.partitionBy(*marks, part).orderBy(*[F.col(c).asc_nulls_first() for c in order])
-    ranked = keyed.withColumn("__rank", F.row_number().over(within) - 1)
-    return ranked.join(first, [*marks, part]).withColumn(name, (F.col("__first") + F.col("__rank")).cast("long")).drop(*marks, part, "__rank", "__first")
+    cell = lambda c: F.col("row")[c]  # noqa: E731  the input's columns stay in a struct, so that names can't clash
+    marks = [f"group{i}" for i in range(len(group))]
+    keyed = df.select(
+        F.struct(*[F.col(c) for c in df.columns if c != name]).alias("row"),
+        F.substring(F.md5(text_key(F.col(order[0]))), 1, digits).alias("part"),
+        *[text_key(F.col(c)).alias(mark) for mark, c in zip(marks, group, strict=True)],
+    )
+    before = Window.partitionBy(*marks).orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    first = keyed.groupBy(*marks, "part").agg(F.count("*").alias("n")).withColumn("first", F.coalesce(F.sum("n").over(before), F.lit(0))).drop("n")
+    within = Window.partitionBy(*marks, "part").orderBy(*[cell(c).asc_nulls_first() for c in order])
+    ranked = keyed.withColumn("rank", F.row_number().over(within) - 1)
+    return ranked.join(first, [*marks, "part"]).select("row.*", (F.col("first") + F.col("rank")).cast("long").alias(name))

@@ -15,13 +15,14 @@ are left out; without any training row every text is `und`. N-grams that stand o
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.window import Window
 
-from .common import table
+from .common import in_arrow, small, stored, table
 from .ngrams import chunks, rolling, spans, sums
 
 ORDERS = (2, 3, 4, 5)
@@ -29,10 +30,12 @@ ORDERS = (2, 3, 4, 5)
 SAMPLE_PER_LANGUAGE = 2000
 #: Languages of one filter: the bits of its widest mask word.
 WORD_LANGUAGES = 64
-#: Distinct n-grams of one language that the filter takes at most (the most frequent); the broadcast grows with the number of languages only.
-MAX_GRAMS = 200_000
+#: Bits of an n-gram's hash between the starts of two probes.
+PROBE_SHIFT = 22
+#: Slots of a filter that one row holds while filters are put together.
+PART_SLOTS = 1 << 16
 #: Counts that a training task holds before it passes them on.
-HELD_GRAMS = 8_000_000
+HELD_GRAMS = 2_000_000
 
 
 def gram_counts(rows: DataFrame) -> DataFrame:
@@ -76,27 +79,21 @@ def gram_counts(rows: DataFrame) -> DataFrame:
                     size = 0
         yield from out()
 
-    return rows.select("lang", "text").mapInArrow(count, "lang string, n int, h long, c long").groupBy("lang", "n", "h").agg(F.sum("c").alias("c"))
+    return in_arrow(rows.select("lang", "text"), count, "lang string, n int, h long, c long").groupBy("lang", "n", "h").agg(F.sum("c").alias("c"))
 
 
 class Filter:
     """The bit-sliced filter of up to 64 languages and the false positive rate of each of them."""
 
-    def __init__(self, g: pd.DataFrame, langs: list[str], probes: int, bits_per_gram: int):
-        self.probes = probes
-        kind = next(t for t in (np.uint8, np.uint16, np.uint32, np.uint64) if np.dtype(t).itemsize * 8 >= max(1, len(langs)))
-        self.slots = 1 << max(10, int(np.ceil(np.log2(max(1, g.h.nunique()) * bits_per_gram / 8))) if len(g) else 10)
-        self.masks = np.zeros(self.slots, kind)
-        own = dict(tuple(g.groupby("lang").h))
-        for i, lang in enumerate(langs):
-            for at in self._places(own[lang].to_numpy(np.int64).view(np.uint64)) if lang in own else ():
-                np.bitwise_or.at(self.masks, at, kind(1 << i))
-        fill = np.array([(self.masks >> kind(i) & kind(1)).mean() for i in range(len(langs))])
+    def __init__(self, masks: np.ndarray, languages: int, probes: int):
+        kind = next(t for t in (np.uint8, np.uint16, np.uint32, np.uint64) if np.dtype(t).itemsize * 8 >= max(1, languages))
+        self.probes, self.slots, self.masks = probes, len(masks), masks.astype(kind)
+        fill = np.array([(self.masks >> kind(i) & kind(1)).mean() for i in range(languages)])
         self.false = fill**probes
 
     def _places(self, h: np.ndarray) -> list[np.ndarray]:
         low = np.uint64(self.slots - 1)
-        return [((h >> np.uint64(22 * i)) & low).astype(np.int64) for i in range(self.probes)]
+        return [((h >> np.uint64(PROBE_SHIFT * i)) & low).astype(np.int64) for i in range(self.probes)]
 
     def languages_of(self, h: np.ndarray) -> np.ndarray:
         """The bitmask of languages for each hash."""
@@ -108,17 +105,10 @@ class Filter:
 
 
 class Filters:
-    """The filters of all languages, 64 languages in each."""
-
-    def __init__(self, grams: pd.DataFrame, ratio: float, probes: int = 2, bits_per_gram: int = 16):
-        order = grams.groupby("lang").c.sum().sort_values(ascending=False, kind="stable") if len(grams) else pd.Series(dtype=int)
-        self.langs = sorted(order.index, key=lambda x: (-order[x], x))
-        g = grams
-        if len(g):
-            g = g.assign(share=g.c / g.groupby(["lang", "n"]).c.transform("sum"))
-            g = g[g.share >= ratio * g.groupby(["n", "h"]).share.transform("max")]
-        parts = [self.langs[i : i + WORD_LANGUAGES] for i in range(0, len(self.langs), WORD_LANGUAGES)]
-        self.filters = [Filter(g[g.lang.isin(part)] if len(parts) > 1 else g, part, probes, bits_per_gram) for part in parts]
+    """The filters of all languages, 64 languages in each. langs: the language of filter k's bit i is langs[64 * k + i]."""
+
+    def __init__(self, langs: list[str], filters: list[Filter]):
+        self.langs, self.filters = langs, filters
 
     def decide(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Predicted language and score (the winner's part of all languages' corrected counts) of each text."""
@@ -147,26 +137,49 @@ class Filters:
         return lang, np.clip(score, 0.0, 1.0)
 
 
-def train(rows: DataFrame, ratio: float = 0.35, sample: int = SAMPLE_PER_LANGUAGE, key: str = "doc_id", lang: str = "lang", text: str = "text") -> Filters:
+def owned(counts: DataFrame, ratio: float) -> DataFrame:
+    """lang, h of the n-grams that belong to a language. counts: lang, n, h, c."""
+    most = stored(counts.groupBy("lang").agg(F.max("c").alias("most")), "language-most")
+    whole = stored(counts.groupBy("lang", "n").agg(F.sum("c").alias("total")), "language-totals")
+    repeated = counts.join(small(most), "lang").filter("c >= 2 or most = 1").join(small(whole), ["lang", "n"])
+    shared = repeated.withColumn("share", F.col("c") / F.col("total"))
+    best = F.max("share").over(Window.partitionBy("n", "h"))  # a row per language
+    return shared.withColumn("best", best).filter(F.col("share") >= F.lit(ratio) * F.col("best")).select("lang", "h")
+
+
+def build(counts: DataFrame, ratio: float, probes: int, bits_per_gram: int) -> Filters:
+    """Filters of counted n-grams. Executors set the bits; the driver only gets the finished masks, one blob for each PART_SLOTS slots."""
+    spark = counts.sparkSession
+    totals = {r[0]: r[1] for r in counts.groupBy("lang").agg(F.sum("c")).collect()}
+    langs = sorted(totals, key=lambda x: (-totals[x], x))
+    bits = spark.createDataFrame([(lang, i // WORD_LANGUAGES, (1 << i % WORD_LANGUAGES) - (1 << 64 if i % WORD_LANGUAGES == 63 else 0)) for i, lang in enumerate(langs)], "lang string, k int, bit long")
+    grams = stored(owned(counts, ratio).join(F.broadcast(bits), "lang").groupBy("k", "h").agg(F.bit_or("bit").alias("mask")), "language-grams")
+    size = {r[0]: 1 << max(10, int(np.ceil(np.log2(r[1] * bits_per_gram / 8)))) for r in grams.groupBy("k").count().collect()}
+    slots = spark.createDataFrame([(k, n - 1) for k, n in size.items()], "k int, low long")
+    places = F.array(*[F.shiftrightunsigned("h", PROBE_SHIFT * i).bitwiseAND(F.col("low")) for i in range(probes)])
+    each = grams.join(F.broadcast(slots), "k").select("k", "mask", F.explode(places).alias("slot"))
+    filled = each.groupBy("k", "slot").agg(F.bit_or("mask").alias("mask")).withColumn("part", F.floor(F.col("slot") / PART_SLOTS))
+
+    def blob(t: pa.Table) -> pa.Table:
+        masks = np.zeros(PART_SLOTS, np.int64)
+        masks[t.column("slot").to_numpy() % PART_SLOTS] = t.column("mask").to_numpy()
+        return pa.table({"k": t.column("k").slice(0, 1), "part": t.column("part").slice(0, 1), "masks": pa.array([masks.tobytes()], pa.binary())})
+
+    whole = {k: np.zeros(max(n, PART_SLOTS), np.uint64) for k, n in size.items()}
+    for r in filled.groupBy("k", "part").applyInArrow(blob, "k int, part long, masks binary").toLocalIterator():
+        whole[r.k][r.part * PART_SLOTS : (r.part + 1) * PART_SLOTS] = np.frombuffer(r.masks, np.uint64)
+    parts = range(0, len(langs), WORD_LANGUAGES)
+    return Filters(langs, [Filter(whole[k][: size[k]] if k in size else np.zeros(1 << 10, np.uint64), len(langs[at : at + WORD_LANGUAGES]), probes) for k, at in enumerate(parts)])
+
+
+def train(rows: DataFrame, ratio: float = 0.35, sample: int = SAMPLE_PER_LANGUAGE, key: str = "doc_id", lang: str = "lang", text: str = "text", probes: int = 2, bits_per_gram: int = 16) -> Filters:
     """Filters from rows' languages: about `sample` whole documents of each, those with the smallest key hashes."""
     known = rows.filter(F.col(lang).isNotNull() & F.col(text).isNotNull())
-    sizes = [(r[0], r[1]) for r in known.groupBy(F.col(lang).alias("lang")).agg(F.count("*").alias("n")).collect()]
-    if not sizes:
-        return Filters(pd.DataFrame({"lang": [], "n": [], "h": [], "c": []}), ratio)
-    shares = rows.sparkSession.createDataFrame([(name, min(1.0, sample / n)) for name, n in sizes], "lang string, share double")
+    sizes = stored(known.groupBy(F.col(lang).cast("string").alias("lang")).agg(F.count("*").alias("rows")), "language-sizes")
     place = F.pmod(F.xxhash64(F.col(key).cast("string")), F.lit(1 << 20)) / float(1 << 20)
     keyed = known.select(F.col(lang).cast("string").alias("lang"), F.col(text).alias("text"), place.alias("place"))
-    chosen = keyed.join(F.broadcast(shares), "lang").filter("place < share").select("lang", "text")
-    from pyspark.sql.window import Window
-
-    rank = F.row_number().over(Window.partitionBy("lang", "n").orderBy(F.desc("c"), "h"))
-    most = lambda counted: counted.withColumn("r", rank).filter(F.col("r") <= MAX_GRAMS // len(ORDERS)).drop("r").toPandas()
-    grams = most(gram_counts(chosen).filter("c >= 2"))
-    rest = {name for name, _ in sizes} - set(grams.lang)
-    if rest:
-        missing = rows.sparkSession.createDataFrame([(name,) for name in sorted(rest)], "lang string")
-        grams = pd.concat([grams, most(gram_counts(chosen.join(F.broadcast(missing), "lang", "left_semi")))], ignore_index=True)
-    return Filters(grams, ratio)
+    chosen = keyed.join(small(sizes), "lang").filter(F.col("place") * F.col("rows") < sample).select("lang", "text")
+    return build(stored(gram_counts(chosen), "language-counts"), ratio, probes, bits_per_gram)
 
 
 def predict(docs: DataFrame, filters: Filters, text: str = "text") -> DataFrame:
@@ -174,8 +187,6 @@ def predict(docs: DataFrame, filters: Filters, text: str = "text") -> DataFrame:
     docs = docs.drop("lang_pred", "score")
     held = docs.sparkSession.sparkContext.broadcast(filters)
     names = docs.columns
-    from pyspark.sql import types as T
-
     schema = T.StructType([*docs.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
 
     def run(batches):
@@ -183,7 +194,7 @@ def predict(docs: DataFrame, filters: Filters, text: str = "text") -> DataFrame:
             lang, score = held.value.decide(batch.column(text))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score)], [*names, "lang_pred", "score"])
 
-    return docs.mapInArrow(run, schema)
+    return in_arrow(docs, run, schema)
 
 
 def remainder(key, n: int):

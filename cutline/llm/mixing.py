@@ -6,7 +6,7 @@ each document weighing 1. The dual of that problem is convex, with one multiplie
 tilts the base rates exponentially: r = cap * e^z / (cap - 1 + e^z), z = multiplier * size / (mean size of its source),
 which is e^z where the cap is far off. Newton iterations with a bracket (bisection where a step
 leaves it) solve it; each iteration is one distributed aggregate over the (source, size) histogram, whose
-sums are exact decimals, so that partitioning can't change them. Only one row per source reaches the driver.
+sums are exact decimals, so that partitioning can't change them. Multipliers and brackets are a table with one row per source; no source reaches the driver.
 
 Rates become copies per (source, size) cell: copies are handed out so that running totals in order of falling
 size stay within half a document of the running expected number, and what is then missing of a source's words
@@ -22,10 +22,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import WORD, numbered, stored, table
+from .common import WORD, numbered, small, stored, table
 
-#: More sources than this don't fit a mix's table of targets; the driver holds one row for each.
-MAX_SOURCES = 100_000
+#: The multiplier of a source whose rate is the cap or 0 to the last bit.
+BOUND = 60.0
 
 
 def source_targets(cells: DataFrame, weights: list[float], share: float, cap: float) -> DataFrame:
@@ -57,50 +57,45 @@ def _rate(z, cap: float):
 
 
 def balance(cells: DataFrame, targets: DataFrame, cap: float, tolerance: float = 1e-6, rounds: int = 60) -> DataFrame:
-    """source, multiplier: where the words at the tilted rates meet the targets within tolerance * target.
+    """source, multiplier, mean: where the words at the tilted rates meet the targets within tolerance * target.
 
     cells: source, size, n. targets: source, source_size, target. A target of cap times its source has the
-    multiplier +60 (rate cap to the last bit), a target of 0 has -60.
+    multiplier BOUND, a target of 0 has -BOUND. The state is a table with one row per source; every round writes it anew.
     """
-    spark = cells.sparkSession
-    known = targets.join(cells.groupBy("source").agg(F.sum("n").alias("docs")).withColumnRenamed("source", "s"), F.col("source").eqNullSafe(F.col("s"))).drop("s")
-    rows = known.select("source", "source_size", "target", "docs").limit(MAX_SOURCES + 1).collect()
-    if len(rows) > MAX_SOURCES:
-        raise ValueError(f"more than {MAX_SOURCES} sources")
-    state = {}
-    for r in rows:
-        whole = float(r.source_size) * cap
-        fixed = 60.0 if r.target >= whole * (1 - 1e-12) else -60.0 if r.target <= 0 else None
-        state[r.source] = {"x": fixed if fixed is not None else 0.0, "lo": -60.0, "hi": 60.0, "done": fixed is not None, "target": r.target, "mean": float(r.source_size) / r.docs if r.source_size else 1.0}
-    schema = "source string, multiplier double, mean double"
+    counted = cells.groupBy(F.col("source").alias("s")).agg(F.sum("n").alias("docs"))
+    known = targets.join(counted, F.col("source").eqNullSafe(F.col("s")))
+    fixed = F.when(F.col("target") >= F.col("source_size") * F.lit(cap * (1 - 1e-12)), BOUND).when(F.col("target") <= 0, -BOUND)
+    mean = F.when(F.col("source_size") > 0, F.col("source_size").cast("double") / F.col("docs")).otherwise(1.0)
+    state = stored(
+        known.select("source", "target", mean.alias("mean"), F.coalesce(fixed, F.lit(0.0)).alias("multiplier"), F.lit(-BOUND).alias("low"), F.lit(BOUND).alias("high"), fixed.isNotNull().alias("done")),
+        "mix-state",
+    )
+    scaled = F.col("size") / F.col("mean")
+    rate = _rate(F.col("multiplier") * scaled, cap)
+    words = F.col("n") * F.col("size") * rate
+    slope = words * (1 - rate / cap) * scaled
+    exact = lambda c: F.sum(c.cast("decimal(38,9)")).cast("double")
     for _ in range(rounds):
-        open_ = [(s, v["x"], v["mean"]) for s, v in state.items() if not v["done"]]
-        if not open_:
+        open_ = state.filter("not done")
+        if open_.isEmpty():
             break
-        at = spark.createDataFrame(open_, schema).withColumnRenamed("source", "s")
-        scaled = F.col("size") / F.col("mean")
-        rate = _rate(F.col("multiplier") * scaled, cap)
-        words = F.col("n") * F.col("size") * rate
-        slope = words * (1 - rate / cap) * scaled
-        exact = lambda c: F.sum(c.cast("decimal(38,9)"))
-        got = cells.join(F.broadcast(at), F.col("source").eqNullSafe(F.col("s"))).groupBy("source").agg(exact(words).alias("words"), exact(slope).alias("slope")).collect()
-        for r in got:
-            v = state[r.source]
-            gap = float(r.words) - v["target"]
-            if abs(gap) <= tolerance * v["target"]:
-                v["done"] = True
-                continue
-            v["hi" if gap > 0 else "lo"] = v["x"]
-            step = v["x"] - gap / float(r.slope) if r.slope else None
-            v["x"] = step if step is not None and v["lo"] < step < v["hi"] else (v["lo"] + v["hi"]) / 2
-    return spark.createDataFrame([(s, v["x"], v["mean"]) for s, v in state.items()], schema)
+        at = small(open_.select(F.col("source").alias("s"), "multiplier", "mean"))
+        got = cells.join(at, F.col("source").eqNullSafe(F.col("s"))).groupBy("s").agg(exact(words).alias("words"), exact(slope).alias("slope"))
+        gap, x = F.col("words") - F.col("target"), F.col("multiplier")
+        met = F.abs(gap) <= tolerance * F.col("target")
+        low, high = F.when(gap > 0, F.col("low")).otherwise(x), F.when(gap > 0, x).otherwise(F.col("high"))
+        bracketed = open_.join(got, F.col("source").eqNullSafe(F.col("s"))).select("source", "target", "mean", "multiplier", low.alias("low"), high.alias("high"), met.alias("done"), (x - F.when(F.col("slope") > 0, gap / F.col("slope"))).alias("step"))
+        inside = F.when((F.col("step") > F.col("low")) & (F.col("step") < F.col("high")), F.col("step")).otherwise((F.col("low") + F.col("high")) / 2)
+        stepped = bracketed.withColumn("multiplier", F.when(F.col("done"), x).otherwise(inside)).select(*state.columns)
+        state = stored(state.filter("done").unionByName(stepped), "mix-state")
+    return state.select("source", "multiplier", "mean")
 
 
 def copies_per_cell(cells: DataFrame, targets: DataFrame, multipliers: DataFrame, cap: int) -> DataFrame:
     """source, size, n, copies: whole copies of each cell's documents, near the tilted rates and the source's target."""
     by_source = lambda x: x.withColumnRenamed("source", "s")
     same = F.col("source").eqNullSafe(F.col("s"))
-    rated = cells.join(F.broadcast(by_source(multipliers)), same).drop("s").withColumn("rate", _rate(F.col("multiplier") * F.col("size") / F.col("mean"), float(cap)))
+    rated = cells.join(small(by_source(multipliers)), same).drop("s").withColumn("rate", _rate(F.col("multiplier") * F.col("size") / F.col("mean"), float(cap)))
     falling = Window.partitionBy("source").orderBy(F.col("size").desc()).rowsBetween(Window.unboundedPreceding, 0)
     expected = F.sum((F.col("n") * F.col("rate")).cast("decimal(38,9)")).over(falling)
     due = F.floor(expected + F.lit(0.5)).cast("long")
@@ -109,7 +104,7 @@ def copies_per_cell(cells: DataFrame, targets: DataFrame, multipliers: DataFrame
     first = rounded.withColumn("copies", F.greatest(F.lit(0), F.least(F.col("n") * cap, F.col("due") - last)))
     whole = Window.partitionBy("source")
     missing = F.round(F.col("target")).cast("long") - F.sum(F.col("copies") * F.col("size")).over(whole)
-    lacking = first.join(F.broadcast(by_source(targets.select("source", "target"))), same).drop("s").withColumn("missing", missing)
+    lacking = first.join(small(by_source(targets.select("source", "target"))), same).drop("s").withColumn("missing", missing)
     room = F.when(F.col("missing") > 0, F.col("n") * cap - F.col("copies")).otherwise(F.col("copies"))
     rising = Window.partitionBy("source").orderBy("size").rowsBetween(Window.unboundedPreceding, -1)
     roomy = lacking.withColumn("room", F.when(F.col("size") > 0, room).otherwise(0)).withColumn("before", F.coalesce(F.sum(F.col("room") * F.col("size")).over(rising), F.lit(0)))
@@ -127,12 +122,13 @@ def mix(docs: DataFrame, key: str = "doc_id", source: str = "source", text: str
     sized = stored(docs.select(F.col(key).alias("key"), F.col(source).cast("string").alias("source"), word_count(F.col(text)).alias("size")), "mix-sizes")
     cells = stored(sized.groupBy("source", "size").agg(F.count("*").alias("n")), "mix-cells")
     targets = stored(source_targets(cells, list(weights), share, float(cap)), "mix-targets")
-    copies = copies_per_cell(cells, targets, balance(cells, targets, float(cap)), cap)
+    copies = stored(copies_per_cell(cells, targets, balance(cells, targets, float(cap)), cap), "mix-copies")
     cell = copies.select(F.col("source").alias("s"), F.col("size").alias("z"), F.floor(F.col("copies") / F.col("n")).alias("each"), F.pmod("copies", "n").alias("odd"))
     ranked = numbered(sized, ["source", "size"], ["key"], "place")
-    taken = ranked.join(cell, F.col("source").eqNullSafe(F.col("s")) & (F.col("size") == F.col("z")))
+    # source and size of a cell are the hot keys of this join, so a table of cells that is small enough goes to the documents
+    taken = ranked.join(small(cell), F.col("source").eqNullSafe(F.col("s")) & (F.col("size") == F.col("z")))
     taken = taken.withColumn("copies", (F.col("each") + (F.col("place") < F.col("odd")).cast("int")).cast("long"))
-    out = taken.drop("s", "z").join(F.broadcast(targets.withColumnRenamed("source", "s")), F.col("source").eqNullSafe(F.col("s")))
+    out = taken.drop("s", "z").join(small(targets.withColumnRenamed("source", "s")), F.col("source").eqNullSafe(F.col("s")))
     return out.select(F.col("key").alias(key), F.col("source").alias(source), "size", "source_size", "target", "copies")
 
 

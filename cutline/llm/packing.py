@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import numbered, stored, table
+from .common import in_arrow, numbered, stored, table
 
 #: The split pattern of the byte-level vocabulary family, as its tokenizers library states it. Fixed value.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -43,18 +43,20 @@ def encoder(path: str):
     """text -> ids as numpy, equal to the tokenizers library's encode(text, add_special_tokens=False) with the file at path.
 
     A merge table in a byte-level vocabulary is the order of its ids, so the much faster tiktoken can run the same file. That is
-    checked against the tokenizers library on probes; if they differ, or tiktoken gives up on a text, the tokenizers library encodes.
+    checked against the tokenizers library on probes; if they differ, or tiktoken is missing or gives up on a text, the tokenizers library
+    encodes. It is loaded only for the probes and such texts, as either holds the whole vocabulary in memory.
     """
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    import tiktoken
     from tokenizers import Tokenizer
 
-    slow = Tokenizer.from_file(path)
-    with open(path, encoding="utf-8") as f:
-        spec = json.load(f)
-    special = {x["content"]: x["id"] for x in spec.get("added_tokens", [])}
-    plain = lambda text: np.array(slow.encode(text, add_special_tokens=False).ids, np.uint32)
+    slow = functools.lru_cache(maxsize=1)(lambda: Tokenizer.from_file(path))
+    plain = lambda text: np.array(slow().encode(text, add_special_tokens=False).ids, np.uint32)
     try:
+        import tiktoken
+
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        special = {x["content"]: x["id"] for x in spec.get("added_tokens", [])}
         of = _byte_of_char()
         ranks = {bytes(of[c] for c in token): i for token, i in spec["model"]["vocab"].items() if token not in special}
         fast = tiktoken.Encoding("vocabulary", pat_str=SPLIT, mergeable_ranks=ranks, special_tokens=special)
@@ -62,7 +64,8 @@ def encoder(path: str):
         probes = ["", " a  b\n\n c", "It's 12 äöü€ ", "漢字 x\t\r\n", *special, *(f"a{s} b" for s in special)]
         if any(not np.array_equal(quick(p), plain(p)) for p in probes):
             return plain
-    except (KeyError, ValueError):
+        slow.cache_clear()
+    except (ImportError, KeyError, ValueError):
         return plain
 
     def encode(text: str) -> np.ndarray:
@@ -158,7 +161,7 @@ def tokenise(docs: DataFrame, path: str, capacity: int, end_id: int, key: str =
 
     kind = docs.schema[key].dataType.simpleString()
     schema = f"key {kind}, start long, length long, ids_crc32 long, doc_tokens long" + (", ids array<int>" if keep_ids else "")
-    return docs.select(F.col(key).alias("key"), F.col(text).cast("string").alias("text")).mapInArrow(cut, schema).withColumnRenamed("key", key)
+    return in_arrow(docs.select(F.col(key).alias("key"), F.col(text).cast("string").alias("text")), cut, schema).withColumnRenamed("key", key)
 
 
 def place(pieces: DataFrame, capacity: int, key: str = "doc_id") -> DataFrame:
@@ -188,7 +191,7 @@ def place(pieces: DataFrame, capacity: int, key: str = "doc_id") -> DataFrame:
     from pyspark.sql import types as T
 
     schema = T.StructType([*pieces.schema.fields, T.StructField("sequence_id", T.LongType()), T.StructField("offset", T.LongType())])
-    return ranked.mapInArrow(assign, schema)
+    return in_arrow(ranked, assign, schema)
 
 
 def pack(docs: DataFrame, path: str, capacity: int = 2048, end_id: int = 1, key: str = "doc_id", text: str = "text", keep_ids: bool = False) -> DataFrame:

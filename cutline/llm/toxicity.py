@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import stored, table
+from .common import in_arrow, stored, table
 from .language import remainder
 from .ngrams import chunks, rolling, spans
 
@@ -79,7 +79,7 @@ def count_features(labelled: DataFrame) -> tuple[np.ndarray, np.ndarray, int, in
 
     schema = "label int, part int, counts binary, n long"
     counts, n = np.zeros((2, SLOTS), np.int64), [0, 0]
-    for r in labelled.select("text", "label").repartition(COUNTERS).mapInArrow(count, schema).groupBy("label", "part").applyInArrow(add, schema).collect():
+    for r in in_arrow(labelled.select("text", "label").repartition(COUNTERS), count, schema).groupBy("label", "part").applyInArrow(add, schema).collect():
         counts[r.label, r.part * PART : (r.part + 1) * PART] = np.frombuffer(r.counts, np.int32)
         n[r.label] = r.n
     return counts[0], counts[1], *n
@@ -163,7 +163,7 @@ def train(labelled: DataFrame, rows: int, features: int = FEATURES, sample: int
                 ends = np.searchsorted(row, np.arange(n + 1))
                 yield pa.RecordBatch.from_arrays([pa.array(labels[at : at + n].astype(np.int32)), pa.array([slot[ends[i] : ends[i + 1]].astype(np.int32).tobytes() for i in range(n)], pa.binary())], ["y", "slots"])
 
-    rows = labelled.mapInArrow(sparse, "y int, slots binary").toPandas()
+    rows = in_arrow(labelled, sparse, "y int, slots binary").toPandas()
     lengths = rows.slots.map(len).to_numpy() // 4
     cols = column_of[np.frombuffer(b"".join(rows.slots), np.int32)]
     # values are the log-count ratios, so the fitted weight is multiplied by them
@@ -183,7 +183,7 @@ def predict(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
             score = held.value.score(batch.column(text))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(score), pa.array((score >= 0.5).astype(np.int32))], [*names, "score", "predicted"])
 
-    return docs.mapInArrow(run, schema)
+    return in_arrow(docs, run, schema)
 
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
