@@ -21,31 +21,38 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     return found.filter(F.col("lang_pred") != "und").withColumn("lang", F.coalesce("lang", "lang_pred")).select(*COLUMNS)
 
 
+def keyed(docs: DataFrame) -> DataFrame:
+    """docs with `row`: doc_id and a hash of all columns. Rows with the same key are equal, so which of them stays makes no difference."""
+    return docs.select(*COLUMNS, F.struct("doc_id", F.xxhash64(*COLUMNS).alias("hash")).alias("row"))
+
+
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the lines that ten or more of them share; a document that loses all its lines stays as an empty text."""
-    done = line_dedup.dedup_lines(docs.select(*COLUMNS))
+    """Documents without the lines that ten or more of them share, but for the one that keeps them: of exact copies one stays whole. A document that loses all its lines stays as an empty text."""
+    done = line_dedup.dedup_lines(docs.select(*COLUMNS), keep="first")
     return done.withColumn("text", F.col("kept")).withColumn("n_chars", F.length("kept").cast("long")).select(*COLUMNS)
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate component: the one with the smallest doc_id. Repeated rows of a doc_id count once."""
-    docs = docs.select(*COLUMNS)
-    classes = stored(near_dup.near_duplicates(docs.select("doc_id", "text")), "classes")
-    others = classes.filter(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct()
-    kept = docs.join(others, "doc_id", "left_anti")
-    repeated = classes.groupBy("doc_id").count().filter("count > 1 and doc_id is not null").select("doc_id")
+    """One row of each near-duplicate component: the one with the smallest doc_id (and hash, where rows share a doc_id). Equal rows count once; a text without words is a group of its own."""
+    docs = keyed(docs)
+    classes = stored(near_dup.near_duplicates(docs.select("row", "text"), key="row"), "classes")
+    others = classes.filter(F.col("row") != F.col("component_id")).select("row").distinct()
+    kept = docs.join(others, "row", "left_anti")
+    repeated = stored(classes.groupBy("row").count().filter("count > 1").select("row"), "repeated")
     if repeated.isEmpty():
-        return kept
-    once = kept.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.join(repeated, "doc_id", "left_anti").unionByName(once)
+        return kept.select(*COLUMNS)
+    once = kept.join(repeated, "row", "left_semi").dropDuplicates(["row"])
+    return kept.join(repeated, "row", "left_anti").unionByName(once).select(*COLUMNS)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them: no time, once or twice."""
-    docs = docs.select(*COLUMNS)
-    copies = mixing.mix(docs).groupBy(F.col("doc_id").alias("id")).agg(F.max("copies").alias("copies")).filter("copies > 0")
-    taken = docs.join(copies, F.col("doc_id").eqNullSafe(F.col("id")))
-    return taken.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*COLUMNS)
+    docs = keyed(docs)
+    copies = stored(mixing.mix(docs, key="row").groupBy("row").agg(F.sum("copies").alias("copies"), F.count("*").alias("rows")), "row-copies")
+    once = docs.join(copies.filter("copies > 0"), "row")
+    if not copies.filter("rows > 1").isEmpty():  # of equal rows one stands for all
+        once = once.filter("rows = 1").unionByName(once.filter("rows > 1").dropDuplicates(["row"]))
+    return once.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*COLUMNS)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -61,7 +68,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: Tokenising is beyond SQL; tests check each stage against a brute-force version.
+#: Tokenising is beyond SQL; tests/llm checks each stage against a brute-force version.
 ORACLE_SQL = None
 
 

@@ -4,19 +4,25 @@ Sets of word shingles are ordered by one global order: shingles that are frequen
 others by hash. Two sets of sizes n and m with the wanted Jaccard similarity share at least
 req = ceil(t / (1 + t) * (n + m)) shingles, so they share one among the first n - req + 1 of the one and m - req + 1 of the
 other, and at least L among the first n - req + L and m - req + L. Each document chooses its L: the one of least estimated cost, that
-is the total length of its prefix's lists plus the candidates that can match L times in them. A pair needs the smaller L of its
-two documents, within the prefixes that its own two sizes give.
+is the total length of its prefix's lists plus the candidates that can match L times in them. The length of a frequent shingle's list is
+known; that of the others is estimated for each document by the mean over those of its shingles that fall into a hash sample of
+all shingles, whose lists are counted over all documents. A pair needs the smaller L of its two documents, within the prefixes
+that its own two sizes give.
 
-1. One pass gives each text's set size and signature; equal sets are one *set* from here on. It also finds the corpus' frequent shingles.
+1. One pass gives each text's set size and signature; equal sets are one *set* from here on. It also counts the corpus' frequent and sampled shingles.
 2. Each set's prefix is dealt by shingle. Short lists give all their pairs at once, with their matches. As the prefixes are long enough
    for the most unequal sizes, a pair of similar sizes can be held to the larger L that both whole prefixes allow: its matches in
    short lists, and as many more as the two have shingles in long lists, must reach it. In long lists only one hub, the set with the
-   smallest part of rare shingles, is paired with the others, in one streaming pass.
+   smallest part of rare shingles, is paired with the others, in one streaming pass. The lists of frequent shingles are dealt into piles of
+   about PILE sets, each with its hub, and the hubs of a shingle's piles are paired with the first of them, so that no list is one task.
 3. Pairs are checked exactly on whole texts, and links are contracted to components.
 4. In long lists, sets outside the list's largest component are paired with the sets of other components, by size class, where one
    of their first shingles meets (L = 1: longer prefixes would meet everywhere in such lists), and are checked as well. Sets of one component need no further check, so
    a group of copies never gives all its pairs; no link between different components is lost.
 
+`near_duplicates` finds components and needs no more links than join them; `similar_pairs` finds every link between different
+sets, and `link_counts` every document's number of links, at the cost of all these pairs.
+
 Defined results: null and empty texts have empty sets and link with nothing; exact copies, repeated rows and texts with equal sets share a component;
 the component's id is its smallest doc_id; an empty table gives an empty result. Sets are told apart by 64-bit signatures.
 """
@@ -28,8 +34,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import discard, stored, table
-from .shingles import sets, signature
+from .common import discard, in_arrow, stored, table
+from .shingles import mixed, sets, signature
 
 #: Similarity as a fraction: 75 / 100.
 NUMERATOR, DENOMINATOR = 75, 100
@@ -38,6 +44,12 @@ NUMERATOR, DENOMINATOR = 75, 100
 FREQUENT, MAX_FREQUENT = 16, 500_000
 #: Lists of more sets than this are long.
 LONG = 16
+#: Sets of a pile of a frequent shingle's list, about.
+PILE = 256
+#: Shingles whose hash ends in so many zero bits are counted in all documents, for cost estimates; more bits where more than MAX_SAMPLED of them stand in two documents or more.
+SAMPLE_BITS, MAX_SAMPLED = 5, 500_000
+#: Shingles that a task holds before it counts them.
+HELD_SHINGLES = 1_000_000
 MOST_MATCHES = 4
 CHECK_COST = 20.0
 #: Sets of candidate pairs whose ids a broadcast may hold (about 40 bytes each); beyond it their texts are found by a shuffled join.
@@ -53,18 +65,38 @@ def required(n, m):
     return -(-(NUMERATOR * (n + m)) // (NUMERATOR + DENOMINATOR))
 
 
-def describe_docs(docs: DataFrame, key: str, text: str) -> tuple[DataFrame, np.ndarray, np.ndarray]:
-    """(key, n, rid) of each row; the frequent shingles in hash order and their counts."""
+class Lists:
+    """What every task knows of the lists' lengths: those of frequent shingles, those of sampled ones, and the mean of the latter."""
+
+    def __init__(self, frequent: np.ndarray, counts: np.ndarray, sampled: np.ndarray, lengths: np.ndarray, mask: int, mean: float):
+        self.frequent, self.counts, self.sampled, self.lengths, self.mask, self.mean = frequent, counts, sampled, lengths, np.uint64(mask), mean
+
+    def others(self, s: np.ndarray) -> float:
+        """The estimated mean number of other sets in the lists of a set's infrequent shingles."""
+        own = s[(s & self.mask) == 0]
+        if not len(own):
+            return self.mean
+        if not len(self.sampled):
+            return 0.0
+        at = np.minimum(np.searchsorted(self.sampled, own), len(self.sampled) - 1)
+        return float(np.where(self.sampled[at] == own, self.lengths[at] - 1, 0).mean())
+
+
+def describe_docs(docs: DataFrame, key: str, text: str) -> tuple[DataFrame, Lists]:
+    """(key, n, rid) of each row, and the lengths of lists."""
+    low = np.uint64((1 << SAMPLE_BITS) - 1)
 
     def run(batches):
         held, size = [], 0
 
         def flush():
             u, c = np.unique(np.concatenate([np.zeros(0, np.uint64), *held]), return_counts=True)
-            own = c > 1
-            return pa.RecordBatch.from_arrays([pa.nulls(int(own.sum()), kind), pa.array(c[own].astype(np.int64)), pa.array(u[own].view(np.int64)), pa.array(np.ones(int(own.sum()), bool))], names)
+            own, part = c > 1, (u & low) == 0
+            n = int(own.sum()), int(part.sum())
+            kinds = np.repeat(np.array([1, 2], np.int32), n)
+            return pa.RecordBatch.from_arrays([pa.nulls(sum(n), kind), pa.array(np.concatenate([c[own], c[part]]).astype(np.int64)), pa.array(np.concatenate([u[own], u[part]]).view(np.int64)), pa.array(kinds)], names)
 
-        names, kind = ["key", "n", "h", "shingle"], None
+        names, kind = ["key", "n", "h", "kind"], None
         for batch in batches:
             kind, n, rid = batch.schema.field(0).type, [], []
             for s in sets(batch.column(1)):
@@ -72,67 +104,78 @@ def describe_docs(docs: DataFrame, key: str, text: str) -> tuple[DataFrame, np.n
                 rid.append(signature(s) if len(s) else None)
                 held.append(s)
                 size += len(s)
-                if size > 4_000_000:
+                if size > HELD_SHINGLES:
                     yield flush()
                     held, size = [], 0
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(rid, pa.int64()), pa.array(np.zeros(len(n), bool))], names)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(rid, pa.int64()), pa.array(np.zeros(len(n), np.int32))], names)
         if kind is not None:
             yield flush()
 
-    kind = docs.schema[key].dataType.simpleString()
-    both = stored(docs.select(F.col(key).alias("key"), F.col(text).cast("string")).mapInArrow(run, f"key {kind}, n long, h long, shingle boolean"), "sets")
-    frequent = both.filter("shingle").groupBy("h").agg(F.sum("n").alias("n")).filter(F.col("n") >= FREQUENT).orderBy(F.desc("n"), "h").limit(MAX_FREQUENT).toPandas()
-    order = np.argsort(frequent.h.to_numpy(np.int64).view(np.uint64))
-    return both.filter("not shingle").select("key", "n", F.col("h").alias("rid")), frequent.h.to_numpy(np.int64).view(np.uint64)[order], frequent.n.to_numpy(np.int64)[order]
-
-
-def prefix(s: np.ndarray, frequent: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, int, int]:
-    """A set's prefix in the global order, its number of matches L, and its rarity (0 to 255)."""
-    n = len(s)
-    at = np.searchsorted(frequent, s)
-    known = np.zeros(n, bool)
-    if len(frequent):
-        at = np.minimum(at, len(frequent) - 1)
-        known = frequent[at] == s
-    df = np.where(known, counts[at], 1) if len(frequent) else np.ones(n, np.int64)
-    order = np.argsort(df, kind="stable")
+    type_ = docs.schema[key].dataType.simpleString()
+    both = stored(in_arrow(docs.select(F.col(key).alias("key"), F.col(text).cast("string")), run, f"key {type_}, n long, h long, kind int"), "sets")
+    frequent = both.filter("kind = 1").groupBy("h").agg(F.sum("n").alias("n")).filter(F.col("n") >= FREQUENT).orderBy(F.desc("n"), "h").limit(MAX_FREQUENT).toPandas()
+    of = lambda t, c: t[c].to_numpy(np.int64)
+    order = np.argsort(of(frequent, "h").view(np.uint64))
+    # of the sampled shingles only infrequent ones tell about lists whose lengths are not known
+    counted = stored(both.filter("kind = 2").groupBy("h").agg(F.sum("n").alias("n")).filter(F.col("n") < FREQUENT), "sampled")
+    whole = counted.agg(F.sum("n").alias("n"), F.sum(F.col("n") * (F.col("n") - 1)).alias("others")).first()
+    levels = {b: counted.filter(F.col("n") > 1).filter(F.col("h").bitwiseAND(F.lit((1 << b) - 1)) == 0) for b in range(SAMPLE_BITS, 40, 4)}
+    bits = next(b for b, t in levels.items() if b == max(levels) or t.count() <= MAX_SAMPLED)
+    sampled = levels[bits].toPandas()
+    by = np.argsort(of(sampled, "h").view(np.uint64))
+    known = Lists(of(frequent, "h").view(np.uint64)[order], of(frequent, "n")[order], of(sampled, "h").view(np.uint64)[by], of(sampled, "n")[by], (1 << bits) - 1, float(whole.others or 0) / max(1, whole.n or 0))
+    return both.filter("kind = 0").select("key", "n", F.col("h").alias("rid")), known
+
+
+def prefix(s: np.ndarray, known: Lists) -> tuple[np.ndarray, np.ndarray, int, int]:
+    """A set's prefix in the global order, its frequent shingles' counts (0 for others), its number of matches L, and its rarity (0 to 255)."""
+    n, count = len(s), np.zeros(len(s), np.int64)
+    if len(known.frequent):
+        at = np.minimum(np.searchsorted(known.frequent, s), len(known.frequent) - 1)
+        count = np.where(known.frequent[at] == s, known.counts[at], 0)
+    order = np.argsort(count, kind="stable")
     least = n - -(-NUMERATOR * n // DENOMINATOR) + 1
-    lists = np.cumsum(df[order[: least + MOST_MATCHES - 1]] - 1)
+    first = count[order[: least + MOST_MATCHES - 1]]
+    lists = np.cumsum(np.where(first > 0, first - 1, known.others(s[count == 0])))
     most = min(MOST_MATCHES, -(-NUMERATOR * n // DENOMINATOR))
     cost = [float(lists[min(least + k - 1, len(lists) - 1)]) * (1 + CHECK_COST / (k + 1)) for k in range(most)]
     k = int(np.argmin(cost))
-    return s[order[: least + k]], k + 1, int(255 * (n - known.sum()) // n)
+    return s[order[: least + k]], count[order[: least + k]], k + 1, int(255 * (count == 0).sum() // n)
 
 
-def postings(docs: DataFrame, text: str, frequent: np.ndarray, counts: np.ndarray) -> DataFrame:
-    """token, meta, rid of all prefixes; meta sorts by rarity and holds size, position and matches."""
-    held = docs.sparkSession.sparkContext.broadcast((frequent, counts))
+def postings(docs: DataFrame, text: str, known: Lists) -> DataFrame:
+    """token, pile, meta, rid of all prefixes; meta sorts by rarity and holds size, position and matches. pile: 0, or from 1 on for frequent shingles of more than PILE sets."""
+    held = docs.sparkSession.sparkContext.broadcast(known)
 
     def run(batches):
-        for batch in batches:
-            tokens, metas, rids, size = [], [], [], 0
+        names = ["token", "pile", "meta", "rid"]
+        parts, size = [[] for _ in names], 0
 
-            def flush(tokens=tokens, metas=metas, rids=rids):
-                columns = [np.concatenate([np.zeros(0, np.int64), *x]) for x in (tokens, metas, rids)]
-                for x in (tokens, metas, rids):
-                    x.clear()
-                return pa.RecordBatch.from_arrays([pa.array(x) for x in columns], ["token", "meta", "rid"])
+        def flush():
+            columns = [np.concatenate([np.zeros(0, np.int64), *x]) for x in parts]
+            for x in parts:
+                x.clear()
+            return pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names)
 
+        for batch in batches:
+            seen = set()  # copies of a set stand in each list once
             for s in sets(batch.column(0)):
-                if not len(s):
+                if not len(s) or (rid := signature(s)) in seen:
                     continue
-                own, matches, rarity = prefix(s, *held.value)
+                seen.add(rid)
+                own, count, matches, rarity = prefix(s, held.value)
                 head = (rarity << (_N + _POS + _L)) | (len(s) << (_POS + _L)) | matches
-                tokens.append(own.view(np.int64))
-                metas.append(head + (np.arange(len(own), dtype=np.int64) << _L))
-                rids.append(np.full(len(own), signature(s), np.int64))
+                piles = -(-count // PILE)
+                place = (mixed(own + np.uint64(rid & 0xFFFFFFFFFFFFFFFF)) >> np.uint64(1)).astype(np.int64)
+                for x, v in zip(parts, (own.view(np.int64), np.where(piles > 1, 1 + place % np.maximum(piles, 1), 0), head + (np.arange(len(own), dtype=np.int64) << _L), np.full(len(own), rid, np.int64)), strict=True):
+                    x.append(v)
                 size += len(own)
-                if size > 500_000:
+                if size > 200_000:
                     yield flush()
                     size = 0
-            yield flush()
+        yield flush()
 
-    return docs.select(F.col(text).cast("string")).mapInArrow(run, "token long, meta long, rid long")
+    return in_arrow(docs.select(F.col(text).cast("string")), run, "token long, pile long, meta long, rid long")
 
 
 def _parts(meta):
@@ -168,7 +211,7 @@ def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
     def run(batches):
         names = ["pair", "token", "a", "meta_a", "b", "meta_b", "c", "every"]
         rest = None  # the rows of the last token so far, if its list is short so far
-        hub = None  # token, rid, meta of the long list at hand
+        hub = None  # token, pile, rid, meta of the long list at hand
 
         def listed(token, rid, meta, lead_rid, lead_meta):
             n = len(rid)
@@ -197,16 +240,18 @@ def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
             c = np.bincount(at.ravel(), competing(meta[x], meta[y]), len(u)).astype(np.int64)
             return pa.RecordBatch.from_arrays([pa.array(np.ones(len(u), bool)), pa.array(np.zeros(len(u), np.int64)), pa.array(u["a"].copy()), pa.array(meta[x[first]]), pa.array(u["b"].copy()), pa.array(meta[y[first]]), pa.array(c), pa.array(every)], names)
 
-        def process(token, meta, rid, final):
+        def process(token, pile, meta, rid, final):
             nonlocal rest, hub
-            new = np.concatenate([[True], (token[1:] != token[:-1]) | (rid[1:] != rid[:-1])])
-            token, meta, rid = token[new], meta[new], rid[new]  # equal sets once in each list
-            starts = np.flatnonzero(np.concatenate([[True], token[1:] != token[:-1]]))
+            other = (token[1:] != token[:-1]) | (pile[1:] != pile[:-1])
+            new = np.concatenate([[True], other | (rid[1:] != rid[:-1])])
+            starts = np.concatenate([[True], other])[new]
+            token, pile, meta, rid = token[new], pile[new], meta[new], rid[new]  # equal sets once in each list
+            starts = np.flatnonzero(starts)
             ends = np.append(starts[1:], len(token))
-            if hub is not None and token[0] == hub[0]:
+            if hub is not None and (token[0], pile[0]) == hub[:2]:
                 e = int(ends[0])
                 # the hub's last row may stand again at the start
-                yield listed(token[:e], rid[:e], meta[:e], np.full(e, hub[1]), np.full(e, hub[2]))
+                yield listed(token[:e], rid[:e], meta[:e], np.full(e, hub[2]), np.full(e, hub[3]))
                 starts, ends = starts[1:], ends[1:]
                 if not len(starts):
                     rest = None
@@ -214,22 +259,22 @@ def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
             hub = None
             if not final:
                 a, e = int(starts[-1]), int(ends[-1])
-                if e - a > long:
-                    hub = (token[a], rid[a], meta[a])
+                if e - a > long or pile[a]:
+                    hub = (token[a], pile[a], rid[a], meta[a])
                     rest = None
                 else:
-                    rest = (token[a:e], meta[a:e], rid[a:e])
+                    rest = (token[a:e], pile[a:e], meta[a:e], rid[a:e])
                     starts, ends = starts[:-1], ends[:-1]
             lengths = ends - starts
-            big = np.flatnonzero(lengths > long)
+            small = (lengths <= long) & (pile[starts] == 0)
+            big = np.flatnonzero(~small)
             for i in big.tolist():
                 a, e = int(starts[i]), int(ends[i])
                 yield listed(token[a:e], rid[a:e], meta[a:e], np.full(e - a, rid[a]), np.full(e - a, meta[a]))
-            small = lengths <= long
             yield paired(rid, meta, starts[small], lengths[small])
 
         for batch in batches:
-            own = [batch.column(c).to_numpy(zero_copy_only=False) for c in ("token", "meta", "rid")]
+            own = [batch.column(c).to_numpy(zero_copy_only=False) for c in ("token", "pile", "meta", "rid")]
             if not len(own[0]):
                 continue
             if rest is not None:
@@ -240,8 +285,8 @@ def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
             last, rest = rest, None
             yield from process(*last, True)
 
-    dealt = posts.repartition("token").sortWithinPartitions("token", "meta", "rid")
-    return dealt.mapInArrow(run, "pair boolean, token long, a long, meta_a long, b long, meta_b long, c long, every long")
+    dealt = posts.repartition("token", "pile").sortWithinPartitions("token", "pile", "meta", "rid")
+    return in_arrow(dealt, run, "pair boolean, token long, a long, meta_a long, b long, meta_b long, c long, every long")
 
 
 def _field(meta: Column, shift: int, bits: int) -> Column:
@@ -274,7 +319,7 @@ def verified(pairs: DataFrame, docs: DataFrame, described: DataFrame, key: str,
             yield pa.RecordBatch.from_arrays([pa.array(rids, pa.int64()), pa.array(blobs, pa.binary())], ["rid", "s"])
 
     texts = docs.select(F.col(key).alias("rep"), F.col(text).cast("string").alias("t")).join(F.broadcast(reps) if reps.count() <= BROADCAST_SETS else reps, F.col("rep").eqNullSafe(F.col("r")))
-    whole = stored(texts.select("t", "rid").mapInArrow(shingled, "rid long, s binary"), "pair-sets")
+    whole = stored(in_arrow(texts.select("t", "rid"), shingled, "rid long, s binary"), "pair-sets")
 
     def check(batches):
         for batch in batches:
@@ -289,7 +334,7 @@ def verified(pairs: DataFrame, docs: DataFrame, described: DataFrame, key: str,
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     side = lambda c: whole.select(F.col("rid").alias(c), F.col("s").alias(f"s{c}"))
-    links = stored(pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").mapInArrow(check, "a long, b long"), "links")
+    links = stored(in_arrow(pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b"), check, "a long, b long"), "links")
     discard(whole)
     return links
 
@@ -342,12 +387,16 @@ def _reachable(pairs: DataFrame, in_long: DataFrame) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", long: int = LONG) -> DataFrame:
     """key, n_shingles, component_id of each row of docs."""
-    described, frequent, counts = describe_docs(docs, key, text)
-    found = stored(candidates(postings(docs, text, frequent, counts), long), "candidates")
+    described, known = describe_docs(docs, key, text)
+    found = stored(candidates(postings(docs, text, known), long), "candidates")
     listed = found.filter("not pair")
     in_long = stored(listed.groupBy(F.col("a").alias("rid")).agg(F.count("*").alias("n")), "in-long")
     swap = F.col("a") > F.col("b")
-    hubs = listed.filter((F.col("a") != F.col("b")) & _competing(F.col("meta_a"), F.col("meta_b"))).select(
+    # the hubs of a shingle's piles meet the first of them
+    piles = listed.groupBy("token", "b").agg(F.first("meta_b").alias("meta_b"))
+    top = piles.groupBy("token").agg(F.min(F.struct("meta_b", "b")).alias("top"), F.count("*").alias("piles")).filter("piles > 1")
+    between = piles.join(top, "token").select("token", F.col("b").alias("a"), F.col("meta_b").alias("meta_a"), F.col("top.b").alias("b"), F.col("top.meta_b").alias("meta_b"))
+    hubs = listed.select(between.columns).unionByName(between).filter((F.col("a") != F.col("b")) & _competing(F.col("meta_a"), F.col("meta_b"))).select(
         F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), *[F.when(swap, F.col(y)).otherwise(F.col(x)).alias(x) for x, y in (("meta_a", "meta_b"), ("meta_b", "meta_a"))],
         F.lit(0).cast("long").alias("c"), F.lit(0).cast("long").alias("every"), F.lit(True).alias("hub"),
     )
@@ -371,6 +420,26 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", lo
     return out.select(F.col("key").alias(key), F.col("n").alias("n_shingles"), F.coalesce("component_id", "key").alias("component_id"))
 
 
+def similar_pairs(docs: DataFrame, key: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
+    """Every link between different sets as (a, b), and the membership (key, rid) of each row in its set; rows of one set are linked with each other."""
+    described, known = describe_docs(docs, key, text)
+    posts = stored(postings(docs, text, known).select("token", "meta", "rid").distinct(), "postings")
+    of = lambda c: posts.select("token", F.col("rid").alias(c), F.col("meta").alias(f"meta_{c}"))
+    met = of("a").join(of("b"), "token").filter((F.col("a") < F.col("b")) & _competing(F.col("meta_a"), F.col("meta_b")))
+    pairs = stored(met.select("a", "b").distinct(), "all-pairs")
+    return verified(pairs, docs, described, key, text), described.select(F.col("key").alias(key), "rid")
+
+
+def link_counts(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """key, n_links: to how many other rows each row of docs is linked."""
+    links, members = similar_pairs(docs, key, text)
+    size = stored(members.filter("rid is not null").groupBy("rid").agg(F.count("*").alias("n")), "set-sizes")
+    both = links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    others = both.join(size.withColumnRenamed("rid", "b"), "b").groupBy(F.col("a").alias("rid")).agg(F.sum("n").alias("others"))
+    whole = size.join(others, "rid", "left").select("rid", (F.col("n") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"))
+    return members.join(whole, "rid", "left").select(key, F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+
+
 def op9_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The near-duplicate component of every document."""
     return near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"))

@@ -92,7 +92,7 @@ def _shingled(words: np.ndarray) -> np.ndarray:
     return mixed(h)
 
 
-def sets(column: pa.Array, most: int = 1_500_000) -> Iterator[np.ndarray]:
+def sets(column: pa.Array, most: int = 800_000) -> Iterator[np.ndarray]:
     """The sorted distinct shingle hashes of each text."""
     raw = column.cast(pa.large_binary()) if pa.types.is_large_string(column.type) else column.cast(pa.binary())
     texts = [t or b"" for t in raw.to_pylist()]
