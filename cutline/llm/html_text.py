@@ -4,21 +4,24 @@ The DOMs of one host are merged into a style tree: nodes with the same path of t
 A node's own importance is the entropy of its presentations (sequences of child tags) over the pages that have it, in units of the
 largest possible entropy; the importance of its text is 1 minus the mean entropy of its text segments, so text that all
 pages share weighs 0 and text of one page weighs 1. A node's composite importance mixes its own with its children's
-(weight damping ** children), and a node whose element or role is page furniture (menus, footers, forms, adverts ...) has none.
-Branches that are below `threshold` with all that is in them are removed from each page of the host; what is left is the page's main text, of the
-article element where the page has one.
+(weight damping ** children). Branches that are below `threshold` with all that is in them are removed from each page of the host,
+whatever their names; the tree knows nothing of elements and class words.
 
-Words in classes and ids are weaker (has-sidebar, comments-open stand on wrappers of the content): the style tree gives such nodes the importance they
-have by entropy, and a page drops them unless they hold its article or main element, a h1 of it, or more than half of its text outside removed branches.
+Entropy can't tell a menu that differs from page to page from content, so what the tree leaves is read with three priors (`roles`):
+elements and roles of page furniture (menus, footers, forms, adverts ...) go; so do nodes with such words in classes and ids, unless they hold
+the page's article or main element, a h1 of it, or more than half of its text outside removed branches (has-sidebar, comments-open stand on
+wrappers of the content); and where the page has a main or a single article element, it is the page's text. Several articles
+are it only if they hold a quarter of the text that the tree leaves, as teasers don't.
 
 Each distinct page counts once for its host: a page whose html stands in k rows of the host adds 1/k of a page from each of them, so copies are not taken for
 what all pages of the host share.
 
 Merging is two distributed aggregates of counts (host, path, presentation or segment); pages of a host never meet in one
-task, and only one row per host and path is put together to a tree.
+task. Nodes that stand on one page only have importance 1 and count for their parent by number alone, so that only one row per host and path of
+two pages or more is put together to a tree.
 
 Defined results: null or empty html is the empty text; a null url is a host of its own; a page whose host has no other page, or
-only copies of it, is judged by roles alone; unclosed and stray tags are mended as browsers do; comments and truncated pages are no error.
+only copies of it, has no tree and is read by the priors alone; unclosed and stray tags are mended as browsers do; comments and truncated pages are no error.
 """
 
 from __future__ import annotations
@@ -34,7 +37,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import stored, table
+from .common import in_arrow, stored, table
 
 DAMPING = 0.9
 THRESHOLD = 0.15
@@ -52,8 +55,9 @@ RAW = ("script", "style", "textarea", "title", "noscript", "iframe", "template",
 CLOSES_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre search section table ul li dd dt tr td th".split())
 SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "thead": {"tr", "td", "th"}, "tbody": {"tr", "td", "th", "thead", "tbody"}, "tfoot": {"tr", "td", "th", "tbody"}}
 SCOPES = frozenset("article body div html main section table ul ol dl td th nav aside header footer form".split())
-# Elements, roles and class words of page furniture.
-FURNITURE = frozenset("nav footer aside form header script style noscript iframe template svg button select textarea input head title menu dialog object embed canvas audio video label".split())
+# Elements whose content is no text of the page; elements, roles and class words of page furniture.
+SILENT = frozenset("script style noscript iframe template svg button select textarea input head title object embed canvas audio video".split())
+FURNITURE = SILENT | frozenset("nav footer aside form header menu dialog label".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar toolbar".split())
 WORDS = frozenset("ad ads adv advert adverts advertisement advertising banner promo promoted promotion sponsor sponsored sponsors menu nav navbar navigation breadcrumb breadcrumbs sidebar aside footer header masthead cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe subscription signup login comment comments reply replies disqus related recommended share sharing social widget toolbar pagination pager skip".split())
 
@@ -87,7 +91,7 @@ def _label(tag: str, attributes: str, inside_article: bool) -> tuple[str, bool,
         if key.lower() == "role":
             furniture |= value in ROLES
         elif tag not in ("html", "body", "article", "main"):
-            name += ("." if key.lower() == "class" else "#") + re.sub(r"\d+", "0", value)
+            name += ("." if key.lower() == "class" else "#") + re.sub(r"\d+", "0", value).replace("/", "|")
             worded |= any(w in WORDS and not (w == "header" and inside_article) for w in _SPLIT.split(value))
     return name, furniture, worded
 
@@ -145,10 +149,12 @@ def parse(page: str) -> Node:
 
 
 def segments(page: str):
-    """(path, kind, value) of a page: 0 presence, 1 presentation, 2 text segment; each once."""
+    """(path, kind, value) of a page: 0 presence, 1 presentation, 2 text segment; each once. Elements without text of the page are left out with all in them."""
     found, stack = set(), [parse(page)]
     while stack:
         node = stack.pop()
+        if node.tag in SILENT:
+            continue
         found.add((node.path, 0, 0))
         tags = ",".join([c.tag for c in node.children if not isinstance(c, str)])
         found.add((node.path, 1, xxhash.xxh64_intdigest(tags) >> 1))
@@ -157,8 +163,6 @@ def segments(page: str):
                 stack.append(c)
             elif words := c.split():
                 found.add((node.path, 2, xxhash.xxh64_intdigest(" ".join(words)) >> 1))
-        if node.furniture:
-            found.add((node.path, 3, 0))
     return found
 
 
@@ -196,21 +200,48 @@ def _keep_wrappers(root: Node, low: frozenset) -> None:
             node.worded = False
 
 
-def main_text(page: str | None, low: frozenset = frozenset()) -> str:
-    """The page's blocks in page order, joined by two line breaks, without furniture and branches in `low`."""
+def _letters(top: Node, low: frozenset) -> int:
+    """Length of the text in a branch that stays."""
+    n, stack = 0, [top]
+    while stack:
+        node = stack.pop()
+        if isinstance(node, str):
+            n += len(node.strip())
+        elif not (node.furniture or node.worded or node.path in low):
+            stack.extend(node.children)
+    return n
+
+
+def _without_roles(root: Node) -> None:
+    """Leaves only what is no text at all marked as furniture."""
+    stack = [root]
+    while stack:
+        node = stack.pop()
+        node.furniture, node.worded = node.tag in SILENT, False
+        stack.extend(c for c in node.children if not isinstance(c, str))
+
+
+def main_text(page: str | None, low: frozenset = frozenset(), roles: bool = True) -> str:
+    """The page's blocks in page order, joined by two line breaks, without branches in `low` and, with `roles`, without what the priors remove."""
     if not page:
         return ""
     root = parse(page)
-    _keep_wrappers(root, low)
-    top, stack, articles = root, [root], []
-    while stack:
-        node = stack.pop()
-        if node.furniture or node.worded or node.path in low:
-            continue
-        if node.tag == "article" or node.tag == "main":
-            articles.append(node)
-            continue
-        stack.extend(c for c in reversed(node.children) if not isinstance(c, str))
+    articles: list[Node] = []
+    if roles:
+        _keep_wrappers(root, low)
+        stack = [root]
+        while stack:
+            node = stack.pop()
+            if node.furniture or node.worded or node.path in low:
+                continue
+            if node.tag == "article" or node.tag == "main":
+                articles.append(node)
+                continue
+            stack.extend(c for c in reversed(node.children) if not isinstance(c, str))
+        if len(articles) > 1 and all(x.tag == "article" for x in articles) and 4 * sum(_letters(x, low) for x in articles) < _letters(root, low):
+            articles = []
+    else:
+        _without_roles(root)
     blocks: list[str] = []
     current: list[str] = []
 
@@ -259,7 +290,7 @@ def _copied(pages: DataFrame, url: str, page: str) -> DataFrame:
 
 
 def style_tree(pages: DataFrame, url: str = "url", page: str = "html") -> DataFrame:
-    """host, path, pages, own, content, furniture: the merged nodes of each host's distinct pages and their own importances."""
+    """host, path, pages, own, content: the merged nodes of each host's distinct pages and their own importances."""
 
     def count(batches):
         held: dict[tuple, float] = {}
@@ -281,16 +312,16 @@ def style_tree(pages: DataFrame, url: str = "url", page: str = "html") -> DataFr
                     yield out()
         yield out()
 
-    raw = _copied(pages, url, page).mapInArrow(count, "host string, path string, kind int, value long, n double")
+    raw = in_arrow(_copied(pages, url, page), count, "host string, path string, kind int, value long, n double")
     # all copies of a page have the same nodes and texts, so the sums are whole numbers but for rounding
     each = raw.groupBy("host", "path", "kind", "value").agg(F.round(F.sum("n")).alias("n"))
     of = lambda k, x: F.coalesce(F.sum(F.when(F.col("kind") == k, x)), F.lit(0.0))
     n, spread = F.col("n"), F.col("n") * F.log(F.col("n"))
-    sums = each.groupBy("host", "path").agg(of(0, n).alias("pages"), of(1, n).alias("n1"), of(1, spread).alias("s1"), of(2, n).alias("n2"), of(2, spread).alias("s2"), (of(3, n) > 0).alias("furniture"))
+    sums = each.groupBy("host", "path").agg(of(0, n).alias("pages"), of(1, n).alias("n1"), of(1, spread).alias("s1"), of(2, n).alias("n2"), of(2, spread).alias("s2"))
     many = F.col("pages") > 1
     own = F.when(many, (F.log("n1") - F.col("s1") / F.col("n1")) / F.log("pages")).otherwise(1.0)
     content = F.when(F.col("n2") > 0, F.when(many, 1 - F.least(F.lit(1.0), F.col("s2") / F.col("n2") / F.log("pages"))).otherwise(1.0))
-    return sums.select("host", "path", "pages", own.alias("own"), content.alias("content"), "furniture")
+    return sums.select("host", "path", "pages", own.alias("own"), content.alias("content"))
 
 
 def low_branches(tree: DataFrame, threshold: float = THRESHOLD, damping: float = DAMPING) -> DataFrame:
@@ -307,26 +338,29 @@ def low_branches(tree: DataFrame, threshold: float = THRESHOLD, damping: float =
         for path in sorted(own, key=lambda p: -p.count("/")):
             r = own[path]
             below = [(worth[c], own[c].pages) for c in children.get(path, ())]
-            if r.content is not None and not math.isnan(r.content):
-                below.append((r.content, r.pages))
-            if not below:
+            text = r.content if r.content is not None and not math.isnan(r.content) else None
+            if text is not None:
+                below.append((text, r.pages))
+            if not below and not r.singles:
                 worth[path] = best[path] = 1.0  # nothing in it, nothing to remove
                 continue
-            share = damping ** len(below)
-            mean = sum(w * p for w, p in below) / sum(p for _, p in below)
-            worth[path] = 0.0 if r.furniture else max((1 - share) * r.own + share * mean, 0.0)
-            text = r.content if r.content is not None and not math.isnan(r.content) else 0.0
-            best[path] = 0.0 if r.furniture else max([worth[path], text, *(best[c] for c in children.get(path, ()))])
+            share = damping ** (len(below) + r.singles)
+            mean = (sum(w * p for w, p in below) + r.singles) / (sum(p for _, p in below) + r.singles)
+            worth[path] = max((1 - share) * r.own + share * mean, 0.0)
+            best[path] = 1.0 if r.singles else max([worth[path], text or 0.0, *(best[c] for c in children.get(path, ()))])
         # emphasis and links within a text stay with it
-        low = sorted(p for p, w in best.items() if w < threshold and own[p].pages > 1 and _NAME.match(p.rpartition("/")[2])[0] not in INLINE)
+        low = sorted(p for p, w in best.items() if w < threshold and _NAME.match(p.rpartition("/")[2])[0] not in INLINE)
         return pd.DataFrame({"host": nodes.host.iloc[:1], "low": [low]})
 
-    return tree.groupBy("host").applyInPandas(judge, "host string, low array<string>").filter(F.size("low") > 0)
+    # a node on one page only has importance 1, and so has all that is in it
+    singles = tree.filter("pages <= 1").groupBy("host", F.regexp_replace("path", "/[^/]*$", "").alias("path")).agg(F.count("*").alias("singles"))
+    shared = tree.filter("pages > 1").join(singles, ["host", "path"], "left").withColumn("singles", F.coalesce("singles", F.lit(0)))
+    return shared.groupBy("host").applyInPandas(judge, "host string, low array<string>").filter(F.size("low") > 0)
 
 
-def extract(pages: DataFrame, url: str = "url", page: str = "html", threshold: float = THRESHOLD) -> DataFrame:
-    """pages with text and n_chars; columns of these names are replaced."""
-    low = stored(low_branches(style_tree(pages, url, page), threshold), "low-branches")
+def extract(pages: DataFrame, url: str = "url", page: str = "html", threshold: float = THRESHOLD, roles: bool = True) -> DataFrame:
+    """pages with text and n_chars; columns of these names are replaced. threshold 0 is without the tree, roles=False without the priors."""
+    low = stored(low_branches(stored(style_tree(pages, url, page), "style-tree"), threshold), "low-branches")
     names = [c for c in pages.columns if c not in ("text", "n_chars")]
     packed = pages.select(F.struct(*names).alias("row"), F.col(page).cast("string").alias("page"), _host(url).alias("host"))
     small = (low.agg(F.sum(F.size("low"))).first()[0] or 0) <= BROADCAST_PATHS
@@ -337,11 +371,11 @@ def extract(pages: DataFrame, url: str = "url", page: str = "html", threshold: f
             texts, known = [], {}
             for h, paths in zip(batch.column("page").to_pylist(), batch.column("low").to_pylist(), strict=True):
                 key = tuple(paths or ())
-                texts.append(main_text(h, known.setdefault(key, frozenset(key))))
+                texts.append(main_text(h, known.setdefault(key, frozenset(key)), roles))
             yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["row", "text", "n_chars"])
 
     schema = T.StructType([joined.schema["row"], T.StructField("text", T.StringType()), T.StructField("n_chars", T.LongType())])
-    return joined.mapInArrow(run, schema).select("row.*", "text", "n_chars")
+    return in_arrow(joined, run, schema).select("row.*", "text", "n_chars")
 
 
 def op7_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:

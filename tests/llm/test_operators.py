@@ -295,6 +295,69 @@ def test_main_text_of_wrappers(spark):
     assert {r.page_id: r.text for r in got} == dict(enumerate(own))
 
 
+def test_the_style_tree_decides(spark):
+    """No article elements, class names of no list: same words and same shapes go by entropy alone, with and without the priors."""
+    own = [words(25) for _ in range(12)]
+    rows = []
+    for i in range(12):
+        tail = "".join(f"<p>{words(6)}</p>" for _ in range(i % 4))
+        body = f"<div class=kx1><span>Start</span> <span>Contact us</span></div><div class=q9><p>{own[i]}</p>{tail}<div class=zz>All rights with the makers</div></div><div class=kx2><p>We use small files</p></div>"
+        rows.append((i, f"http://plain/{i}", f"<body>{body}</body>"))
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    texts = lambda **how: {r.page_id: r.text for r in html_text.extract(df, **how).collect()}
+    got = texts()
+    assert all(t.split("\n\n")[0] == own[i] and len(t.split("\n\n")) == 1 + i % 4 for i, t in got.items())
+    assert texts(roles=False) == got
+    assert all("Contact us" in t and "All rights" in t and "small files" in t for t in texts(threshold=0.0).values())
+
+
+def brute_tree(pages):
+    """Composite importance of each path, from the definition."""
+    import math
+
+    seen = [html_text.segments(p) for p in pages]
+    paths = {x[0] for own in seen for x in own}
+    below = lambda p: [q for q in paths if q and q.rpartition("/")[0] == p]
+
+    def entropy(counts):
+        total = sum(counts)
+        return -sum(c / total * math.log(c / total) for c in counts)
+
+    def worth(p):
+        n = sum((p, 0, 0) in own for own in seen)
+        kinds = [Counter(v for own in seen for q, k, v in own if q == p and k == kind) for kind in (1, 2)]
+        own = entropy(kinds[0].values()) / math.log(n) if n > 1 else 1.0
+        # a segment on c of n pages has the entropy ln c in units of ln n; the mean weighs each by its pages
+        m = sum(kinds[1].values())
+        text = None if not m else 1.0 if n == 1 else 1 - min(1.0, sum(c * math.log(c) for c in kinds[1].values()) / m / math.log(n))
+        parts = [(worth(q)[0], sum((q, 0, 0) in x for x in seen)) for q in below(p)] + ([(text, n)] if text is not None else [])
+        if not parts:
+            return 1.0, 1.0, n
+        share = html_text.DAMPING ** len(parts)
+        value = (1 - share) * own + share * sum(w * k for w, k in parts) / sum(k for _, k in parts)
+        return value, max([value, text or 0.0, *(worth(q)[1] for q in below(p))]), n
+
+    return {p for p in paths for _, best, n in [worth(p)] if best < html_text.THRESHOLD and n > 1 and html_text._NAME.match(p.rpartition("/")[2])[0] not in html_text.INLINE}
+
+
+def test_low_branches_are_those_of_the_definition(spark):
+    r = random.Random(11)
+    some = ["<p>alpha beta</p>", "<p>gamma</p>", "<div class=m><p>same here</p><i>x</i></div>", "<div id=n9>one <b>two</b></div>", "<ul><li>a<li>b</ul>"]
+    for trial in range(4):
+        pages = ["<body>" + "".join(r.choice([x, x, f"<p>{words(3)}</p>", f"<div class=w{r.choice('ab')}><p>{words(2)}</p></div>", ""]) for x in some) + "</body>" for _ in range(r.randint(2, 9))]
+        pages = sorted(set(pages))
+        df = spark.createDataFrame([(i, "http://h/x", p) for i, p in enumerate(pages)], "page_id long, url string, html string")
+        low = html_text.low_branches(html_text.style_tree(df)).collect()
+        assert {p for row in low for p in row.low} == (brute_tree(pages) if len(pages) > 1 else set()), trial
+
+
+def test_teasers_are_not_the_text():
+    text = words(60)
+    teasers = "".join(f"<article><h2>{words(2)}</h2></article>" for _ in range(3))
+    assert html_text.main_text(f"<body><div class=q><h1>Head</h1><p>{text}</p></div>{teasers}").startswith(f"Head\n\n{text}")
+    assert html_text.main_text(f"<body><article><p>{text}</p></article><article><p>{text}</p></article><p>{words(9)}</p>") == f"{text}\n\n{text}"
+
+
 # 8 ----------------------------------------------------------------------------------------------------
 
 
