@@ -28,7 +28,7 @@ class Cut:
     size: int
     small: int
     n: int
-    side: bytes  # 1 for nodes of the grown block
+    held: bytes | tuple[list[int], int]  # the grown block: 1 by node, or so many first nodes of a list that only grows
     cutter: int
     rule: str = ""
     grown: str = ""
@@ -38,6 +38,16 @@ class Cut:
     def large(self) -> int:
         return self.n - self.small
 
+    @property
+    def side(self) -> bytes:
+        """1 for nodes of the grown block."""
+        if isinstance(self.held, bytes):
+            return self.held
+        grown, upto = self.held
+        marks = np.zeros(self.n, np.uint8)
+        marks[grown[:upto]] = 1
+        return marks.tobytes()
+
 
 def directions(q: int) -> list[tuple[int, int]]:
     """Fixed-point unit vectors (times 10**6) at angles k * pi / q."""
@@ -77,7 +87,7 @@ class Cutter:
     use_distance: bool = True
 
     def __post_init__(self):
-        n = self.net.n
+        net, n = self.net, self.net.n
         self.term = bytearray(n)
         for x in self.sources:
             self.term[x] = 1
@@ -85,76 +95,97 @@ class Cutter:
             self.term[x] = 2
         self.flow = self.units = self.searches = 0
         self.done = False
-        self.from_s = self.net.hops(self.sources) if self.use_distance else [0] * n
-        self.from_t = self.net.hops(self.targets) if self.use_distance else [0] * n
+        self.from_s = net.hops(self.sources) if self.use_distance else [0] * n
+        self.from_t = net.hops(self.targets) if self.use_distance else [0] * n
         self.next = {1: 0, 2: 0}
+        self.reached = {1: bytearray(n), 2: bytearray(n)}  # what each side reaches; closed under residual arcs between piercings
+        self.waiting: dict[int, list[int]] = {1: [], 2: []}  # reached, but not yet terminals
+        self.grown: dict[int, list[int]] = {1: [], 2: []}  # absorbed nodes, in order
+        self.edge: dict[int, set[int]] = {1: set(), 2: set()}
 
-    def _absorb(self, side: int, own: bytearray) -> None:
+    def _absorb(self, side: int) -> None:
         """The side's terminals become all that it reaches; its outer neighbours are kept up to date."""
-        net, edge = self.net, self.edge[side]
-        for x in np.flatnonzero((np.frombuffer(own, np.uint8) == 1) & (~self.inside[side])).tolist():
-            self.term[x] = side
-            self.inside[side][x] = True
+        net, edge, own = self.net, self.edge[side], self.reached[side]
+        start, head, term, mark = net.start, net.head, self.term, self.mark[side]
+        for x in self.waiting[side]:
+            term[x] = side
+            mark[x] = 1
             edge.discard(x)
-            for a in range(net.start[x], net.start[x + 1]):
-                y = net.head[a]
-                if not own[y] and net.cap_list[a if side == 1 else net.twin[a]]:
+            for a in range(start[x], start[x + 1]):
+                y = head[a]
+                if not own[y] and (net.cap_list[a] if side == 1 else net.cap_list[net.twin[a]]):
                     edge.add(y)
+        self.grown[side] += self.waiting[side]
+        self.waiting[side] = []
+
+    def _join(self, side: int, nodes: list[int]) -> list[int]:
+        """Makes nodes terminals of a side; returns those that the side doesn't reach yet. What it reaches is closed, so paths can only start there."""
+        for x in nodes:
+            self.term[x] = side
+            self.mark[side][x] = 1
+        return [x for x in nodes if not self.reached[side][x]]
+
+    def _fill(self, side: int, new: list[int], marks: bytearray | None = None) -> None:
+        """Adds to a side's reach what residual arcs join to it from new nodes."""
+        own = self.reached[side]
+        seen, _, via = self.net.reach(new, side == 1, marks=own)
+        self.reached[side] = seen
+        self.waiting[side] += new
+        self.waiting[side] += via
+
+    def _augment(self, side: int, new: list[int]) -> Iterator[None]:
+        """Units of flow from a side's new terminals until none is left; their reach joins the side's, and the other side's is found anew if flow was pushed."""
+        net, other, pushed = self.net, 3 - side, 0
+        while True:
+            self.searches += 1
+            seen, end, via = net.reach(new, side == 1, self.mark[other], marks=bytearray(self.reached[side]))
+            if end < 0:
+                break
+            net.push(end, via, self.mark[side], side == 1)
+            pushed += 1
+            self.flow += 1
+            self.units += 1
+            yield None
+        self.reached[side] = seen
+        self.waiting[side] += new
+        self.waiting[side] += via
+        if pushed:
+            # absorbed terminals stay closed, so the other side's reach goes out from its later ones only
+            rest = [x for x in self.waiting[other] if self.mark[other][x]]
+            seen, _, via = net.reach(rest, other == 1, marks=bytearray(self.mark[other]))
+            self.reached[other] = seen
+            self.waiting[other] = [*rest, *via]
 
     def steps(self) -> Iterator[Cut | None]:
-        """None after each unit of flow, a Cut after each derived cut; free piercing goes on within one step."""
+        """None after each unit of flow, a Cut after each derived cut; free piercing goes on within one step.
+
+        What a side reaches is closed under residual arcs, so after a piercing paths can only start at its nodes, and never run through that reach."""
         net, n = self.net, self.net.n
         half = -(-n // 2)
-        self.edge = {1: set(), 2: set()}
-        self.inside = {1: np.zeros(n, bool), 2: np.zeros(n, bool)}
         if not hasattr(net, "cap_list"):
             net.cap_list = net.cap.tolist()
+        self.mark = {k: bytearray(n) for k in (1, 2)}
+        self._fill(2, self._join(2, self.targets))
+        yield from self._augment(1, self._join(1, self.sources))
+        sizes = {}
         while True:
-            term = np.frombuffer(bytes(self.term), np.uint8)
-            s_mark, t_mark = bytearray((term == 1).tobytes()), bytearray((term == 2).tobytes())
-            sources, targets = np.flatnonzero(term == 1).tolist(), np.flatnonzero(term == 2).tolist()
-            while True:
-                self.searches += 1
-                sr, end, via = net.reach(sources, True, t_mark)
-                if end < 0:
-                    break
-                net.push(end, via, s_mark)
-                self.flow += 1
-                self.units += 1
-                yield None
-            tr, _, _ = net.reach(targets, False)
-            while True:
-                a, b = sr.count(1), tr.count(1)
-                side = 1 if a <= b else 2
-                own, other, size = (sr, tr, a) if side == 1 else (tr, sr, b)
-                self._absorb(side, own)
-                rule, pierced, again = self._pierce(side, size, other)
-                cut = Cut(self.flow, min(size, n - size), n, bytes(own), self.number, rule, "ST"[side - 1], tuple(pierced))
-                if max(size, n - size) <= half:
-                    cut.rule, cut.pierced, rule = "balanced", (), "balanced"
-                yield cut
-                if rule in ("balanced", "end"):
-                    self.done = True
-                    return
-                for x in pierced:
-                    self.term[x] = side
-                if not again:
-                    break
-                # a free node adds no augmenting path, so only this side's reach grows
-                self._grow(own, pierced, side == 1)
-
-    def _grow(self, own: bytearray, new: list[int], forward: bool) -> None:
-        net = self.net
-        stack = [x for x in new if not own[x]]
-        for x in stack:
-            own[x] = 1
-        while stack:
-            x = stack.pop()
-            for a in range(net.start[x], net.start[x + 1]):
-                y = net.head[a]
-                if not own[y] and (net.res[a] if forward else net.res[net.twin[a]]):
-                    own[y] = 1
-                    stack.append(y)
+            sizes = {k: self.reached[k].count(1) for k in (1, 2)}
+            side = 1 if sizes[1] <= sizes[2] else 2
+            size = sizes[side]
+            self._absorb(side)
+            rule, pierced, again = self._pierce(side, size, self.reached[3 - side])
+            cut = Cut(self.flow, min(size, n - size), n, (self.grown[side], size), self.number, rule, "ST"[side - 1], tuple(pierced))
+            if max(size, n - size) <= half:
+                cut.rule, cut.pierced, rule = "balanced", (), "balanced"
+            yield cut
+            if rule in ("balanced", "end"):
+                self.done = True
+                return
+            new = self._join(side, pierced)
+            if again:  # free nodes add no augmenting path, so only this side's reach grows
+                self._fill(side, new)
+            else:
+                yield from self._augment(side, new)
 
     def _pierce(self, side: int, size: int, other: bytearray) -> tuple[str, list[int], bool]:
         """Rule, nodes, and whether they leave the flow maximal."""

@@ -52,11 +52,11 @@ class Net:
         """Flow of each arc, by skew symmetry -1, 0 or 1."""
         return self.cap.astype(np.int16) - np.frombuffer(self.res, np.uint8).astype(np.int16)
 
-    def reach(self, seeds, forward: bool, stop: bytearray | None = None, breadth: bool = False) -> tuple[bytearray, int, list[int]]:
+    def reach(self, seeds, forward: bool, stop: bytearray | None = None, breadth: bool = False, marks: bytearray | None = None) -> tuple[bytearray, int, dict[int, int]]:
         """Marks what the residual arcs reach from seeds (or what reaches them); ends at the first node with stop.
-        Nodes are marked as they are found. Returns marks, the stop node or -1, and the arc by which each was found."""
+        Nodes are marked as they are found; those that `marks` has at first are not entered. Returns marks, the stop node or -1, and the arc by which each was found."""
         start, head, twin, res = self.start, self.head, self.twin, self.res
-        seen, via = bytearray(self.n), {}
+        seen, via = marks if marks is not None else bytearray(self.n), {}
         stack = list(seeds)
         for s in stack:
             seen[s] = 1
@@ -77,13 +77,17 @@ class Net:
                     stack.append(y)
         return seen, -1, via
 
-    def push(self, end: int, via: dict[int, int], sources: bytearray) -> None:
-        """One unit along the arcs that found `end`."""
+    def push(self, end: int, via: dict[int, int], roots: bytearray, forward: bool = True) -> None:
+        """One unit along the arcs that found `end`: from a root to it, or, where the search went backward, from it to a root."""
         head, twin, res = self.head, self.twin, self.res
-        while not sources[end]:
+        while not roots[end]:
             a = via[end]
-            res[a] -= 1
-            res[twin[a]] += 1
+            if forward:
+                res[a] -= 1
+                res[twin[a]] += 1
+            else:
+                res[twin[a]] -= 1
+                res[a] += 1
             end = head[twin[a]]
 
     def hops(self, seeds) -> list[int]:
