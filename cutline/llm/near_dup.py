@@ -46,6 +46,8 @@ FREQUENT, MAX_FREQUENT = 16, 500_000
 LONG = 16
 #: Sets of a pile of a frequent shingle's list, about.
 PILE = 256
+#: Piles that the rows of one set or component are dealt to when they get its id.
+SALTS = 16
 #: Shingles whose hash ends in so many zero bits are counted in all documents, for cost estimates; more bits where more than MAX_SAMPLED of them stand in two documents or more.
 SAMPLE_BITS, MAX_SAMPLED = 5, 500_000
 #: Shingles that a task holds before it counts them.
@@ -414,9 +416,12 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", lo
         second = stored(second.select("a", "b"), "more-pairs")
         if not second.isEmpty():
             labels = components(links.unionByName(verified(second, docs, described, key, text)))
-    classed = described.join(labels, "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
-    least = classed.filter("comp is not null").groupBy("comp").agg(F.min("key").alias("component_id"))
-    out = classed.join(least, "comp", "left")
+    # copies of one set and members of one component are dealt over salts
+    salt = F.pmod(F.xxhash64("key"), F.lit(SALTS))
+    salted = lambda x: x.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    classed = described.withColumn("salt", salt).join(salted(labels), ["rid", "salt"], "left").withColumn("comp", F.coalesce("comp", "rid"))
+    least = classed.filter("comp is not null").groupBy("comp").agg(F.min("key").alias("component_id"), F.count("*").alias("rows")).filter("rows > 1").drop("rows")
+    out = classed.join(salted(least), ["comp", "salt"], "left")
     return out.select(F.col("key").alias(key), F.col("n").alias("n_shingles"), F.coalesce("component_id", "key").alias("component_id"))
 
 
