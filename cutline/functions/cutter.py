@@ -4,12 +4,13 @@ from __future__ import annotations
 
 import heapq
 import math
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 
-from .flow import Net, max_flow
+from .flow import Net, unit_flow
 
 
 @dataclass(frozen=True)
@@ -102,6 +103,8 @@ class Cutter:
         self.waiting: dict[int, list[int]] = {1: [], 2: []}  # reached, but not yet terminals
         self.grown: dict[int, list[int]] = {1: [], 2: []}  # absorbed nodes, in order
         self.edge: dict[int, set[int]] = {1: set(), 2: set()}
+        self.mark = {k: bytearray(n) for k in (1, 2)}
+        self.begun = False
 
     def _absorb(self, side: int) -> None:
         """The side's terminals become all that it reaches; its outer neighbours are kept up to date."""
@@ -156,19 +159,22 @@ class Cutter:
             self.reached[other] = seen
             self.waiting[other] = [*rest, *via]
 
-    def steps(self) -> Iterator[Cut | None]:
-        """None after each unit of flow, a Cut after each derived cut; free piercing goes on within one step.
+    def steps(self, limit: int | None = None) -> Iterator[Cut | None]:
+        """None after each unit of flow, a Cut after each derived cut; free piercing goes on within one step. With a limit it pauses before
+        the first cut of at least so much flow, and goes on there when called again.
 
         What a side reaches is closed under residual arcs, so after a piercing paths can only start at its nodes, and never run through that reach."""
         net, n = self.net, self.net.n
         half = -(-n // 2)
         if not hasattr(net, "cap_list"):
             net.cap_list = net.cap.tolist()
-        self.mark = {k: bytearray(n) for k in (1, 2)}
-        self._fill(2, self._join(2, self.targets))
-        yield from self._augment(1, self._join(1, self.sources))
-        sizes = {}
-        while True:
+        if not self.begun:
+            self.begun = True
+            self._fill(2, self._join(2, self.targets))
+            yield from self._augment(1, self._join(1, self.sources))
+        while not self.done:
+            if limit is not None and self.flow >= limit:
+                return
             sizes = {k: self.reached[k].count(1) for k in (1, 2)}
             side = 1 if sizes[1] <= sizes[2] else 2
             size = sizes[side]
@@ -187,6 +193,24 @@ class Cutter:
             else:
                 yield from self._augment(side, new)
 
+    def dump(self) -> bytes:
+        """The whole state of a paused cutter, with its graph."""
+        net = self.net
+        plain = {k: v for k, v in self.__dict__.items() if k != "net"}
+        arrays = {k: np.array(getattr(net, k), np.int64 if net.n > 1 << 30 or len(net.head) > 1 << 30 else np.int32) for k in ("start", "head", "twin")}
+        return pickle.dumps((plain, net.n, arrays, net.cap.tobytes(), bytes(net.res)), protocol=5)
+
+    @classmethod
+    def load(cls, state: bytes) -> Cutter:
+        plain, n, arrays, cap, res = pickle.loads(state)
+        net = object.__new__(Net)
+        net.n, net.cap, net.res = n, np.frombuffer(cap, np.int8), bytearray(res)
+        net.start, net.head, net.twin = (arrays[k].tolist() for k in ("start", "head", "twin"))
+        net.cap_list, net.tails = net.cap.tolist(), np.repeat(np.arange(n), np.diff(arrays["start"]))
+        own = object.__new__(cls)
+        own.__dict__.update(plain, net=net)
+        return own
+
     def _pierce(self, side: int, size: int, other: bytearray) -> tuple[str, list[int], bool]:
         """Rule, nodes, and whether they leave the flow maximal."""
         opposite = 3 - side
@@ -260,6 +284,17 @@ def interleave(cutters: list[Cutter], schedule: str = "flow", bound: bool = Fals
     return cuts
 
 
+def thinned(steps: Iterator[Cut | None]) -> list[Cut]:
+    """A cutter's cuts, of equal sizes in a row only the last, which is the most balanced if blocks grow."""
+    cuts: list[Cut] = []
+    for got in steps:
+        if got is not None:
+            if cuts and cuts[-1].size == got.size and cuts[-1].small <= got.small:
+                cuts.pop()
+            cuts.append(got)
+    return cuts
+
+
 def front(cuts: list[Cut]) -> list[Cut]:
     """Cuts that no other beats: size strictly grows with the smaller block."""
     out: list[Cut] = []
@@ -288,33 +323,46 @@ def band_seeds(order: np.ndarray, alpha: float) -> tuple[list[int], list[int]]:
     return order[:k].tolist(), order[n - k :].tolist()
 
 
-def sweep_cutters(net: Net, orders: list[np.ndarray], ids: list[int], params: SweepParams) -> list[Cutter]:
+def sweep_cutters(net: Net, orders: list[np.ndarray], ids: list[int], params: SweepParams, numbers: list[int] | None = None) -> list[Cutter]:
     out = []
-    for k, order in enumerate(orders):
+    for k, order in zip(numbers if numbers is not None else range(len(orders)), orders, strict=True):
         s, t = band_seeds(order, params.alpha)
         out.append(Cutter(net.copy(), s, t, ids, k, order.tolist(), params))
     return out
 
 
-def pair_cutters(net: Net, pairs: list[tuple[list[int], list[int]]], ids: list[int]) -> list[Cutter]:
-    return [Cutter(net.copy(), list(s), list(t), ids, k) for k, (s, t) in enumerate(pairs)]
+def pair_cutters(net: Net, pairs: list[tuple[list[int], list[int]]], ids: list[int], numbers: list[int] | None = None) -> list[Cutter]:
+    return [Cutter(net.copy(), list(s), list(t), ids, k) for k, (s, t) in zip(numbers if numbers is not None else range(len(pairs)), pairs, strict=True)]
 
 
-def band_cuts(net: Net, orders: list[np.ndarray], alpha: float) -> tuple[list[Cut], int]:
-    """One maximum flow per direction; of the source-side and target-side cuts the more balanced."""
-    cuts, units = [], 0
-    for k, order in enumerate(orders):
+def band_cuts(net: Net, orders: list[np.ndarray], alpha: float, numbers: list[int] | None = None, best_only: bool = False) -> tuple[list[Cut], int]:
+    """One maximum flow per direction, of the direction with least flow a unit at a time; of the source-side and target-side cuts the more
+    balanced. best_only: the first direction whose flow is maximal has the smallest cut, and the others stop there."""
+    numbers = list(numbers) if numbers is not None else list(range(len(orders)))
+    runs = []
+    for k, order in zip(numbers, orders, strict=True):
         s, t = band_seeds(order, alpha)
         own = net.copy()
-        flow = max_flow(own, trimmed(own, s), trimmed(own, t))
-        units += flow
+        runs.append((0, k, own, s, t, unit_flow(own, trimmed(own, s), trimmed(own, t))))
+    cuts, units = [], 0
+    heap = [(0, k, i) for i, (_, k, *_rest) in enumerate(runs)]
+    heapq.heapify(heap)
+    while heap:
+        flow, k, i = heapq.heappop(heap)
+        _, _, own, s, t, run = runs[i]
+        if next(run, None) is not None:
+            units += 1
+            heapq.heappush(heap, (flow + 1, k, i))
+            continue
         a, _, _ = own.reach(s, True)
         b, _, _ = own.reach(t, False)
         n = net.n
         for marks, name in sorted(((a, "S"), (b, "T")), key=lambda x: (-min(sum(x[0]), n - sum(x[0])), x[1]))[:1]:
             size = sum(marks)
             cuts.append(Cut(flow, min(size, n - size), n, bytes(marks), k, "band", name))
-    return cuts, units
+        if best_only:
+            break
+    return sorted(cuts, key=lambda c: c.cutter), units
 
 
 def split_orders(orders: list[np.ndarray]) -> list[np.ndarray]:

@@ -109,20 +109,24 @@ class Net:
         return far
 
 
-def max_flow(net: Net, sources, targets, breadth: bool = False) -> int:
-    """Augments net's flow to a maximum one; returns the units added."""
+def unit_flow(net: Net, sources, targets, breadth: bool = False):
+    """Augments net's flow to a maximum one, and yields 1 after each unit."""
     s, t = bytearray(net.n), bytearray(net.n)
     for x in sources:
         s[x] = 1
     for x in targets:
         t[x] = 1
-    units = 0
     while True:
         _, end, via = net.reach(sources, True, t, breadth)
         if end < 0:
-            return units
+            return
         net.push(end, via, s)
-        units += 1
+        yield 1
+
+
+def max_flow(net: Net, sources, targets, breadth: bool = False) -> int:
+    """Augments net's flow to a maximum one; returns the units added."""
+    return sum(unit_flow(net, sources, targets, breadth))
 
 
 def level_flow(net: Net, sources, targets) -> int:

@@ -153,6 +153,11 @@ class Splitter:
     schedule: str = "flow"
     cut: Callable | None = None
 
+    @property
+    def cutters(self) -> int:
+        """How many cutters a cell has: directions or pairs."""
+        return self.pairs if self.kind == "pairs" else self.params.q
+
 
 def _random_pairs(n: int, k: int, seed: int) -> list[tuple[list[int], list[int]]]:
     rng = np.random.default_rng([seed, n, k])
@@ -163,22 +168,24 @@ def _random_pairs(n: int, k: int, seed: int) -> list[tuple[list[int], list[int]]
     return out
 
 
-def cuts_of(g: Graph, splitter: Splitter, split: bool, bound: bool = True, seed: int | None = None) -> tuple[list[Cut], dict]:
-    """All cuts that a splitter finds on the graph, or on its split graph."""
+def cuts_of(g: Graph, splitter: Splitter, split: bool, bound: bool = True, seed: int | None = None, numbers: list[int] | None = None, best_only: bool = False) -> tuple[list[Cut], dict]:
+    """All cuts that a splitter's cutters (or those of the given numbers) find on the graph, or on its split graph."""
     net = Net.split(g.n, g.u, g.v) if split else Net.undirected(g.n, g.u, g.v)
     ids = list(range(net.n))
-    orders = [sweep_order(g.x, g.y, np.arange(g.n), d) for d in directions(splitter.params.q)]
-    wide = split_orders(orders) if split else orders
-    if splitter.kind == "bands":
-        cuts, units = band_cuts(net, wide, splitter.params.alpha)
-        return cuts, {"units": units, "searches": units + len(wide)}
-    if splitter.kind == "sweep":
-        cutters = sweep_cutters(net, wide, ids, splitter.params)
+    numbers = list(range(splitter.cutters)) if numbers is None else numbers
+    if splitter.kind in ("bands", "sweep"):
+        fan = directions(splitter.params.q)
+        orders = [sweep_order(g.x, g.y, np.arange(g.n), fan[k]) for k in numbers]
+        wide = split_orders(orders) if split else orders
+        if splitter.kind == "bands":
+            cuts, units = band_cuts(net, wide, splitter.params.alpha, numbers, best_only)
+            return cuts, {"units": units, "searches": units + len(wide)}
+        cutters = sweep_cutters(net, wide, ids, splitter.params, numbers)
         if split:
             cutters = [_whole_seeds(c) for c in cutters]
     else:
         pairs = _random_pairs(g.n, splitter.pairs, splitter.seed if seed is None else seed)
-        cutters = pair_cutters(net, [([2 * s[0], 2 * s[0] + 1], [2 * t[0], 2 * t[0] + 1]) if split else (s, t) for s, t in pairs], ids)
+        cutters = pair_cutters(net, [([2 * s[0], 2 * s[0] + 1], [2 * t[0], 2 * t[0] + 1]) if split else (s, t) for s, t in (pairs[k] for k in numbers)], ids, numbers)
     cuts = interleave(cutters, splitter.schedule, bound)
     return cuts, {"units": sum(c.units for c in cutters), "searches": sum(c.searches for c in cutters), "most": max((c.flow for c in cutters), default=0)}
 

@@ -12,8 +12,8 @@ from ..functions import cutter as kernel
 from ..functions import multilevel, order
 from ..functions.cutter import SweepParams
 from ..functions.order import Splitter
-from ..model import Graph, kept
-from .graph import celled, per_cell
+from ..model import Graph, kept, small
+from .graph import cell_graph, celled, is_balanced, per_cell
 
 CUT_SCHEMA = "cell_id long, config string, cutter int, step int, size long, small long, n long, grown string, rule string, connected boolean, units long"
 
@@ -39,67 +39,121 @@ def _rows(cell: int, name: str, g: order.Graph, cuts: list[kernel.Cut], units: i
     return pd.DataFrame(out, columns=[x.split()[0] for x in CUT_SCHEMA.split(", ")])
 
 
-def cuts(g: Graph, name: str, splitter: Splitter | None = None, only_front: bool = True, bound: bool = False, least_nodes: int = 3, connected: bool = False) -> DataFrame:
-    """The cuts of each cell by a named configuration; one task runs all cutters of a cell, interleaved exactly."""
-    splitter = splitter or config(name)
+#: Cells of at least so many nodes have their cutters dealt to lanes, one task each.
+LANE_NODES = 2000
 
-    def work(cell, k, ids):
-        if k.n < least_nodes or not len(k.u):
-            return _rows(cell, name, k, [], 0, False)
-        found, info = order.cuts_of(k, splitter, False, bound)
-        return _rows(cell, name, k, kernel.front(found) if only_front else found, info["units"], connected)
 
+def _laned(g: Graph, splitter: Splitter, lanes: int) -> tuple[DataFrame, DataFrame]:
+    """Cells' nodes and edges with lanes and lane: large cells once for each lane."""
     nodes, edges = celled(g)
-    return per_cell(nodes, edges, work, CUT_SCHEMA)
+    large = kept(nodes.groupBy("cell_id").agg(F.count("*").alias("n")).filter(F.col("n") >= LANE_NODES).select("cell_id", F.lit(max(1, min(lanes, splitter.cutters))).alias("lanes")), "large-cells")
+    table = small(large)
+
+    def dealt(df):
+        with_lanes = df.join(table, "cell_id", "left").withColumn("lanes", F.coalesce("lanes", F.lit(1)))
+        return with_lanes.withColumn("lane", F.explode(F.sequence(F.lit(0), F.col("lanes") - 1)))
+
+    return dealt(nodes), dealt(edges)
+
+
+def cuts(g: Graph, name: str, splitter: Splitter | None = None, only_front: bool = True, bound: bool = False, least_nodes: int = 3, connected: bool = False, lanes: int = 8) -> DataFrame:
+    """The cuts of each cell by a named configuration. Without `bound` no cutter depends on another, so a large cell's cutters are
+    dealt to lanes; with it one task runs all cutters of a cell, interleaved exactly."""
+    splitter = splitter or config(name)
+
+    def work(cell, of, lane, k, ids):
+        if k.n < least_nodes or not len(k.u):
+            return _rows(cell, name, k, [], 0, False).assign(lane=lane)
+        found, info = order.cuts_of(k, splitter, False, bound, numbers=list(range(lane, splitter.cutters, of)))
+        return _rows(cell, name, k, kernel.front(found) if only_front else found, info["units"], connected).assign(lane=lane)
+
+    found = kept(per_cell(*_laned(g, splitter, 1 if bound else lanes), work, CUT_SCHEMA + ", lane int", ["cell_id", "lanes", "lane"]), "cuts")
+    spent = found.groupBy("cell_id", "lane").agg(F.max("units").alias("units")).groupBy("cell_id").agg(F.sum("units").alias("spent"))
+    best = pareto(found) if only_front else found
+    place = Window.partitionBy("cell_id").orderBy(*(["small"] if only_front else ["lane", "step"]))
+    names = [x.split()[0] for x in CUT_SCHEMA.split(", ")]
+    return best.join(spent, "cell_id").withColumn("step", F.row_number().over(place) - 1).withColumn("units", F.col("spent")).select(*names)
+
+
+def growth(g: Graph, splitter: Splitter, lanes: int = 8) -> tuple[DataFrame, DataFrame]:
+    """Fronts with the blocks of their cuts, without a row for each cut and node: (cell_id, cutter, grown, node_id, pos), where a side's nodes stand in the
+    order in which it absorbed them (n for nodes that it never did), and (cell_id, cutter, step, grown, size, small, n, upto): a cut's block are the nodes with pos < upto."""
+
+    def work(cell, of, lane, k, ids):
+        names = ["cell_id", "cutter", "grown", "node_id", "pos", "step", "size", "small", "n", "upto"]
+        if k.n < 3 or not len(k.u):
+            return pd.DataFrame(columns=names)
+        found = kernel.front(order.cuts_of(k, splitter, False, False, numbers=list(range(lane, splitter.cutters, of)))[0])
+        parts, logs = [], {}
+        for i, c in enumerate(found):
+            log, upto = (np.flatnonzero(np.frombuffer(c.held, np.uint8)).tolist(), sum(c.held)) if isinstance(c.held, bytes) else c.held
+            logs[c.cutter, c.grown] = log
+            parts.append(pd.DataFrame([(cell, c.cutter, c.grown, None, None, i, c.size, c.small, c.n, upto)], columns=names))
+        for (number, grown), log in logs.items():
+            pos = np.full(k.n, k.n, np.int64)
+            pos[log] = np.arange(len(log))
+            parts.append(pd.DataFrame({"cell_id": cell, "cutter": number, "grown": grown, "node_id": ids, "pos": pos}))
+        whole = pd.concat(parts) if parts else pd.DataFrame(columns=names)
+        return whole.reindex(columns=names).astype({c: "Int64" for c in names if c not in ("grown",)})
+
+    schema = "cell_id long, cutter int, grown string, node_id long, pos long, step int, size long, small long, n long, upto long"
+    both = kept(per_cell(*_laned(g, splitter, lanes), work, schema, ["cell_id", "lanes", "lane"]), "growth")
+    best = pareto(both.filter("step is not null").drop("node_id", "pos"))
+    place = Window.partitionBy("cell_id").orderBy("small")
+    return both.filter("step is null").select("cell_id", "cutter", "grown", "node_id", "pos"), best.withColumn("step", F.row_number().over(place) - 1)
 
 
 def wide_cuts(g: Graph, params: SweepParams, budget: int = 8) -> DataFrame:
-    """As `cuts` for few large cells: one task per cell and cutter. Rounds have a flow budget that doubles; a cutter whose flow
-    can't improve its cell's best expansion so far isn't launched again."""
+    """As `cuts` with `bound`, for few large cells: one task per cell and cutter. Rounds have a flow budget that doubles; between rounds a cutter
+    is a row with its residual arcs and marks, and one whose flow can't improve its cell's best expansion so far doesn't go on."""
+    splitter = Splitter("sweep", params)
+    name = f"SP{params.q}"
+    schema = f"{CUT_SCHEMA}, state binary"
+
+    def rows(cell, own, kg_n, found, done):
+        out = pd.DataFrame([(cell, name, c.cutter, i, c.size, c.small, c.n, c.grown, c.rule, None, own.units, None) for i, c in enumerate(found)], columns=[x.split()[0] for x in schema.split(", ")])
+        if not done:
+            out.loc[len(out)] = (cell, name, own.number, -1, own.flow, 0, kg_n, "", "open", None, own.units, own.dump())
+        return out
+
+    def begin(cell, of, lane, kg, ids, limit=budget):
+        if kg.n < 3 or not len(kg.u):
+            return pd.DataFrame(columns=[x.split()[0] for x in schema.split(", ")])
+        net = kernel.Net.undirected(kg.n, kg.u, kg.v)
+        sweep = kernel.sweep_order(kg.x, kg.y, np.arange(kg.n), kernel.directions(params.q)[lane])
+        (own,) = kernel.sweep_cutters(net, [sweep], list(range(kg.n)), params, [lane])
+        found = kernel.thinned(own.steps(limit))
+        return rows(cell, own, kg.n, found, own.done)
+
     nodes, edges = celled(g)
-    each = F.explode(F.sequence(F.lit(0), F.lit(params.q - 1))).alias("k")
-    nodes, edges = kept(nodes.select("*", each), "wide-nodes"), kept(edges.select("*", each), "wide-edges")
-    best: dict[int, tuple[int, int, int]] = {}
-    results, waiting = [], None
+    each = lambda df: df.withColumn("lanes", F.lit(params.q)).withColumn("lane", F.explode(F.sequence(F.lit(0), F.lit(params.q - 1))))
+    done = kept(per_cell(each(nodes), each(edges), begin, schema, ["cell_id", "lanes", "lane"]), "wide-cuts")
+    results = done.filter("step >= 0").drop("state")
+    best = None
     while True:
-        limit = budget
-
-        def work(cell, k, kg, ids, limit=limit):
-            if kg.n < 3 or not len(kg.u):
-                return _rows(cell, f"SP{params.q}", kg, [], 0, False)
-            net = kernel.Net.undirected(kg.n, kg.u, kg.v)
-            sweep = kernel.sweep_order(kg.x, kg.y, np.arange(kg.n), kernel.directions(params.q)[k])
-            own = kernel.sweep_cutters(net, [sweep], list(range(kg.n)), params)[0]
-            own.number = k
-            found = kernel.interleave([own], most_cut=limit)
-            rows = _rows(cell, f"SP{params.q}", kg, found, own.units, False)
-            if not found:  # no cut within the budget: a row that keeps the cutter in the run
-                rows = pd.DataFrame([(cell, f"SP{params.q}", k, 0, 0, 0, kg.n, "", "", None, own.units)], columns=rows.columns)
-            return rows.assign(rule=np.where(rows.index == len(rows) - 1, "over" if own.done else "open", rows.rule))
-
-        here = nodes if waiting is None else nodes.join(F.broadcast(waiting), ["cell_id", "k"], "left_semi")
-        there = edges if waiting is None else edges.join(F.broadcast(waiting), ["cell_id", "k"], "left_semi")
-        done = kept(per_cell(here, there, work, CUT_SCHEMA, ["cell_id", "k"]), "wide-cuts")
-        results.append(done)
-        good = done.filter(F.col("small") * 5 >= F.col("n")).withColumn("e", F.col("size") / F.col("small"))
-        for r in good.groupBy("cell_id").agg(F.min(F.struct("e", "size", "small", "n")).alias("b")).collect():
-            now = best.get(r.cell_id)
-            if now is None or r.b["size"] * now[1] < now[0] * r.b["small"]:
-                best[r.cell_id] = (r.b["size"], r.b["small"], r.b["n"])
-        open_ = []
-        for r in done.groupBy("cell_id", "cutter").agg(F.max("units").alias("flow"), F.max_by("rule", "step").alias("rule"), F.max("n").alias("n")).filter("rule = 'open'").collect():
-            b = best.get(r.cell_id)
-            if b is None or r.flow * b[1] < b[0] * (r.n // 2):
-                open_.append((r.cell_id, r.cutter))
-        if not open_:
+        good = done.filter("step >= 0").filter(F.col("small") * 5 >= F.col("n")).select("cell_id", "size", "small")
+        best = kept(choose_rows(good if best is None else good.unionByName(best)), "wide-best")
+        waiting = done.filter("step < 0").join(best.select("cell_id", F.col("size").alias("b_size"), F.col("small").alias("b_small")), "cell_id", "left")
+        waiting = waiting.filter(F.col("b_size").isNull() | (F.col("size") * F.col("b_small") < F.col("b_size") * F.floor(F.col("n") / 2))).drop("b_size", "b_small")
+        if waiting.isEmpty():
             break
-        waiting = done.sparkSession.createDataFrame(open_, "cell_id long, k int")
         budget *= 2
-    whole = results[0]
-    for r in results[1:]:
-        whole = whole.unionByName(r)
-    last = whole.groupBy("cell_id", "cutter").agg(F.max("units").alias("units"))
-    return pareto(whole.join(last, ["cell_id", "cutter", "units"]).distinct())
+
+        def go_on(batches, limit=budget):
+            for batch in batches:
+                for cell, n, state in zip(batch.cell_id, batch.n, batch.state, strict=True):
+                    own = kernel.Cutter.load(state)
+                    yield rows(cell, own, n, kernel.thinned(own.steps(limit)), own.done)
+
+        done = kept(waiting.repartition("cell_id", "cutter").mapInPandas(go_on, schema), "wide-cuts")
+        results = results.unionByName(done.filter("step >= 0").drop("state"))
+    return pareto(results)
+
+
+def choose_rows(found: DataFrame) -> DataFrame:
+    """cell_id, size, small of least expansion."""
+    key = F.struct((F.col("size").cast("decimal(38,18)") / F.col("small").cast("decimal(20,0)")).alias("e"), (-F.col("small")).alias("s"))
+    return found.groupBy("cell_id").agg(F.min_by(F.struct("size", "small"), key).alias("c")).select("cell_id", "c.size", "c.small")
 
 
 def pareto(found: DataFrame, by: tuple[str, ...] = ("cell_id",)) -> DataFrame:
@@ -122,7 +176,7 @@ def best_within(found: DataFrame, eps_permille: list[int], by: tuple[str, ...] =
     spark = found.sparkSession
     demanded = F.broadcast(spark.createDataFrame([(e,) for e in eps_permille], "eps_permille long"))
     large = F.col("n") - F.col("small")
-    fits = found.join(demanded, large <= F.ceil((F.col("eps_permille") + 1000) * F.col("n") / 2000))
+    fits = found.join(demanded, is_balanced(large, F.col("n"), F.col("eps_permille")))
     return fits.groupBy(*by, "eps_permille").agg(F.min(F.struct("size", (-F.col("small")).alias("s"), "n")).alias("c")).select(*by, "eps_permille", "c.size", (-F.col("c.s")).alias("small"), "c.n")
 
 
@@ -140,21 +194,23 @@ def multilevel_cuts(g: Graph, eps: float, preset: str, seed: int = 0, enforce: b
 
 
 def pair_cuts(g: Graph, pairs: DataFrame, only_front: bool = True) -> DataFrame:
-    """Cuts from handpicked terminal sets. pairs: cutter, node_id, term (1 source, 2 target), small."""
-    own = pairs.select("cutter", "node_id", "term").collect()
+    """Cuts from handpicked terminal sets, which travel with their nodes. pairs: cutter, node_id, term (1 source, 2 target)."""
+    nodes, edges = celled(g)
+    own = pairs.groupBy("node_id").agg(F.collect_list(F.struct("cutter", "term")).alias("terms"))  # a node's terms, one for each cutter
+    marked = nodes.join(own, "node_id", "left")
 
-    def work(cell, k, ids):
-        at = {int(i): n for n, i in enumerate(ids)}
+    def run(key, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        k, _ = cell_graph(a, b)
         sets: dict[int, tuple[list[int], list[int]]] = {}
-        for r in own:
-            if r.node_id in at:
-                sets.setdefault(r.cutter, ([], []))[r.term - 1].append(at[r.node_id])
-        good = [s for _, s in sorted(sets.items()) if s[0] and s[1]]
-        found = kernel.interleave(kernel.pair_cutters(kernel.Net.undirected(k.n, k.u, k.v), good, list(range(k.n)))) if good else []
-        return _rows(cell, "PP", k, kernel.front(found) if only_front else found, 0, True)
-
-    nodes, edges = celled(g)
-    return per_cell(nodes, edges, work, CUT_SCHEMA)
+        for at, terms in enumerate(a.sort_values("node_id").terms):
+            for t in terms if terms is not None else ():
+                sets.setdefault(t["cutter"], ([], []))[t["term"] - 1].append(at)
+        good = {i: s for i, s in sorted(sets.items()) if s[0] and s[1]}
+        made = kernel.pair_cutters(kernel.Net.undirected(k.n, k.u, k.v), list(good.values()), list(range(k.n)), list(good)) if good else []
+        found = kernel.interleave(made)
+        return _rows(int(key[0]), "PP", k, kernel.front(found) if only_front else found, sum(c.units for c in made), True)
+
+    return marked.groupBy("cell_id").cogroup(edges.groupBy("cell_id")).applyInPandas(run, CUT_SCHEMA)
 
 
 def chosen_sides(g: Graph, splitter: Splitter) -> DataFrame:

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions.cutter import directions
-from ..model import kept
+from ..model import kept, small
 
 
 def direction_rows(q: int) -> list[tuple[int, int, int]]:
@@ -36,25 +36,49 @@ def global_rank(df: DataFrame, order: list[str], name: str) -> DataFrame:
 
 
 def sweep(nodes: DataFrame, q: int) -> DataFrame:
-    """cell_id, k, node_id, pos: each cell's nodes along each direction, ties by id."""
-    w = Window.partitionBy("cell_id", "k").orderBy("key", "node_id")
-    return project(nodes, q).select("cell_id", "k", "node_id", (F.row_number().over(w) - 1).cast("long").alias("pos"))
+    """cell_id, k, node_id, pos: each cell's nodes along each direction, ties by id. Rows are numbered by range partitions, so a cell is not one task."""
+    ranked = kept(global_rank(project(nodes, q).select("cell_id", "k", "key", "node_id"), ["cell_id", "k", "key", "node_id"], "place"), "swept")
+    first = kept(ranked.groupBy("cell_id", "k").agg(F.min("place").alias("first")), "sweep-starts")
+    return ranked.join(small(first), ["cell_id", "k"]).select("cell_id", "k", "node_id", (F.col("place") - F.col("first")).alias("pos"))
+
+
+#: Values that a group's bracket may hold before its distinct values are counted one by one; buckets that a larger bracket is cut into.
+WHOLE, BUCKETS = 20_000, 1024
+
+
+def nth(values: DataFrame, by: list[str], take: DataFrame) -> DataFrame:
+    """by, value, before: each group's take-th smallest value, and how many values are smaller. values: by, value (long); take: by, take.
+
+    Selection: a bracket around the wanted rank is cut into buckets, whose counts (one aggregate for all groups) give the next bracket, until it holds
+    at most WHOLE values or one value many times. No group is sorted or collected."""
+    bounds = values.groupBy(*by).agg(F.min("value").alias("low"), F.max("value").alias("high"), F.count("*").alias("inside"))
+    state = kept(take.join(bounds, by).select(*by, "low", "high", "inside", F.col("take").alias("need"), F.lit(0).cast("long").alias("before")), "brackets")
+    wide = (F.col("inside") > WHOLE) & (F.col("high") > F.col("low"))
+    while not state.filter(wide).isEmpty():
+        open_ = state.filter(wide).withColumn("step", F.expr(f"(high - low) div {BUCKETS} + 1"))
+        counted = values.join(small(open_), by).filter(F.col("value").between(F.col("low"), F.col("high"))).groupBy(*by, F.expr("(value - low) div step").alias("bucket")).agg(F.count("*").alias("rows"))
+        running = F.coalesce(F.sum("rows").over(Window.partitionBy(*by).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+        hit = counted.withColumn("less", running).join(open_, by).filter("less < need and less + rows >= need")
+        low = F.col("low") + F.col("bucket") * F.col("step")
+        narrowed = hit.select(*by, low.alias("low"), F.least("high", low + F.col("step") - 1).alias("high"), F.col("rows").alias("inside"), (F.col("need") - F.col("less")).alias("need"), (F.col("before") + F.col("less")).alias("before"))
+        state = kept(state.filter(~wide).unionByName(narrowed), "brackets")
+    counted = values.join(small(state), by).filter(F.col("value").between(F.col("low"), F.col("high"))).groupBy(*by, "need", "before", "value").agg(F.count("*").alias("rows"))
+    running = F.coalesce(F.sum("rows").over(Window.partitionBy(*by).orderBy("value").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return counted.withColumn("less", running).filter("less < need and less + rows >= need").select(*by, "value", (F.col("before") + F.col("less")).alias("before"))
 
 
 def bands(nodes: DataFrame, q: int, alpha: float) -> DataFrame:
-    """cell_id, k, node_id, term (1 source, 2 target): the first and last floor(alpha * n) nodes of each sweep, at least one.
-
-    The thresholds are exact order statistics of the keys; only nodes at a threshold are ranked, by id.
-    """
-    keyed = project(nodes, q)
-    size = keyed.groupBy("cell_id", "k").agg(F.count("*").alias("n"), F.array_sort(F.collect_list("key")).alias("keys"))
-    take = F.greatest(F.lit(1), F.least(F.floor(F.lit(alpha) * F.col("n") + F.lit(1e-9)), F.floor(F.col("n") / 2))).cast("int")
-    cut = size.select("cell_id", "k", take.alias("take"), F.element_at("keys", take).alias("low"), F.element_at("keys", -take).alias("high"), F.col("keys"))
-    cut = cut.select("cell_id", "k", "take", "low", "high", F.size(F.filter("keys", lambda x: x < F.col("low"))).alias("below"), F.size(F.filter("keys", lambda x: x > F.col("high"))).alias("above"))
-    at = keyed.join(cut, ["cell_id", "k"]).filter("key <= low or key >= high")
-    tie_low = F.row_number().over(Window.partitionBy("cell_id", "k", F.col("key") == F.col("low")).orderBy("node_id"))
-    tie_high = F.row_number().over(Window.partitionBy("cell_id", "k", F.col("key") == F.col("high")).orderBy(F.desc("node_id")))
-    source = (F.col("key") < F.col("low")) | ((F.col("key") == F.col("low")) & (tie_low <= F.col("take") - F.col("below")))
-    target = (F.col("key") > F.col("high")) | ((F.col("key") == F.col("high")) & (tie_high <= F.col("take") - F.col("above")))
-    marked = at.withColumn("term", F.when(source, 1).when(target, 2))
-    return marked.filter("term is not null").select("cell_id", "k", "node_id", F.col("term").cast("int").alias("term"))
+    """cell_id, k, node_id, term (1 source, 2 target): the first and last floor(alpha * n) nodes of each sweep, at least one; of equal keys
+    sources have the smallest ids and targets the largest. Thresholds are found by selection, first of keys, then of ids at the threshold key."""
+    keyed = project(nodes, q).select("cell_id", "k", "node_id", F.col("key").alias("low"), (-F.col("key")).alias("high"))
+    sign = F.when(F.col("term") == 1, 1).otherwise(-1)
+    ends = F.explode(F.array(F.struct(F.lit(1).alias("term"), F.col("low").alias("value")), F.struct(F.lit(2).alias("term"), F.col("high").alias("value")))).alias("end")
+    each = kept(keyed.select("cell_id", "k", "node_id", ends).select("cell_id", "k", "end.term", "end.value", "node_id"), "band-keys")
+    by = ["cell_id", "k", "term"]
+    count = F.greatest(F.lit(1), F.least(F.floor(F.lit(alpha) * F.col("n") + F.lit(1e-9)), F.floor(F.col("n") / 2))).cast("long")
+    take = kept(each.groupBy(*by).agg(F.count("*").alias("n")).select(*by, count.alias("take")), "band-sizes")
+    keys = kept(nth(each, by, take).withColumnRenamed("value", "key"), "band-keys")
+    tied = each.join(small(keys), by).filter(F.col("value") == F.col("key")).select(*by, (F.col("node_id") * sign).alias("value"))
+    ids = kept(nth(tied, by, keys.join(take, by).select(*by, (F.col("take") - F.col("before")).alias("take"))).select(*by, F.col("value").alias("last")).join(keys, by), "band-ids")
+    marked = each.join(small(ids), by).filter((F.col("value") < F.col("key")) | ((F.col("value") == F.col("key")) & (F.col("node_id") * sign <= F.col("last"))))
+    return marked.groupBy("cell_id", "k", "node_id").agg(F.min("term").cast("int").alias("term"))

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions import order as kernel
-from ..model import Graph, kept
+from ..model import Graph, kept, there
 
 import numpy as np
 import pandas as pd
@@ -56,68 +56,144 @@ def separator_violations(edges: DataFrame, sides: DataFrame) -> DataFrame:
 
 
 def is_balanced(large: Column, n: Column, eps_permille: Column) -> Column:
-    """large <= ceil((1 + eps) * n / 2), in integers with eps in thousandths."""
-    return large <= F.ceil((eps_permille + 1000) * n / 2000)
+    """large <= ceil((1 + eps) * n / 2), in whole numbers with eps in thousandths."""
+    return large * 2000 < (eps_permille + 1000) * n + 2000
 
 
-#: Edges that one task may hold; graphs with more go through the distributed rounds.
-LOCAL_ARCS = 4_000_000
+#: Edges that a task holds at once while it looks for their forest or searches a block.
+TASK_EDGES = 2_000_000
 
 
-def components(g: Graph, local_arcs: int = LOCAL_ARCS) -> DataFrame:
-    """node_id, component_id: the smallest node of each component, in one task if the edges' count allows it."""
-    edges = kept(g.edges.select("u", "v"), "edges")
-    if edges.count() > local_arcs:
-        return component_rounds(Graph(g.nodes, edges))
+def forest(edges: DataFrame) -> DataFrame:
+    """u, v with the same components as edges: each partition's edges, some at a time, give way to u -> smallest node of u's component among them."""
 
-    def run(e: pd.DataFrame) -> pd.DataFrame:
-        ids = np.unique(e[["u", "v"]].to_numpy(np.int64))
-        label = kernel.component_labels(len(ids), *(np.searchsorted(ids, e[c].to_numpy(np.int64)) for c in ("u", "v")))
-        return pd.DataFrame({"node_id": ids, "component_id": ids[label]})
+    def run(batches):
+        held, size = [], 0
 
-    label = edges.groupBy(F.lit(0).alias("all")).applyInPandas(lambda e: run(e), "node_id long, component_id long")
+        def found(held):
+            e = np.concatenate(held)
+            ids, place = np.unique(e, return_inverse=True)
+            place = place.reshape(-1, 2)
+            label = kernel.component_labels(len(ids), place[:, 0], place[:, 1])
+            own = label != np.arange(len(ids))
+            return np.stack([ids[own], ids[label[own]]], 1)
+
+        for batch in batches:
+            held.append(batch[["u", "v"]].to_numpy(np.int64))
+            size += len(batch)
+            if size > TASK_EDGES:
+                held = [found(held)]
+                if len(held[0]) > size // 2:  # little to gain from this partition
+                    yield pd.DataFrame(held[0], columns=["u", "v"])
+                    held = []
+                size = sum(map(len, held))
+        if size:
+            yield pd.DataFrame(found(held), columns=["u", "v"])
+
+    return edges.select("u", "v").hint("rebalance").mapInPandas(run, "u long, v long")
+
+
+def _is_star(arcs: DataFrame) -> bool:
+    """Whether each u has one v, and no v is a u."""
+    ends = arcs.select(F.col("u").alias("x"), F.lit(1).alias("out"), F.lit(0).alias("inn")).unionByName(arcs.select(F.col("v").alias("x"), F.lit(0).alias("out"), F.lit(1).alias("inn")))
+    return ends.groupBy("x").agg(F.sum("out").alias("out"), F.max("inn").alias("inn")).filter("out > 1 or (out = 1 and inn = 1)").isEmpty()
+
+
+def components(g: Graph) -> DataFrame:
+    """node_id, component_id: the smallest node of each component.
+
+    Partitions (of the size that the session advises) first replace their edges by forests; large-star and small-star rounds join the forests.
+    Small graphs are one partition, whose forest is the answer; the plan is the same for all sizes."""
+    arcs = kept(forest(g.edges), "cc")
+    while not _is_star(arcs):
+        arcs = kept(forest(_star_round(arcs)), "cc")
+    label = arcs.select(F.col("u").alias("node_id"), F.col("v").alias("component_id"))
     return g.nodes.select("node_id").join(label, "node_id", "left").select("node_id", F.coalesce("component_id", "node_id").alias("component_id"))
 
 
+def _star_round(arcs: DataFrame) -> DataFrame:
+    both = arcs.select("u", "v").union(arcs.select("v", "u"))
+    low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+    # large star: higher neighbours hang on the least neighbour; small star: lower neighbours and the node itself do
+    large = both.join(low, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    lower = large.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
+    least = lower.groupBy("u").agg(F.min("v").alias("m"))
+    return lower.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", "m")).filter("u <> v").distinct()
+
+
 def component_rounds(g: Graph) -> DataFrame:
-    """node_id, component_id: the smallest node of each component, by large-star and small-star rounds with kept state."""
+    """As `components`, by star rounds alone: no Python, one shuffled join per round."""
     arcs = kept(g.edges.select("u", "v"), "cc")
     while True:
-        both = arcs.union(arcs.select("v", "u"))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        # large star: higher neighbours hang on the least neighbour; small star: lower neighbours and the node itself do
-        large = both.join(low, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        lower = large.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-        least = lower.groupBy("u").agg(F.min("v").alias("m"))
-        small = lower.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", "m")).filter("u <> v").distinct()
-        new = kept(small, "cc")
-        same = new.count() == arcs.count() and new.join(arcs, ["u", "v"], "left_anti").isEmpty()
-        arcs = new
-        if same:
+        new = kept(_star_round(arcs), "cc")
+        if _is_star(new):
             break
-    label = arcs.groupBy("u").agg(F.min("v").alias("component_id"))
-    return g.nodes.select("node_id").join(label.withColumnRenamed("u", "node_id"), "node_id", "left").select("node_id", F.coalesce("component_id", "node_id").alias("component_id"))
-
-
-def hop_dist(g: Graph, seeds: DataFrame, local_arcs: int = LOCAL_ARCS) -> DataFrame:
-    """node_id, dist from the nearest seed, of the nodes that are reached; in one task if the edges' count allows it."""
-    from ..functions.flow import Net
-
-    edges = kept(g.edges.select("u", "v"), "edges")
-    if edges.count() > local_arcs:
-        return hop_rounds(Graph(g.nodes, edges), seeds)
+        arcs = new
+    label = new.select(F.col("u").alias("node_id"), F.col("v").alias("component_id"))
+    return g.nodes.select("node_id").join(label, "node_id", "left").select("node_id", F.coalesce("component_id", "node_id").alias("component_id"))
 
-    def run(e: pd.DataFrame, s: pd.DataFrame) -> pd.DataFrame:
-        ids = np.unique(np.concatenate([e[["u", "v"]].to_numpy(np.int64).ravel(), s.node_id.to_numpy(np.int64)]))
-        far = np.array(Net.undirected(len(ids), *(np.searchsorted(ids, e[c].to_numpy(np.int64)) for c in ("u", "v"))).hops(np.unique(np.searchsorted(ids, s.node_id)).tolist()), np.int64)
-        return pd.DataFrame({"node_id": ids[far < len(ids)], "dist": far[far < len(ids)]})
 
-    one = lambda df: df.withColumn("all", F.lit(0)).groupBy("all")
-    return one(edges).cogroup(one(seeds.select("node_id").distinct())).applyInPandas(lambda e, s: run(e, s), "node_id long, dist long")
+def blocked(g: Graph, block_edges: int = TASK_EDGES) -> tuple[DataFrame, DataFrame]:
+    """Edges by block and the blocks of each node: strips of the plane of about block_edges edges, an edge across strips in both. Nodes at one point are dealt by their id."""
+    blocks = max(1, -(-g.edges.count() // block_edges))
+    bounds = sorted(set(g.nodes.approxQuantile("x", [i / blocks for i in range(1, blocks)], 0.1 / blocks))) if blocks > 1 else []
+    strip = F.pmod(F.xxhash64("node_id"), F.lit(blocks)) if blocks > 1 and len(bounds) < blocks // 2 else sum([(F.col("x") > b).cast("long") for b in bounds], F.lit(0).cast("long"))
+    place = g.nodes.select("node_id", strip.alias("block"))
+    of = lambda c: place.select(F.col("node_id").alias(c), F.col("block").alias(f"b{c}"))
+    both = g.edges.join(of("u"), "u").join(of("v"), "v")
+    edges = kept(both.select(F.explode(F.array_distinct(F.array("bu", "bv"))).alias("block"), "u", "v"), "block-edges")
+    return edges, kept(edges.select("block", F.col("u").alias("node_id")).union(edges.select("block", "v")).distinct(), "block-nodes")
+
+
+def hop_dist(g: Graph, seeds: DataFrame, block_edges: int = TASK_EDGES) -> DataFrame:
+    """node_id, dist from the nearest seed, of the nodes that are reached. Each block is searched in one task from the distances that reached it; rounds
+    pass improved distances on to other blocks, until there are none."""
+    edges, places = blocked(g, block_edges)
+
+    def search(e: pd.DataFrame, s: pd.DataFrame) -> pd.DataFrame:
+        if not len(s) or not len(e):
+            return pd.DataFrame({"node_id": pd.Series(dtype="int64"), "dist": pd.Series(dtype="int64")})
+        ids, place = np.unique(e[["u", "v"]].to_numpy(np.int64), return_inverse=True)
+        place = place.reshape(-1, 2)
+        n = len(ids)
+        tail, head = np.concatenate([place[:, 0], place[:, 1]]), np.concatenate([place[:, 1], place[:, 0]])
+        order = np.argsort(tail, kind="stable")
+        start, head = np.searchsorted(tail[order], np.arange(n + 1)).tolist(), head[order].tolist()
+        far = [1 << 60] * n
+        waiting: dict[int, list[int]] = {}
+        for x, d in zip(np.searchsorted(ids, s.node_id.to_numpy(np.int64)).tolist(), s.dist.tolist(), strict=True):
+            if d < far[x]:
+                far[x] = d
+                waiting.setdefault(d, []).append(x)
+        given = list(far)
+        while waiting:
+            d = min(waiting)
+            for x in waiting.pop(d):
+                if far[x] == d:
+                    for y in head[start[x] : start[x + 1]]:
+                        if far[y] > d + 1:
+                            far[y] = d + 1
+                            waiting.setdefault(d + 1, []).append(y)
+        found = np.array(far, np.int64)
+        better = found < np.array(given, np.int64)
+        return pd.DataFrame({"node_id": ids[better], "dist": found[better]})
+
+    dist = kept(seeds.select("node_id", F.lit(0).cast("long").alias("dist")).distinct(), "hops")
+    news = dist
+    while True:
+        asked = news.join(places, "node_id")
+        hit = asked.select("block").distinct()
+        found = edges.join(hit, "block", "left_semi").groupBy("block").cogroup(asked.groupBy("block")).applyInPandas(lambda e, s: search(e, s), "node_id long, dist long")
+        best = found.groupBy("node_id").agg(F.min("dist").alias("dist"))
+        known = dist.withColumnRenamed("dist", "was")
+        news = kept(best.join(known, "node_id", "left").filter("was is null or dist < was").select("node_id", "dist"), "hops-new")
+        if news.isEmpty():
+            return dist
+        dist = kept(dist.unionByName(news).groupBy("node_id").agg(F.min("dist").alias("dist")), "hops")
 
 
 def hop_rounds(g: Graph, seeds: DataFrame) -> DataFrame:
-    """As `hop_dist`, for graphs that no task can hold: a level is one join of the frontier."""
+    """As `hop_dist`, without Python: a level is one join of the frontier."""
     arcs = to_arcs(g.edges)
     seen = kept(seeds.select("node_id", F.lit(0).cast("long").alias("dist")).distinct(), "bfs")
     front, d = seen, 0
@@ -130,11 +206,13 @@ def hop_rounds(g: Graph, seeds: DataFrame) -> DataFrame:
 
 
 def celled(g: Graph) -> tuple[DataFrame, DataFrame]:
-    """Nodes and edges with cell_id, the component that they are in."""
-    label = kept(components(g), "cells")
-    nodes = g.nodes.join(label, "node_id").withColumnRenamed("component_id", "cell_id")
-    edges = g.edges.join(label.select(F.col("node_id").alias("u"), F.col("component_id").alias("cell_id")), "u")
-    return nodes, edges.select("cell_id", "u", "v")
+    """Nodes and edges with cell_id, the component that they are in. A graph computes them once."""
+    if g.cells is None or not there(g.cells[0]):
+        label = kept(components(g), "cells")
+        nodes = g.nodes.join(label, "node_id").withColumnRenamed("component_id", "cell_id")
+        edges = g.edges.join(label.select(F.col("node_id").alias("u"), F.col("component_id").alias("cell_id")), "u")
+        g.cells = kept(nodes, "cell-nodes"), kept(edges.select("cell_id", "u", "v"), "cell-edges")
+    return g.cells
 
 
 def cell_graph(nodes: pd.DataFrame, edges: pd.DataFrame) -> tuple[kernel.Graph, np.ndarray]:

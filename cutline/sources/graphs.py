@@ -12,7 +12,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..model import Graph, kept
+from ..model import Graph, kept, there
+from ..operators.geometry import global_rank
 
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -108,9 +109,19 @@ def nodes(spark: SparkSession, sf_dir: str, graph: str) -> DataFrame:
 def edges(spark: SparkSession, sf_dir: str, graph: str) -> DataFrame:
     if graph == "emb":
         return gabriel(nodes(spark, sf_dir, "emb"))
+    if graph == "users":
+        return _followers(read(spark, sf_dir, "events"))
     return _run(spark, sf_dir, graph, "edges")
 
 
+def _followers(events: DataFrame) -> DataFrame:
+    """Pairs of users whose events follow each other at least twice: events are numbered by range partitions, and a number meets the next."""
+    placed = kept(global_rank(events.select("ts", "event_id", "user_id"), ["ts", "event_id"], "place").select("place", "user_id"), "event-places")
+    after = placed.select((F.col("place") - 1).alias("place"), F.col("user_id").alias("b"))
+    met = placed.join(after, "place").filter("user_id <> b")
+    return met.groupBy(F.least("user_id", "b").alias("u"), F.greatest("user_id", "b").alias("v")).count().filter("count >= 2").select("u", "v")
+
+
 def metric(spark: SparkSession, sf_dir: str, graph: str, name: str = "time") -> DataFrame:
     """u, v, weight: 'time' from the tables' attributes, 'dist' from positions."""
     if name == "time" and graph != "emb":
@@ -121,12 +132,22 @@ def metric(spark: SparkSession, sf_dir: str, graph: str, name: str = "time") ->
     return e.join(a, "u").join(b, "v").select("u", "v", (F.abs(F.col("xu") - F.col("xv")) + F.abs(F.col("yu") - F.col("yv")) + 1).alias("weight"))
 
 
+_STORED: dict[tuple[str, str, str], Graph] = {}
+
+
 def graph(spark: SparkSession, sf_dir: str, name: str) -> Graph:
-    e = edges(spark, sf_dir, name)
-    if name in ("talk", "users", "trade"):
-        ids = e.select(F.col("u").alias("node_id")).union(e.select("v")).distinct()
-        return Graph(ids.select("node_id", F.lit(0).cast("long").alias("x"), F.lit(0).cast("long").alias("y")), e)
-    return Graph(nodes(spark, sf_dir, name), e)
+    """A graph as stored tables. A session derives each graph once, as most queries share one of a few."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    found = _STORED.get(key)
+    if found is None or not there(found.nodes) or not there(found.edges):
+        e = kept(edges(spark, sf_dir, name), "graph-edges")
+        if name in ("talk", "users", "trade"):
+            ids = e.select(F.col("u").alias("node_id")).union(e.select("v")).distinct()
+            n = ids.select("node_id", F.lit(0).cast("long").alias("x"), F.lit(0).cast("long").alias("y"))
+        else:
+            n = nodes(spark, sf_dir, name)
+        found = _STORED[key] = Graph(kept(n, "graph-nodes"), e)
+    return found
 
 
 def gabriel(points: DataFrame) -> DataFrame:
