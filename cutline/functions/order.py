@@ -196,8 +196,8 @@ def _whole_seeds(c):
     return type(c)(c.net, both(c.sources), both(c.targets), c.ids, c.number, c.order, c.params)
 
 
-def separate(g: Graph, splitter: Splitter) -> np.ndarray:
-    """0 / 1 / 2 by node: blocks and separator of a connected graph."""
+def separate(g: Graph, splitter: Splitter, numbers: list[int] | None = None) -> np.ndarray:
+    """0 / 1 / 2 by node: blocks and separator of a connected graph, by all cutters or those of the given numbers."""
     if splitter.cut is not None:
         label = splitter.cut(g)
     elif splitter.style == "edgecut" or splitter.kind == "bands":
@@ -212,7 +212,7 @@ def separate(g: Graph, splitter: Splitter) -> np.ndarray:
             label[:] = np.frombuffer(best.side, np.uint8)
             label = edge_cut_separator(label, g.u, g.v)
     else:
-        cuts = [c for c in front(cuts_of(g, splitter, True)[0])]
+        cuts = [c for c in front(cuts_of(g, splitter, True, numbers=numbers)[0])]
         good = [c for c in cuts if 5 * c.small >= c.n] or cuts
         good.sort(key=lambda c: (c.size / c.small, -c.small))
         label, fall = np.zeros(g.n, np.int8), None
@@ -300,6 +300,27 @@ def chains(g: Graph) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return on_chain, np.array([e[0] for e in sorted(new)], np.int64), np.array([e[1] for e in sorted(new)], np.int64)
 
 
+def stages(g: Graph) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The preprocessing of a connected graph: 0 for nodes outside its largest biconnected component, 1 for chains in it, 2 for the rest; and the edges
+    that stand for chains between nodes of the rest."""
+    core = core_split(g).astype(bool)
+    label = np.zeros(g.n, np.int8)
+    inner = np.flatnonzero(core)
+    if not len(inner):
+        return label, np.zeros(0, np.int64), np.zeros(0, np.int64)
+    on_chain, a, b = chains(g.part(inner))
+    label[inner] = np.where(on_chain, 1, 2)
+    return label, inner[a], inner[b]
+
+
+def staged(g: Graph, label: np.ndarray, a: np.ndarray, b: np.ndarray) -> Graph:
+    """The graph whose components are dissected one by one: edges within a stage, and those for chains."""
+    own = label[g.u] == label[g.v]
+    lo, hi = np.concatenate([g.u[own], np.minimum(a, b)]), np.concatenate([g.v[own], np.maximum(a, b)])
+    pairs = np.unique(np.stack([lo, hi], 1), axis=0)
+    return Graph(g.n, pairs[:, 0], pairs[:, 1], g.x, g.y)
+
+
 def full_order(g: Graph, splitter: Splitter, preprocess: bool = True) -> list[int]:
     """The whole order of a graph: loose parts before the core, chains before the rest of the core."""
     if not preprocess:
@@ -307,20 +328,10 @@ def full_order(g: Graph, splitter: Splitter, preprocess: bool = True) -> list[in
     out: list[int] = []
     for nodes in parts_of(component_labels(g.n, g.u, g.v)):
         whole = g.part(nodes)
-        core = core_split(whole).astype(bool)
-        out.extend(_cut_loose(whole, nodes, ~core, splitter))
-        if not core.any():
-            continue
-        inner, names = whole.part(np.flatnonzero(core)), nodes[core]
-        on_chain, a, b = chains(inner)
-        out.extend(_cut_loose(inner, names, on_chain, splitter))
-        rest = np.flatnonzero(~on_chain)
-        if len(rest):
-            kept = inner.part(rest)
-            new = np.full(inner.n, -1, np.int64)
-            new[rest] = np.arange(len(rest))
-            pairs = np.unique(np.stack([np.concatenate([np.minimum(kept.u, kept.v), np.minimum(new[a], new[b])]), np.concatenate([np.maximum(kept.u, kept.v), np.maximum(new[a], new[b])])], 1), axis=0)
-            out.extend(names[rest][dissect(Graph(kept.n, pairs[:, 0], pairs[:, 1], kept.x, kept.y), splitter)].tolist())
+        label, a, b = stages(whole)
+        made = staged(whole, label, a, b)
+        for stage in (0, 1, 2):
+            out.extend(_cut_loose(made, nodes, label == stage, splitter))
     return out
 
 
