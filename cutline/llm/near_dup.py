@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import discard, in_arrow, stored, table
+from .common import discard, in_arrow, small, stored, table
 from .shingles import mixed, sets, signature
 
 #: Similarity as a fraction: 75 / 100.
@@ -167,9 +167,10 @@ def postings(docs: DataFrame, text: str, known: Lists) -> DataFrame:
                 seen.add(rid)
                 own, count, matches, rarity = prefix(s, held.value)
                 head = (rarity << (_N + _POS + _L)) | (len(s) << (_POS + _L)) | matches
-                piles = -(-count // PILE)
-                place = (mixed(own + np.uint64(rid & 0xFFFFFFFFFFFFFFFF)) >> np.uint64(1)).astype(np.int64)
-                for x, v in zip(parts, (own.view(np.int64), np.where(piles > 1, 1 + place % np.maximum(piles, 1), 0), head + (np.arange(len(own), dtype=np.int64) << _L), np.full(len(own), rid, np.int64)), strict=True):
+                # piles of all shingles are nested, so that sets with many shingles in common meet the same few hubs
+                piles = np.left_shift(1, np.ceil(np.log2(np.maximum(count, PILE) / PILE)).astype(np.int64))
+                place = int(mixed(np.array([rid], np.int64).view(np.uint64))[0] >> np.uint64(1))
+                for x, v in zip(parts, (own.view(np.int64), np.where(piles > 1, 1 + (place & (piles - 1)), 0), head + (np.arange(len(own), dtype=np.int64) << _L), np.full(len(own), rid, np.int64)), strict=True):
                     x.append(v)
                 size += len(own)
                 if size > 200_000:
@@ -360,7 +361,7 @@ def _cross(listed: DataFrame, labels: DataFrame) -> DataFrame:
     known = listed.select("token", F.col("a").alias("rid"), F.col("meta_a").alias("meta")).join(labels, "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
     known = stored(known.withColumn("class", F.floor(F.log(_size(F.col("meta")).cast("double")) / float(np.log(CLASS_RATIO))).cast("int")), "long-lists")
     most = known.groupBy("token", "comp").agg(F.count("*").alias("n")).groupBy("token").agg(F.max(F.struct("n", "comp"))["comp"].alias("most"), F.count("*").alias("comps")).filter("comps > 1")
-    minor = known.join(most, "token").filter("comp <> most")
+    minor = known.join(small(stored(most, "long-heads")), "token").filter("comp <> most")
     reach = int(np.ceil(np.log(DENOMINATOR / NUMERATOR) / np.log(CLASS_RATIO)))
     probe = minor.select("token", F.col("rid").alias("x"), F.col("meta").alias("mx"), F.col("comp").alias("cx"), "most", F.explode(F.sequence(F.col("class") - reach, F.col("class") + reach)).alias("class"))
     other = known.select("token", "class", F.col("rid").alias("y"), F.col("meta").alias("my"), F.col("comp").alias("cy"))
