@@ -1,6 +1,6 @@
-"""Distributed unit-capacity flow: the tier for cells that no single task can hold.
+"""Distributed unit-capacity flow, for cells that no single task can hold.
 
-The flow is a table of arcs with residual capacities. A phase is a breadth-first search over residual arcs, one join a level, then all
+`BlockNet` deals the arcs to blocks that tasks can hold, and its rounds are block crossings. `max_flow` needs DataFrame functions only: its flow is a table of arcs with residual capacities. A phase is a breadth-first search over residual arcs, one join a level, then all
 reached targets send tokens back along the search tree; where tokens meet, the smaller one goes on. The arcs of the
 tokens that arrive are flipped. At least one token arrives, so phases end after at most the flow's value. State is kept
 in the shared folder between phases; the driver sees counts only.
@@ -8,10 +8,13 @@ in the shared folder between phases; the driver sees counts only.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..model import kept
+from ..model import Graph, kept
+from .graph import blocked
 
 
 def network(edges: DataFrame) -> DataFrame:
@@ -79,3 +82,126 @@ def flow_violations(state: DataFrame, capacity: DataFrame, sources: DataFrame, t
     row = lambda name, df, bad: df.agg(F.lit(name).alias("check_name"), F.count(F.when(bad, 1)).alias("violations"), F.count("*").alias("checked"))
     net = flow.groupBy("src").agg(F.sum("f").alias("net")).join(ends, "src", "left_anti")
     return row("capacity", flow, (F.col("f") > F.col("cap")) | (F.abs("f") > 1)).unionByName(row("skew", flow.join(back, ["src", "dst"]), F.col("f") + F.col("g") != 0)).unionByName(row("conservation", net, F.col("net") != 0))
+
+
+class BlockNet:
+    """Residual arcs dealt to blocks, each of which a task can hold: the tier whose rounds are block crossings and not levels.
+
+    arcs: block, src, dst, res, cap; an arc between blocks is in both. places: block, node_id. Searches and paths run inside
+    blocks in one task each and pass on what leaves them; the driver sees counts only."""
+
+    TREE = "node_id long, depth long, via long, root long, block long"
+
+    def __init__(self, arcs: DataFrame, places: DataFrame):
+        self.arcs, self.places = arcs, places
+
+    @classmethod
+    def of(cls, g: Graph, capacity: DataFrame, block_edges: int) -> BlockNet:
+        """capacity: src, dst, cap for both directions of g's edges."""
+        edges, places = blocked(g, block_edges)
+        both = edges.select("block", F.col("u").alias("src"), F.col("v").alias("dst")).unionByName(edges.select("block", F.col("v").alias("src"), F.col("u").alias("dst")))
+        arcs = both.join(capacity, ["src", "dst"]).select("block", "src", "dst", F.col("cap").alias("res"), "cap")
+        return cls(kept(arcs, "block-arcs"), places)
+
+    def reach(self, seeds: DataFrame, forward: bool = True, closed: DataFrame | None = None, stop: DataFrame | None = None) -> tuple[DataFrame, bool]:
+        """node_id, depth, via, root, block of what residual arcs reach from seeds (or what reaches them) without entering `closed`; ends with the round that meets `stop`.
+
+        A node that two blocks reach in one round keeps the smaller depth, so parents are less deep than their children."""
+        start = seeds.select("node_id", F.lit(0).cast("long").alias("depth"), F.lit(None).cast("long").alias("via"), F.col("node_id").alias("root"), F.lit(-1).cast("long").alias("block"))
+        seen = news = kept(start.distinct(), "tree")
+        barred = None if closed is None else closed.select("node_id")
+        while True:
+            asked = news.join(self.places.withColumnRenamed("block", "at"), "node_id").select("at", "node_id", "depth", "root", F.lit(True).alias("new"))
+            hit = kept(asked.select("at").distinct(), "blocks")
+            # what a block must not enter again
+            old = (seen if barred is None else seen.select("node_id").unionByName(barred)).join(self.places.withColumnRenamed("block", "at"), "node_id").join(hit, "at", "left_semi")
+            marks = asked.unionByName(old.select("at", "node_id", F.lit(0).cast("long").alias("depth"), F.lit(0).cast("long").alias("root"), F.lit(False).alias("new")))
+            arcs = self.arcs.filter("res > 0").select(F.col("block").alias("at"), "src", "dst").join(hit, "at", "left_semi")
+            found = arcs.groupBy("at").cogroup(marks.groupBy("at")).applyInPandas(lambda key, a, b: _search(int(key[0]), a, b, forward), self.TREE)
+            best = found.groupBy("node_id").agg(F.min(F.struct("depth", "via", "root", "block")).alias("t")).select("node_id", "t.*")
+            news = kept(best.join(seen.select("node_id"), "node_id", "left_anti"), "tree")
+            if news.isEmpty():
+                return seen, False
+            seen = kept(seen.unionByName(news), "tree")
+            if stop is not None and not news.join(stop, "node_id", "left_semi").isEmpty():
+                return seen, True
+
+    def paths(self, tree: DataFrame, ends: DataFrame) -> DataFrame:
+        """src, dst of the tree arcs that lead to ends. Blocks walk what is theirs and hand the rest on."""
+        at, out = kept(ends.select("node_id"), "walk"), None
+        links = tree.filter("via is not null").select("block", "node_id", "via")
+        while True:
+            here = kept(at.join(links, "node_id").select("block", "node_id"), "walk")
+            if here.isEmpty():
+                return out
+            walked = kept(links.groupBy("block").cogroup(here.groupBy("block")).applyInPandas(lambda t, x: _walk(t, x), "src long, dst long, last boolean"), "walk")
+            steps = walked.select("src", "dst")
+            out = steps if out is None else out.unionByName(steps)
+            at = walked.filter("last").select(F.col("src").alias("node_id")).distinct()
+
+    def push(self, paths: DataFrame, forward: bool = True) -> None:
+        """One unit along arcs src -> dst, or against them where the tree was found backward."""
+        a, b = ("src", "dst") if forward else ("dst", "src")
+        used = paths.select(F.col(a).alias("src"), F.col(b).alias("dst"))
+        change = used.select("src", "dst", F.lit(-1).alias("d")).unionByName(used.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.lit(1).alias("d"))).groupBy("src", "dst").agg(F.sum("d").alias("d"))
+        self.arcs = kept(self.arcs.join(change, ["src", "dst"], "left").select("block", "src", "dst", (F.col("res") + F.coalesce("d", F.lit(0))).cast("int").alias("res"), "cap"), "block-arcs")
+
+    def augment(self, sources: DataFrame, targets: DataFrame, forward: bool = True, closed: DataFrame | None = None) -> tuple[int, DataFrame]:
+        """Units of a maximum flow that extends the present one, and the last search's tree. Each phase pushes one unit for each root that
+        meets a target: trees of different roots share no node."""
+        units = 0
+        while True:
+            tree, found = self.reach(sources, forward, closed, targets)
+            if not found:
+                return units, tree
+            ends = kept(tree.join(targets, "node_id", "left_semi").groupBy("root").agg(F.min(F.struct("depth", "node_id")).alias("e")).select("e.node_id"), "ends")
+            self.push(self.paths(tree, ends), forward)
+            units += ends.count()
+
+    def state(self) -> DataFrame:
+        """src, dst, res: each arc once."""
+        return self.arcs.select("src", "dst", "res").distinct()
+
+
+def _search(block: int, arcs: pd.DataFrame, marks: pd.DataFrame, forward: bool) -> pd.DataFrame:
+    """One block's breadth-first search from its new nodes, by depth; nodes that are marked already are not entered."""
+    names = ["node_id", "depth", "via", "root", "block"]
+    if not len(arcs) or not len(marks):
+        return pd.DataFrame(columns=names)
+    a, b = ("src", "dst") if forward else ("dst", "src")
+    ids, place = np.unique(np.concatenate([arcs[a].to_numpy(np.int64), arcs[b].to_numpy(np.int64)]), return_inverse=True)
+    tail, head = place[: len(arcs)], place[len(arcs) :]
+    order = np.lexsort((head, tail))
+    start, head = np.searchsorted(tail[order], np.arange(len(ids) + 1)).tolist(), head[order].tolist()
+    known = {x: i for i, x in enumerate(ids.tolist())}
+    depth, via, root = [-1] * len(ids), [-1] * len(ids), [0] * len(ids)
+    waiting: dict[int, list[int]] = {}
+    for x, d, r, new in sorted(zip(marks.node_id.tolist(), marks.depth.tolist(), marks.root.tolist(), marks.new.tolist(), strict=True), key=lambda m: not m[3]):
+        i = known.get(x)
+        if i is not None and depth[i] < 0:
+            depth[i], root[i] = d, r
+            if new:
+                waiting.setdefault(d, []).append(i)
+    out = []
+    while waiting:
+        d = min(waiting)
+        for x in waiting.pop(d):
+            for y in head[start[x] : start[x + 1]]:
+                if depth[y] < 0:
+                    depth[y], via[y], root[y] = d + 1, x, root[x]
+                    out.append(y)
+                    waiting.setdefault(d + 1, []).append(y)
+    own = np.array(out, np.int64)
+    return pd.DataFrame({"node_id": ids[own], "depth": np.array(depth, np.int64)[own], "via": ids[np.array(via, np.int64)[own]], "root": np.array(root, np.int64)[own], "block": block}) if out else pd.DataFrame(columns=names)
+
+
+def _walk(tree: pd.DataFrame, at: pd.DataFrame) -> pd.DataFrame:
+    """A block's part of paths toward their roots; `last` marks the arc whose tail another block goes on from."""
+    up = dict(zip(tree.node_id.tolist(), tree.via.tolist(), strict=True))
+    rows = []
+    for x in at.node_id.tolist():
+        while x in up:
+            v = int(up[x])
+            rows.append((v, x, v not in up))
+            x = v
+    return pd.DataFrame(rows, columns=["src", "dst", "last"])
