@@ -60,6 +60,7 @@ class Weights:
         self.up = up
         self.w_up = [[FAR] * len(x) for x in up]
         self.w_down = [[FAR] * len(x) for x in up]
+        self.far_up, self.far_down = [[] for _ in up], [[] for _ in up]
         self.mid = [[-1] * len(x) for x in up]
         self.mid_down = [[-1] * len(x) for x in up]
 
@@ -95,6 +96,26 @@ class Weights:
                     self._relax(u, self.at(u, v), self.w_down[w][iu] + self.w_up[w][j], self.w_down[w][j] + self.w_up[w][iu], w)
         return self
 
+    def perfect(self) -> int:
+        """Makes every weight the distance between its ends, by triangles with an intermediate or upper third corner, from the highest rank down. Directions whose
+        weight falls are no shortest path themselves: another path over the index witnesses that, and they leave (FAR). Returns how many arcs keep neither direction."""
+        gone = 0
+        for x in range(len(self.up) - 1, -1, -1):
+            own = self.up[x]
+            up, down = list(self.w_up[x]), list(self.w_down[x])
+            for i, y in enumerate(own):
+                for j in range(i + 1, len(own)):
+                    k = self.at(y, own[j])
+                    # whole distances between higher ranks, whether or not their arcs have left
+                    forth, back = self.far_up[y][k], self.far_down[y][k]
+                    up[j], down[j] = min(up[j], up[i] + forth), min(down[j], back + down[i])
+                    up[i], down[i] = min(up[i], up[j] + back), min(down[i], forth + down[j])
+            self.far_up[x], self.far_down[x] = up, down
+            self.w_up[x] = [w if w <= d else FAR for w, d in zip(self.w_up[x], up, strict=True)]
+            self.w_down[x] = [w if w <= d else FAR for w, d in zip(self.w_down[x], down, strict=True)]
+            gone += sum(a >= FAR and b >= FAR for a, b in zip(self.w_up[x], self.w_down[x], strict=True))
+        return gone
+
     def _relax(self, u: int, i: int, forth: int, back: int, w: int) -> None:
         if forth < self.w_up[u][i]:
             self.w_up[u][i], self.mid[u][i] = forth, w

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -156,6 +158,18 @@ def choose_rows(found: DataFrame) -> DataFrame:
     return found.groupBy("cell_id").agg(F.min_by(F.struct("size", "small"), key).alias("c")).select("cell_id", "c.size", "c.small")
 
 
+def cut_report(found: DataFrame, config: str = "config") -> DataFrame:
+    """config, eps_permille, achieved, size as a table prints them: the reached imbalance in per cent with one place, "<0.1" for a smaller one, "0.0" for none; a cut that
+    misses its demand has its size in brackets, and a refused or missing one a dash. found: config, eps_permille, size, small, n and, if known, missed, refused."""
+    missed = F.coalesce(F.col("missed"), F.lit(False)) if "missed" in found.columns else F.lit(False)
+    large = F.col("n") - F.col("small")
+    # the imbalance in thousandths over perfect halves, as a whole number
+    excess = large * 2 - F.col("n") - F.col("n") % 2
+    percent = F.when(excess <= 0, "0.0").when(excess * 1000 < F.col("n"), "<0.1").otherwise(F.format_string("%.1f", F.lit(100.0) * excess / F.col("n")))
+    size = F.when(missed, F.concat(F.lit("("), F.col("size").cast("string"), F.lit(")"))).otherwise(F.col("size").cast("string"))
+    return found.select(F.col(config).alias("config"), "eps_permille", F.when(F.col("size").isNull(), "-").otherwise(percent).alias("achieved"), F.coalesce(size, F.lit("-")).alias("size"))
+
+
 def pareto(found: DataFrame, by: tuple[str, ...] = ("cell_id",)) -> DataFrame:
     """Cuts that no other beats in size and balance: a running minimum of the size by falling balance."""
     w = Window.partitionBy(*by).orderBy(F.desc("small"), "size", "cutter", "step")
@@ -180,17 +194,30 @@ def best_within(found: DataFrame, eps_permille: list[int], by: tuple[str, ...] =
     return fits.groupBy(*by, "eps_permille").agg(F.min(F.struct("size", (-F.col("small")).alias("s"), "n")).alias("c")).select(*by, "eps_permille", "c.size", (-F.col("c.s")).alias("small"), "c.n")
 
 
-def multilevel_cuts(g: Graph, eps: float, preset: str, seed: int = 0, enforce: bool = True, tries: int = 4) -> DataFrame:
-    """cell_id, config, size, small, n, missed, connected by the general multilevel partitioner."""
+def multilevel_cuts(g: Graph, eps_permille: list[int], presets: list[str], seed: int = 0, enforce: bool = True, tries: int = 4, start: DataFrame | None = None) -> DataFrame:
+    """cell_id, config, eps_permille, size, small, n, missed, refused, connected, seconds by the multilevel and natural-cut partitioners: one task for each cell, configuration
+    and demanded imbalance. start: node_id, pos of an order that numbers a cell's nodes before the partitioners see them (all get the same)."""
+    names = ["cell_id", "config", "eps_permille", "size", "small", "n", "missed", "refused", "connected", "seconds"]
+    nodes, edges = celled(g)
+    nodes = nodes.join(start.select("node_id", "pos"), "node_id") if start is not None else nodes.withColumn("pos", F.col("node_id"))
+    asked = F.explode(F.array(*[F.struct(F.lit(p).alias("config"), F.lit(e).cast("long").alias("eps_permille")) for p in presets for e in eps_permille])).alias("asked")
+    each = lambda df: df.select("*", asked).select(*df.columns, "asked.config", "asked.eps_permille")
+    by = ["cell_id", "config", "eps_permille"]
 
-    def work(cell, k, ids):
-        side, info = multilevel.bisect(k.n, k.u.tolist(), k.v.tolist(), eps, preset, seed, tries, enforce) if k.n >= 3 and len(k.u) else (None, {})
+    def run(key, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        k, _ = cell_graph(a, b)
+        if k.n < 3 or not len(k.u):
+            return pd.DataFrame(columns=names)
+        began = time.perf_counter()
+        place = np.argsort(np.argsort(a.sort_values("node_id").pos.to_numpy(), kind="stable"), kind="stable")
+        side, info = multilevel.bisect(k.n, place[k.u].tolist(), place[k.v].tolist(), int(key[2]) / 1000, str(key[1]), seed, tries, enforce)
+        took = time.perf_counter() - began
         if side is None:
-            return pd.DataFrame(columns=["cell_id", "config", "size", "small", "n", "missed", "connected"])
-        return pd.DataFrame({"cell_id": [cell], "config": ["ML" if preset == "strong" else "QM"], "size": [info["cut"]], "small": [k.n - info["large"]], "n": [k.n], "missed": [info["missed"]], "connected": [connected_sides(k, np.array(side))]})
+            return pd.DataFrame([(int(key[0]), key[1], int(key[2]), None, None, k.n, False, True, None, took)], columns=names)
+        own = np.array(side)[place]
+        return pd.DataFrame([(int(key[0]), key[1], int(key[2]), info["cut"], k.n - info["large"], k.n, info["missed"], False, connected_sides(k, own), took)], columns=names)
 
-    nodes, edges = celled(g)
-    return per_cell(nodes, edges, work, "cell_id long, config string, size long, small long, n long, missed boolean, connected boolean")
+    return each(nodes).groupBy(*by).cogroup(each(edges).groupBy(*by)).applyInPandas(run, "cell_id long, config string, eps_permille long, size long, small long, n long, missed boolean, refused boolean, connected boolean, seconds double")
 
 
 def pair_cuts(g: Graph, pairs: DataFrame, only_front: bool = True) -> DataFrame:

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import Graph, kept
-from .graph import blocked
+from .graph import blocked, cut_edges
 
 
 def network(edges: DataFrame) -> DataFrame:
@@ -66,6 +66,11 @@ def max_flow(state: DataFrame, sources: DataFrame, targets: DataFrame) -> tuple[
         units += arrived.count()
 
 
+def side_cut(g: Graph, own: DataFrame) -> DataFrame:
+    """u, v of the edges that leave own(node_id): the source-side or target-side cut, from what the sources or targets reach."""
+    return cut_edges(g.edges, g.nodes.select("node_id").join(own.select("node_id", F.lit(1).alias("side")).distinct(), "node_id", "left").fillna(0, ["side"]))
+
+
 def trim_terminals(arcs: DataFrame, terms: DataFrame) -> DataFrame:
     """Terminals (node_id, term) with a neighbour of another kind; the others take part in no path."""
     other = terms.select(F.col("node_id").alias("dst"), F.col("term").alias("other"))

@@ -74,10 +74,20 @@ def ancestors(tree: DataFrame) -> DataFrame:
     return pairs
 
 
+def search_spaces(tree: DataFrame) -> DataFrame:
+    """rank, nodes, arcs: how many nodes and arcs a search from each rank can meet, i.e. those of itself and its ancestors. Pointers double each
+    round and add up what lies between, so the state is one row per rank."""
+    state = kept(tree.select("rank", F.col("parent").alias("jump"), F.lit(1).cast("long").alias("nodes"), F.col("up_degree").cast("long").alias("arcs")), "spaces")
+    while not state.filter("jump is not null").isEmpty():
+        up = state.select(F.col("rank").alias("jump"), F.col("jump").alias("next"), F.col("nodes").alias("n"), F.col("arcs").alias("a"))
+        far = state.filter("jump is not null").join(up, "jump").select("rank", F.col("next").alias("jump"), (F.col("nodes") + F.col("n")).alias("nodes"), (F.col("arcs") + F.col("a")).alias("arcs"))
+        state = kept(state.filter("jump is null").unionByName(far), "spaces")
+    return state.select("rank", "nodes", "arcs")
+
+
 def search_space(tree: DataFrame) -> DataFrame:
     """nodes_sum, nodes_max, arcs_sum, arcs_max over all ranks."""
-    own = ancestors(tree).join(tree.select(F.col("rank").alias("anc"), "up_degree"), "anc").groupBy("rank").agg(F.count("*").alias("nodes"), F.sum("up_degree").alias("arcs"))
-    return own.agg(F.sum("nodes").alias("nodes_sum"), F.max("nodes").alias("nodes_max"), F.sum("arcs").alias("arcs_sum"), F.max("arcs").alias("arcs_max"))
+    return search_spaces(tree).agg(F.sum("nodes").alias("nodes_sum"), F.max("nodes").alias("nodes_max"), F.sum("arcs").alias("arcs_sum"), F.max("arcs").alias("arcs_max"))
 
 
 def sizes(index: DataFrame) -> DataFrame:
@@ -139,20 +149,97 @@ def _weights(own: np.ndarray, arcs: pd.DataFrame) -> kernel.Weights:
     return w
 
 
-def customize(index: DataFrame, g: Graph, ranks: DataFrame, metric: DataFrame, corner: str = "upper") -> DataFrame:
-    """lo, hi, up, down: weights that obey all lower triangles. The topology is reused for any metric."""
+def customize(index: DataFrame, g: Graph, ranks: DataFrame, metric: DataFrame, corner: str = "upper", witness: bool = False) -> DataFrame:
+    """lo, hi, up, down: weights that obey all lower triangles. The topology is reused for any metric. witness: arcs that some other path of the
+    index makes needless for this metric are left out."""
     cell, arcs = _with_cell(index, g, ranks)
     given = metric_arcs(metric, ranks).join(_again(cell).withColumnRenamed("rank", "tail"), "tail")
 
     def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         own = np.unique(np.concatenate([a[c].to_numpy(np.int64) for c in ("lo", "hi")]))
         w = _weights(own, a).attach(*(np.searchsorted(own, b[c].to_numpy(np.int64)).tolist() for c in ("tail", "head")), b.weight.tolist()).customize(corner)
-        rows = [(own[r], own[h], w.w_up[r][i], w.w_down[r][i]) for r, x in enumerate(w.up) for i, h in enumerate(x)]
+        if witness:
+            w.perfect()
+        rows = [(own[r], own[h], w.w_up[r][i], w.w_down[r][i]) for r, x in enumerate(w.up) for i, h in enumerate(x) if not witness or min(w.w_up[r][i], w.w_down[r][i]) < kernel.FAR]
         return pd.DataFrame(rows, columns=["lo", "hi", "up", "down"])
 
     return arcs.groupBy("cell_id").cogroup(given.groupBy("cell_id")).applyInPandas(run, "lo long, hi long, up long, down long")
 
 
+def lower_triangles(index: DataFrame) -> DataFrame:
+    """low, u, v (u < v): each pair of upward neighbours of a rank, which are joined by an arc. Stored once, they serve any number of customizations."""
+    a = index.select(F.col("lo").alias("low"), F.col("hi").alias("u"))
+    return a.join(index.select(F.col("lo").alias("low"), F.col("hi").alias("v")), "low").filter("u < v")
+
+
+def customize_rounds(index: DataFrame, ranks: DataFrame, metric: DataFrame, triangles: DataFrame | None = None) -> DataFrame:
+    """As `customize`, by joins alone, for components that no task can hold: all lower triangles are relaxed at once until no weight falls.
+    triangles: the table of `lower_triangles`, if it is kept from an earlier metric."""
+    far = F.lit(kernel.FAR)
+    given = metric_arcs(metric, ranks)
+    side = lambda low, high, name: given.filter(F.col(low) < F.col(high)).groupBy(F.col(low).alias("lo"), F.col(high).alias("hi")).agg(F.min("weight").cast("long").alias(name))
+    attached = index.select("lo", "hi").join(side("tail", "head", "up"), ["lo", "hi"], "left").join(side("head", "tail", "down"), ["lo", "hi"], "left")
+    state = kept(attached.select("lo", "hi", F.coalesce("up", far).alias("up"), F.coalesce("down", far).alias("down")), "weights")
+    triangles = kept(lower_triangles(index), "triangles") if triangles is None else triangles
+    while True:
+        of = lambda name, c: state.select(F.col("lo").alias("low"), F.col("hi").alias(c), F.col("up").alias(f"up_{name}"), F.col("down").alias(f"down_{name}"))  # noqa: E731,B023
+        met = triangles.join(of("u", "u"), ["low", "u"]).join(of("v", "v"), ["low", "v"])
+        best = met.groupBy(F.col("u").alias("lo"), F.col("v").alias("hi")).agg(F.min(F.col("down_u") + F.col("up_v")).alias("forth"), F.min(F.col("down_v") + F.col("up_u")).alias("back"))
+        new = state.join(best, ["lo", "hi"], "left").select("lo", "hi", F.least("up", F.coalesce("forth", far)).alias("up"), F.least("down", F.coalesce("back", far)).alias("down"), F.col("up").alias("up_was"), F.col("down").alias("down_was"))
+        fell = kept(new, "weights")
+        state = fell.select("lo", "hi", "up", "down")
+        if fell.filter("up < up_was or down < down_was").isEmpty():
+            return state
+
+
+def query_rounds(weights: DataFrame, ranks: DataFrame, pairs: DataFrame) -> DataFrame:
+    """As `query_labels`, by joins alone: the labels of all endpoints grow upward along index arcs until no distance falls."""
+    ends = pairs.select(F.col("s").alias("node_id"), F.lit(True).alias("forward")).union(pairs.select(F.col("t"), F.lit(False))).distinct().join(ranks, "node_id")
+    labels = kept(ends.select("node_id", "forward", F.col("rank").alias("anc"), F.lit(0).cast("long").alias("d")), "labels")
+    both = weights.select(F.col("lo").alias("anc"), F.lit(True).alias("forward"), "hi", F.col("up").alias("w")).unionByName(weights.select(F.col("lo").alias("anc"), F.lit(False).alias("forward"), "hi", F.col("down").alias("w"))).filter(F.col("w") < kernel.FAR)
+    news = labels
+    while True:
+        reached = news.join(both, ["anc", "forward"]).groupBy("node_id", "forward", F.col("hi").alias("anc")).agg(F.min(F.col("d") + F.col("w")).alias("d"))
+        was = labels.withColumnRenamed("d", "was")
+        news = kept(reached.join(was, ["node_id", "forward", "anc"], "left").filter("was is null or d < was").select("node_id", "forward", "anc", "d"), "labels-new")
+        if news.isEmpty():
+            break
+        labels = kept(labels.unionByName(news).groupBy("node_id", "forward", "anc").agg(F.min("d").alias("d")), "labels")
+    return _met(labels, pairs)
+
+
+def _met(labels: DataFrame, pairs: DataFrame) -> DataFrame:
+    a = labels.filter("forward").select(F.col("node_id").alias("s"), "anc", F.col("d").alias("ds"))
+    b = labels.filter("not forward").select(F.col("node_id").alias("t"), "anc", F.col("d").alias("dt"))
+    met = pairs.join(a, "s").join(b, ["t", "anc"]).groupBy("pair_id").agg(F.min(F.col("ds") + F.col("dt")).alias("dist"))
+    return pairs.select("pair_id", "s", "t").join(met, "pair_id", "left")
+
+
+def unpack_checks(index: DataFrame, g: Graph, ranks: DataFrame, metric: DataFrame) -> DataFrame:
+    """cell_id, wrong, checked: whether each component's index arcs unpack to paths of original arcs whose weights add up to the arc's."""
+    cell, arcs = _with_cell(index, g, ranks)
+    given = metric_arcs(metric, ranks).join(_again(cell).withColumnRenamed("rank", "tail"), "tail")
+
+    def run(key, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        own = np.unique(np.concatenate([a[c].to_numpy(np.int64) for c in ("lo", "hi")]))
+        tail, head = (np.searchsorted(own, b[c].to_numpy(np.int64)).tolist() for c in ("tail", "head"))
+        w = _weights(own, a).attach(tail, head, b.weight.tolist()).customize("upper")
+        direct: dict[tuple[int, int], int] = {}
+        for t, h, x in zip(tail, head, b.weight.tolist(), strict=True):
+            direct[t, h] = min(x, direct.get((t, h), kernel.FAR))
+        wrong = checked = 0
+        for r, x in enumerate(w.up):
+            for i, h in enumerate(x):
+                for s, t, d in ((r, h, w.w_up[r][i]), (h, r, w.w_down[r][i])):
+                    if d < kernel.FAR:
+                        path = [*w.unpack(s, t), t]
+                        wrong += sum(direct.get(p, kernel.FAR) for p in zip(path, path[1:], strict=False)) != d
+                        checked += 1
+        return pd.DataFrame({"cell_id": [int(key[0])], "wrong": [wrong], "checked": [checked]})
+
+    return arcs.groupBy("cell_id").cogroup(given.groupBy("cell_id")).applyInPandas(run, "cell_id long, wrong long, checked long")
+
+
 def query(weights: DataFrame, g: Graph, ranks: DataFrame, pairs: DataFrame, method: str = "etree", prune: bool = False) -> DataFrame:
     """pair_id, s, t, dist (null if there is no path). method 'etree' walks both root paths, 'heap' searches upward with heaps."""
     cell, arcs = _with_cell(weights, g, ranks)
@@ -192,7 +279,4 @@ def query_labels(weights: DataFrame, g: Graph, ranks: DataFrame, pairs: DataFram
         return pd.DataFrame(out, columns=["node_id", "forward", "anc", "d"])
 
     labels = kept(arcs.groupBy("cell_id").cogroup(ends.groupBy("cell_id")).applyInPandas(run, "node_id long, forward boolean, anc long, d long"), "labels")
-    a = labels.filter("forward").select(F.col("node_id").alias("s"), "anc", F.col("d").alias("ds"))
-    b = labels.filter("not forward").select(F.col("node_id").alias("t"), "anc", F.col("d").alias("dt"))
-    met = pairs.join(a, "s").join(b, ["t", "anc"]).groupBy("pair_id").agg(F.min(F.col("ds") + F.col("dt")).alias("dist"))
-    return pairs.select("pair_id", "s", "t").join(met, "pair_id", "left")
+    return _met(labels, pairs)

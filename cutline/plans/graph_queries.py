@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from ..functions import cutter as kernel
 from ..functions.cutter import directions
 from ..model import Graph, kept
-from ..operators import cutters, flow, geometry
+from ..operators import cutters, flow, geometry, table_cutter
 from ..operators import graph as ops
 from ..sources import graphs
 from .catalog import query, zeros
@@ -86,7 +87,16 @@ _REACH = f"with recursive e as ({PART}), a as ({ARCS}), r(node_id, low) as (sele
 
 @query("components_part", f"{_REACH} select node_id, min(low) as component_id from r group by 1")
 def components_part(spark, sf_dir):
-    return ops.component_rounds(graphs.graph(spark, sf_dir, "part"))
+    return ops.components(graphs.graph(spark, sf_dir, "part"))
+
+
+_TALK = graphs.duck("talk", "edges")
+
+
+@query("component_rounds_talk", f"with e as ({_TALK}), n as (select u as node_id from e union select v from e) select node_id, min(node_id) over (partition by node_id // 1000, node_id % 1000 - k) as component_id from (select node_id, row_number() over (partition by node_id // 1000 order by node_id) as k from n) q")
+def component_rounds_talk(spark, sf_dir):
+    """Components by star rounds alone: conversations are runs of turns."""
+    return ops.component_rounds(graphs.graph(spark, sf_dir, "talk"))
 
 
 @query("bfs_part", f"""with recursive e as ({PART}), a as ({ARCS}), d(node_id, dist) using key (node_id) as (select node_id, cast(0 as bigint) from ({PART_N}) n where node_id = (select min(u) from e)
@@ -114,13 +124,15 @@ def bicomp_sizes(spark, sf_dir):
     return once.unionByName(gaps)
 
 
-
-
-@query("bridges_part", f"""with recursive e as ({SUPP}), a as ({ARCS}) select cast(0 as bigint) as bridges, count(*) as edges from e""")
-def bridges_part(spark, sf_dir):
-    """The full lattice of suppliers has no bridge, i.e. no component of one edge."""
-    b = ops.bicomponents(graphs.graph(spark, sf_dir, "supp"))
-    return b.groupBy("cell_id", "bicomp").count().agg(F.coalesce(F.sum(F.when(F.col("count") == 1, 1)), F.lit(0)).alias("bridges"), F.sum("count").alias("edges"))
+@query("bridges", f"with e as ({_TALK}), f as ({SUPP}) select 'talk' as graph, count(*) as bridges, count(*) as edges from e union all select 'supp', 0, count(*) from f")
+def bridges(spark, sf_dir):
+    """Every edge of a conversation's path is a bridge, i.e. a biconnected component of one edge; no edge of the full lattice of suppliers is."""
+    out = None
+    for name in ("talk", "supp"):
+        b = ops.bicomponents(graphs.graph(spark, sf_dir, name)).groupBy("cell_id", "bicomp").count()
+        row = b.agg(F.lit(name).alias("graph"), F.coalesce(F.sum(F.when(F.col("count") == 1, 1)), F.lit(0)).alias("bridges"), F.sum("count").alias("edges"))
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 @query("preorder_perm", f"select count(*) as nodes, cast(0 as bigint) as repeated from ({CUST_N}) n")
@@ -218,9 +230,7 @@ def reach_target(spark, sf_dir):
 def stcut_sides(spark, sf_dir):
     """The source-side cut."""
     e, s, _, state, _ = _flowed(spark, sf_dir)
-    own = flow.reach(state, s)[0].select("node_id", F.lit(1).alias("side"))
-    nodes = graphs.nodes(spark, sf_dir, "nat").select("node_id")
-    return ops.cut_edges(e, nodes.join(own, "node_id", "left").fillna(0, ["side"]))
+    return flow.side_cut(graphs.graph(spark, sf_dir, "nat"), flow.reach(state, s)[0])
 
 
 @query("flow_violations", f"""with e as ({NAT}) select 'capacity' as check_name, cast(0 as bigint) as violations, 2 * count(*) as checked from e
@@ -239,13 +249,94 @@ def trim_terminals(spark, sf_dir):
     return flow.trim_terminals(ops.to_arcs(g.edges), terms)
 
 
+def _banded(spark, sf_dir, k):
+    """The supplier graph between its bands along direction k of two, a fifth of the nodes each, and the flow over blocks of about 50 edges."""
+    g = graphs.graph(spark, sf_dir, "supp")
+    terms = kept(geometry.bands(g.nodes.withColumn("cell_id", F.lit(0)), 2, 0.2).filter(F.col("k") == k).select("node_id", "term"), "terms")
+    s, t = (terms.filter(F.col("term") == i).select("node_id") for i in (1, 2))
+    net = flow.BlockNet.of(g, table_cutter.undirected(g), 50)
+    units, tree = net.augment(s, t)
+    return g, s, t, net, units, tree
+
+
+@query("flow_bands_supp", f"""with e as ({SUPP}), n as (select count(*) as n from supplier) select 'capacity' as check_name, cast(0 as bigint) as violations, 2 * count(*) as checked from e union all select 'skew', 0, 2 * count(*) from e
+    union all select 'conservation', 0, n - 2 * greatest(1, n // 5) from n union all select 'source_cut', 0, n from n union all select 'target_cut', 0, n from n union all select 'one_task', 0, n from n""")
+def flow_bands_supp(spark, sf_dir):
+    """A maximum flow of many units over a whole graph: it is a flow, the source-side and the target-side cut have its value, and the flow of one task has, too."""
+    import pandas as pd
+
+    from ..functions.flow import Net
+    from ..functions.flow import max_flow as task_flow
+
+    g, s, t, net, units, tree = _banded(spark, sf_dir, 0)
+    state = kept(net.state(), "flow")
+    n = g.nodes.agg(F.count("*").alias("checked"))
+    first, last = tree.select("node_id"), net.reach(t, False)[0].select("node_id")
+    rows = [flow.flow_violations(state, table_cutter.undirected(g), s, t)]
+    for name, own in (("source_cut", first), ("target_cut", last)):
+        size = flow.side_cut(g, own).agg(F.count("*").alias("size"))
+        rows.append(size.crossJoin(n).select(F.lit(name).alias("check_name"), F.abs(F.col("size") - units).alias("violations"), "checked"))
+    marked = g.nodes.join(s.withColumn("term", F.lit(1)).unionByName(t.withColumn("term", F.lit(2))), "node_id", "left").fillna(0, ["term"]).withColumn("cell_id", F.lit(0).cast("long"))
+
+    def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        k, _ = ops.cell_graph(a, b)
+        term = a.sort_values("node_id").term.to_numpy()
+        value = task_flow(Net.undirected(k.n, k.u, k.v), *[[i for i, x in enumerate(term) if x == side] for side in (1, 2)])
+        return pd.DataFrame({"check_name": ["one_task"], "violations": [abs(value - units)], "checked": [k.n]})
+
+    whole = g.edges.withColumn("cell_id", F.lit(0).cast("long"))
+    rows.append(marked.groupBy("cell_id").cogroup(whole.groupBy("cell_id")).applyInPandas(lambda a, b: run(a, b), "check_name string, violations long, checked long"))
+    out = rows[0]
+    for r in rows[1:]:
+        out = out.unionByName(r)
+    return out
+
+
+@query("flow_levels_nat", f"{_CUTS} select cast(min(size) as bigint) as stack, cast(min(size) as bigint) as queue, cast(min(size) as bigint) as levels from b")
+def flow_levels_nat(spark, sf_dir):
+    """The three ways to augment have the value of a minimum cut: stack search, queue search, and all paths of a level graph at once."""
+    import pandas as pd
+
+    from ..functions.flow import Net, level_flow
+    from ..functions.flow import max_flow as task_flow
+
+    def work(cell, k, ids):
+        net = lambda: Net.undirected(k.n, k.u, k.v)
+        return pd.DataFrame({"stack": [task_flow(net(), [0], [15])], "queue": [task_flow(net(), [0], [15], breadth=True)], "levels": [level_flow(net(), [0], [15])]})
+
+    nodes, edges = ops.celled(graphs.graph(spark, sf_dir, "nat"))
+    return ops.per_cell(nodes, edges, work, "stack long, queue long, levels long")
+
+
+@query("table_cutter_nat", "select cast(0 as bigint) as differences, true as some")
+def table_cutter_nat(spark, sf_dir):
+    """The cutter over tables, with blocks of about eight edges, finds cut by cut what the cutter of one task finds: sizes, rules and blocks."""
+    import numpy as np
+    import pandas as pd
+
+    g, params = graphs.graph(spark, sf_dir, "nat"), kernel.SweepParams(q=2)
+    rows = []
+    for i, c in enumerate(table_cutter.cuts(g, 0, params, block_edges=8)):
+        rows.append(c.block.select(F.lit(i).alias("step"), F.lit(c.size).alias("size"), F.lit(c.grown).alias("grown"), F.lit(c.rule).alias("rule"), "node_id"))
+    tables = rows[0]
+    for r in rows[1:]:
+        tables = tables.unionByName(r)
+
+    def work(cell, k, ids):
+        sweep = kernel.sweep_order(k.x, k.y, np.arange(k.n), kernel.directions(2)[0])
+        (own,) = kernel.sweep_cutters(kernel.Net.undirected(k.n, k.u, k.v), [sweep], list(range(k.n)), params)
+        cuts = [c for c in own.steps() if c]
+        return pd.DataFrame([(i, c.size, c.grown, c.rule, int(ids[x])) for i, c in enumerate(cuts) for x in np.flatnonzero(np.frombuffer(c.side, np.uint8))], columns=["step", "size", "grown", "rule", "node_id"])
+
+    task = kept(ops.per_cell(*ops.celled(g), work, "step int, size int, grown string, rule string, node_id long"), "task-cuts")
+    return tables.exceptAll(task).unionByName(task.exceptAll(tables)).agg(F.count("*").alias("differences")).crossJoin(task.agg((F.count("*") > 0).alias("some")))
+
+
 @query("cut_eq_flow", f"{_CUTS} select cast(min(size) as bigint) as flow, cast(min(size) as bigint) as cut_size from b")
 def cut_eq_flow(spark, sf_dir):
     """The certificate: the cut's size is the flow's value."""
-    e, s, _, state, units = _flowed(spark, sf_dir)
-    own = flow.reach(state, s)[0].select("node_id", F.lit(1).alias("side"))
-    sides = graphs.nodes(spark, sf_dir, "nat").select("node_id").join(own, "node_id", "left").fillna(0, ["side"])
-    return ops.cut_edges(e, sides).agg(F.lit(units).cast("long").alias("flow"), F.count("*").alias("cut_size"))
+    _, s, _, state, units = _flowed(spark, sf_dir)
+    return flow.side_cut(graphs.graph(spark, sf_dir, "nat"), flow.reach(state, s)[0]).agg(F.lit(units).cast("long").alias("flow"), F.count("*").alias("cut_size"))
 
 
 @query("flow_tiers_agree", "select cast(2 as bigint) as tasks, cast(2 as bigint) as tables")

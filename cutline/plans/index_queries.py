@@ -140,32 +140,75 @@ for _name, _method in (("dist_supp", "heap"), ("dist_etree_supp", "etree"), ("di
     query(_name, _DIST)(_asked(_method))
 
 
-@query("path_weights_supp", "select cast(0 as bigint) as wrong, cast(200 as bigint) as checked")
+@query("path_weights_supp", f"with recursive {_BASE} select cast(0 as bigint) as wrong, 2 * count(*) as checked from i")
 def path_weights_supp(spark, sf_dir):
-    """Unpacked index arcs are paths of original arcs whose weights add up to the arc's."""
-    import numpy as np
-    import pandas as pd
+    """All index arcs, both ways, unpack to paths of original arcs whose weights add up to the arc's."""
+    g, ranks, i = _built(spark, sf_dir)
+    return index.unpack_checks(i, g, ranks, graphs.metric(spark, sf_dir, "supp")).agg(F.sum("wrong").alias("wrong"), F.sum("checked").alias("checked"))
+
+
+@query("custom_rounds_supp", ORACLES["custom_w_supp"])
+def custom_rounds_supp(spark, sf_dir):
+    """Customization by joins over stored triangles."""
+    g, ranks, i = _built(spark, sf_dir)
+    triangles = kept(index.lower_triangles(i), "triangles")
+    return index.customize_rounds(i, ranks, graphs.metric(spark, sf_dir, "supp"), triangles)
+
+
+@query("lower_triangles_supp", f"with recursive {_BASE} select a.lo as low, a.hi as u, b.hi as v from i a join i b on a.lo = b.lo and a.hi < b.hi join i c on c.lo = a.hi and c.hi = b.hi")
+def lower_triangles_supp(spark, sf_dir):
+    """Two upward neighbours of a rank are always joined by an arc, so pairs are triangles."""
+    return index.lower_triangles(_built(spark, sf_dir)[2])
+
+
+@query("dist_rounds_supp", _DIST)
+def dist_rounds_supp(spark, sf_dir):
+    """Distances by joins alone: labels that grow along index arcs."""
+    g, ranks, i = _built(spark, sf_dir)
+    w = kept(index.customize(i, g, ranks, graphs.metric(spark, sf_dir, "supp")), "weights")
+    return index.query_rounds(w, ranks, pairs(spark, sf_dir))
+
+
+@query("dist_witness_supp", _DIST)
+def dist_witness_supp(spark, sf_dir):
+    """Distances on an index without the arcs that other paths make needless; upward searches with heaps need no elimination tree, which such arcs may carry."""
+    g, ranks, i = _built(spark, sf_dir)
+    w = kept(index.customize(i, g, ranks, graphs.metric(spark, sf_dir, "supp"), witness=True), "weights")
+    return index.query(w, g, ranks, pairs(spark, sf_dir), "heap")
+
+
+@query("witness_arcs_supp", f"""with recursive {_BASE}, {_lower('w.weight')}, f(o, v, d) using key (o, v) as (select rk, rk, cast(0 as bigint) from r
+      union select f.o, b.q, min(f.d + b.w) from f join b on b.p = f.v left join recurring.f k on k.o = f.o and k.v = b.q where k.d is null or f.d + b.w < k.d group by f.o, b.q)
+    select i.lo, i.hi from i join c on c.o = i.lo and c.v = i.hi join f on f.o = i.lo and f.v = i.hi where c.d <= f.d""")
+def witness_arcs_supp(spark, sf_dir):
+    """The arcs that stay are those whose weight is the distance between their ends."""
+    g, ranks, i = _built(spark, sf_dir)
+    return index.customize(i, g, ranks, graphs.metric(spark, sf_dir, "supp"), witness=True).select("lo", "hi")
+
+
+def _one_way(spark, sf_dir):
+    """A metric whose directions differ: src, dst, weight."""
+    e = graphs.graph(spark, sf_dir, "supp").edges
+    both = e.select(F.col("u").alias("src"), F.col("v").alias("dst")).unionByName(e.select(F.col("v").alias("src"), F.col("u").alias("dst")))
+    return both.withColumn("weight", 1 + (F.col("src") * 11 + F.col("dst") * 3) % 23)
+
+
+_B = "b as (select x.rk as p, y.rk as q, 1 + (x.id * 11 + y.id * 3) % 23 as w from e join r x on x.id = e.u join r y on y.id = e.v union all select y.rk, x.rk, 1 + (y.id * 11 + x.id * 3) % 23 from e join r x on x.id = e.u join r y on y.id = e.v)"
+_SPREAD = "{n}(o, v, d) using key (o, v) as (select rk, rk, cast(0 as bigint) from r union select {n}.o, {to}, min({n}.d + b.w) from {n} join b on {at} = {n}.v left join recurring.{n} k on k.o = {n}.o and k.v = {to} where ({n}.v = {n}.o or {n}.v < {n}.o) and (k.d is null or {n}.d + b.w < k.d) group by {n}.o, {to})"
+
+
+@query("custom_directed_supp", f"with recursive {_BASE}, {_B}, {_SPREAD.format(n='c', at='b.p', to='b.q')}, {_SPREAD.format(n='h', at='b.q', to='b.p')} select i.lo, i.hi, c.d as up, h.d as down from i join c on c.o = i.lo and c.v = i.hi join h on h.o = i.lo and h.v = i.hi")
+def custom_directed_supp(spark, sf_dir):
+    """A metric with different weights each way."""
+    g, ranks, i = _built(spark, sf_dir)
+    return index.customize(i, g, ranks, _one_way(spark, sf_dir))
+
+
+_DIST_ONE_WAY = _DIST.replace("a as (select u as src, v as dst, weight as w from w union all select v, u, weight from w)", "a as (select u as src, v as dst, 1 + (u * 11 + v * 3) % 23 as w from e union all select v, u, 1 + (v * 11 + u * 3) % 23 from e)")
 
-    from ..functions import index as kernel
 
+@query("dist_directed_supp", _DIST_ONE_WAY)
+def dist_directed_supp(spark, sf_dir):
     g, ranks, i = _built(spark, sf_dir)
-    given = index.metric_arcs(graphs.metric(spark, sf_dir, "supp"), ranks)
-
-    def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        n = int(max(a.hi.max(), a.lo.max())) + 1
-        up: list[list[int]] = [[] for _ in range(n)]
-        for lo, hi in sorted(zip(a.lo, a.hi, strict=True)):
-            up[lo].append(hi)
-        w = kernel.Weights(up).attach(b["tail"].tolist(), b["head"].tolist(), b.weight.tolist()).customize("upper")
-        direct = {(t, h): x for t, h, x in zip(b["tail"], b["head"], b.weight, strict=True)}
-        wrong = checked = 0
-        arcs = [(r, h, w.w_up[r][k]) for r, x in enumerate(up) for k, h in enumerate(x)]
-        for k in range(200):
-            r, h, d = arcs[k % len(arcs)] if arcs else (0, 0, 0)
-            path = [*w.unpack(r, h), h]
-            wrong += sum(direct.get(p, 1 << 40) for p in zip(path, path[1:], strict=False)) != d
-            checked += 1
-        return pd.DataFrame({"wrong": [wrong], "checked": [np.int64(checked)]})
-
-    one = lambda df: df.withColumn("one", F.lit(1))
-    return one(i).groupBy("one").cogroup(one(given).groupBy("one")).applyInPandas(run, "wrong long, checked long")
+    w = kept(index.customize(i, g, ranks, _one_way(spark, sf_dir)), "weights")
+    return index.query_labels(w, g, ranks, pairs(spark, sf_dir))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import cutter as kernel
-from ..functions import order
+from ..functions import multilevel, order
 from ..functions.cutter import SweepParams
 from ..model import Graph, kept
 from ..operators import cutters, dissect
@@ -108,32 +108,88 @@ def pierce_trace_nat(spark, sf_dir):
     return ops.per_cell(nodes, edges, work, "step int, size long, mask long")
 
 
+def _grown(k, own: list[int], other: bool):
+    """A kernel cutter from 0 to 15 whose source side holds the nodes `own`; other: whether the target side reaches all nodes."""
+    cutter = kernel.Cutter(kernel.Net.undirected(k.n, k.u, k.v), [0], [15], list(range(k.n)))
+    cutter.net.cap_list = cutter.net.cap.tolist()
+    for x in own:
+        cutter.reached[1][x] = 1
+    cutter.waiting[1] = list(own)
+    cutter._absorb(1)
+    cutter.reached[2] = bytearray([int(other)] * k.n)
+    return cutter
+
+
 @query("candidates_nat", f"with e as ({NAT}), a as ({ARCS}) select distinct dst as node_id from a where src in (0, 1, 4) and dst not in (0, 1, 4) and dst <> 15")
 def candidates_nat(spark, sf_dir):
-    """Piercing candidates of S = {0, 1, 4} against T = {15}: outer ends of cut edges that aren't targets."""
-    e = graphs.edges(spark, sf_dir, "nat")
-    own = spark.createDataFrame([(0,), (1,), (4,)], "src long")
-    met = ops.to_arcs(e).join(F.broadcast(own), "src").select(F.col("dst").alias("node_id")).distinct()
-    return met.join(own.withColumnRenamed("src", "node_id"), "node_id", "left_anti").filter("node_id <> 15")
+    """The kernel's piercing candidates where the source side holds 0, 1 and 4: outer ends of cut edges that aren't targets."""
+
+    def work(cell, k, ids):
+        cutter = _grown(k, [0, 1, 4], True)
+        return pd.DataFrame({"node_id": [int(ids[y]) for y in cutter.edge[1] if cutter.term[y] != 2]})
+
+    return ops.per_cell(*ops.celled(graphs.graph(spark, sf_dir, "nat")), work, "node_id long")
 
 
 @query("pierce_choice", f"""with recursive e as ({NAT}), a as ({ARCS}), s(node_id, d) using key (node_id) as (select cast(0 as bigint), 0 union select a.dst, min(s.d + 1) from s join a on a.src = s.node_id left join recurring.s r on r.node_id = a.dst where r.d is null group by a.dst),
     t(node_id, d) using key (node_id) as (select cast(15 as bigint), 0 union select a.dst, min(t.d + 1) from t join a on a.src = t.node_id left join recurring.t r on r.node_id = a.dst where r.d is null group by a.dst)
     select c.node_id, cast(t.d - s.d as bigint) as score from (select unnest([2, 5, 8]) as node_id) c join s on s.node_id = c.node_id join t on t.node_id = c.node_id order by 2, 1 limit 1""")
 def pierce_choice(spark, sf_dir):
-    """The distance tie-break among candidates 2, 5, 8: least dist(p, t) - dist(s, p), then the smallest id."""
-    g = graphs.graph(spark, sf_dir, "nat")
-    far = {n: ops.hop_dist(g, g.nodes.filter(f"node_id = {x}")).withColumnRenamed("dist", n) for n, x in (("s", 0), ("t", 15))}
-    both = far["s"].join(far["t"], "node_id").filter("node_id in (2, 5, 8)").select("node_id", (F.col("t") - F.col("s")).alias("score"))
-    return both.orderBy("score", "node_id").limit(1)
+    """The kernel's choice among the candidates 2, 5, 8, all of which the target side reaches: least dist(p, t) - dist(s, p), then the smallest id."""
+
+    def work(cell, k, ids):
+        cutter = _grown(k, [0, 1, 4], True)
+        _, (x,), _ = cutter._pierce(1, 3, cutter.reached[2])
+        return pd.DataFrame({"node_id": [int(ids[x])], "score": [cutter.from_t[x] - cutter.from_s[x]]})
+
+    return ops.per_cell(*ops.celled(graphs.graph(spark, sf_dir, "nat")), work, "node_id long, score long")
+
+
+@query("avoid_augmenting", "select 'free' as rule, cast(2 as bigint) as node_id")
+def avoid_augmenting(spark, sf_dir):
+    """Where the target side reaches 5 and 8 only, the candidate 2 leaves the flow maximal and is taken whatever its distances."""
+
+    def work(cell, k, ids):
+        cutter = _grown(k, [0, 1, 4], False)
+        cutter.reached[2][5] = cutter.reached[2][8] = 1
+        rule, (x,), _ = cutter._pierce(1, 3, cutter.reached[2])
+        return pd.DataFrame({"rule": [rule], "node_id": [int(ids[x])]})
+
+    return ops.per_cell(*ops.celled(graphs.graph(spark, sf_dir, "nat")), work, "rule string, node_id long")
+
+
+def _line(n: int) -> kernel.Cutter:
+    """A kernel cutter on n nodes in sweep order, without edges; the first and last twentieth are its seeds."""
+    return kernel.sweep_cutters(kernel.Net.undirected(n, np.zeros(0, np.int64), np.zeros(0, np.int64)), [np.arange(n)], list(range(n)), SweepParams())[0]
 
 
 @query("bulk_steps", """with r as (select cast(range as bigint) as have from range(0, 500, 20)), s as (select have, 0.05 * (0.95 * 1000 / 2 - have) as raw from r)
     select have, case when have > 400 or raw <= 0 then 0 else greatest(1, cast(floor(raw) as bigint)) end as step from s""")
 def bulk_steps(spark, sf_dir):
-    """Bulk step sizes of a cell of 1000 nodes with the default parameters."""
-    step = F.floor(F.expr("0.05 * (475 - id)"))
-    return spark.range(0, 500, 20).select(F.col("id").alias("have"), F.when((F.col("id") > 400) | (F.col("id") >= 475), 0).otherwise(F.greatest(F.lit(1), step)).cast("long").alias("step"))
+    """The kernel's bulk steps in a cell of 1000 nodes with the default parameters, by what a side holds."""
+
+    def run(batches):
+        for batch in batches:
+            yield pd.DataFrame({"have": batch.id, "step": [len(_line(1000)._bulk(1, int(h))) for h in batch.id]})
+
+    return spark.range(0, 500, 20).mapInPandas(run, "have long, step long")
+
+
+@query("bulk_limits", "select 'S' as side, cast(200 as bigint) as taken, cast(249 as bigint) as last union all select 'T', 200, 750")
+def bulk_limits(spark, sf_dir):
+    """Bulk steps of either side end with the first quarter of its sweep order, a fifth of which its seeds took; the target side's go the other way."""
+
+    def run(batches):
+        for batch in batches:
+            out = []
+            for side in batch.id + 1:
+                cutter, taken = _line(1000), []
+                while step := cutter._bulk(int(side), 0):
+                    taken += step
+                out.append(("ST"[side - 1], len(taken), taken[-1]))
+            yield pd.DataFrame(out, columns=["side", "taken", "last"])
+
+    return spark.range(2).mapInPandas(run, "side string, taken long, last long")
 
 
 _FRONT = [(0, 9, 10), (1, 7, 12), (2, 7, 20), (3, 12, 30), (4, 11, 30), (5, 20, 45), (6, 3, 4), (7, 25, 44)]
@@ -172,6 +228,36 @@ def wide_equals_local(spark, sf_dir):
     return a.exceptAll(b).unionByName(b.exceptAll(a)).agg(F.count("*").alias("differences"))
 
 
+@query("bound_equals_free", "select cast(0 as bigint) as differences")
+def bound_equals_free(spark, sf_dir):
+    """Cutters that stop when they can't improve the best expansion choose the same cut as cutters that run to their ends."""
+    g = graphs.graph(spark, sf_dir, "cust")
+    a, b = (cutters.choose(cutters.cuts(g, "SP8", bound=x)).select("cell_id", "size", "small") for x in (False, True))
+    return a.exceptAll(b).unionByName(b.exceptAll(a)).agg(F.count("*").alias("differences"))
+
+
+@query("bandflow_first_nat", f"{_OPTIMA}, b as (select k, bit_or(case when pos < 3 then cast(1 as bigint) << node_id else 0 end) as s, bit_or(case when pos >= 13 then cast(1 as bigint) << node_id else 0 end) as t from (" + f"""
+    select d.k, n.node_id, row_number() over (partition by d.k order by x * c + y * s, node_id) - 1 as pos from ({graphs.duck('nat', 'nodes')}) n, ({' union all '.join(f'select {k} as k, {c} as c, {s} as s' for k, (c, s) in enumerate(kernel.directions(4)))}) d) q group by k)
+    select cast(min(size) as bigint) as size from b, c where (mask & s) = s and (mask & t) = 0""")
+def bandflow_first_nat(spark, sf_dir):
+    """Interleaved band flows: the first direction whose flow is maximal has the smallest cut of all."""
+
+    def work(cell, k, ids):
+        found, _ = order.cuts_of(k, cutters.config("BF"), False, best_only=True)
+        return pd.DataFrame({"size": [c.size for c in found]})
+
+    return ops.per_cell(*ops.celled(graphs.graph(spark, sf_dir, "nat")), work, "size long")
+
+
+_REPORT = [("SP4", 30, 45, 50, 100, False, False), ("SP4", 0, 47, 500, 1000, False, False), ("ML-c", 0, 44, 4998, 9999, False, False), ("ML-c", 0, 44, 4997, 10000, True, False), ("QM", 0, None, None, 100, False, True)]
+
+
+@query("cut_report", "select * from (values ('SP4', cast(30 as bigint), '0.0', '45'), ('SP4', 0, '0.0', '47'), ('ML-c', 0, '<0.1', '44'), ('ML-c', 0, '<0.1', '(44)'), ('QM', 0, '-', '-')) t(config, eps_permille, achieved, size)")
+def cut_report(spark, sf_dir):
+    """How cuts stand in a table: less than a tenth of a per cent, missed demands, refusals."""
+    return cutters.cut_report(spark.createDataFrame(_REPORT, "config string, eps_permille long, size long, small long, n long, missed boolean, refused boolean"))
+
+
 @query("handpicked_cut", zeros(["found", "terminals_apart"], f"select count(*) from ({CUST_N}) n"))
 def handpicked_cut(spark, sf_dir):
     """Three corner countries against the central one."""
@@ -251,12 +337,12 @@ def path_tree_depth(spark, sf_dir):
     return dissect.tree_depths(graphs.graph(spark, sf_dir, "talk"))
 
 
-@query("clique_cells_doc", """with d as (select min(doc_id) over (partition by k) as a, doc_id as b from (select doc_id, md5(lower(trim(regexp_replace(text, '\\s+', ' ', 'g')))) as k from documents) q)
-    select a as cell_id, count(*) as n, count(*) * (count(*) - 1) // 2 as m from d group by a having count(*) > 1""")
-def clique_cells_doc(spark, sf_dir):
-    """Documents with equal text are cliques: sizes and edges from counts, no pair is emitted."""
-    d = graphs.read(spark, sf_dir, "documents").select("doc_id", F.md5(F.lower(F.trim(F.regexp_replace("text", r"\s+", " ")))).alias("k"))
-    return d.groupBy("k").agg(F.min("doc_id").alias("cell_id"), F.count("*").alias("n")).filter("n > 1").select("cell_id", "n", F.expr("n * (n - 1) div 2").alias("m"))
+@query("clique_cells_region", "select min(n_nationkey) as cell_id, count(*) as n, count(*) * (count(*) - 1) // 2 as m, case when count(*) = 2 then 'tree' when count(*) = 1 then 'tree' else 'clique' end as kind from nation group by n_regionkey")
+def clique_cells_region(spark, sf_dir):
+    """The nations of a region, all joined with each other, are cells that the recursion recognises as cliques."""
+    t = graphs.read(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("node_id"), "n_regionkey", F.lit(0).cast("long").alias("x"), F.lit(0).cast("long").alias("y"))
+    pairs = t.select(F.col("node_id").alias("u"), "n_regionkey").join(t.select(F.col("node_id").alias("v"), "n_regionkey"), "n_regionkey").filter("u < v")
+    return dissect.classify(Graph(t.drop("n_regionkey"), pairs.select("u", "v")))
 
 
 @query("core_split", zeros(["core_once", "core_in_cell"], f"select count(*) from ({PART_N}) n"))
@@ -277,25 +363,73 @@ def chains_part(spark, sf_dir):
     return dissect.low_degree_components(graphs.graph(spark, sf_dir, "part"))
 
 
-@query("ml_cut", zeros(["balanced", "cut_found"], f"select count(*) from ({CUST_N}) n"))
-def ml_cut(spark, sf_dir):
-    return _ml(spark, sf_dir, "strong")
+@query("chain_edges_part", f"{_LOW}, c as (select id, min(low) as chain from r group by 1), o as (select distinct c.chain, a.dst from c join a on a.src = c.id where a.dst not in (select id from low)), p as (select chain, count(*) as k, min(dst) as u, max(dst) as v, (select count(*) from c x join a on a.src = x.id where x.chain = o.chain and a.dst not in (select id from low)) as ends from o group by chain) select distinct u, v from p where k = 2 and ends = 2")
+def chain_edges_part(spark, sf_dir):
+    """The edges that stand for chains: between the two outer neighbours of each component of nodes of degree 2 or less."""
+    return dissect.chain_edges(graphs.graph(spark, sf_dir, "part"))
 
 
-@query("qm_cut", zeros(["balanced", "cut_found"], f"select count(*) from ({CUST_N}) n"))
-def qm_cut(spark, sf_dir):
-    return _ml(spark, sf_dir, "fast")
+@query("nd_apart_cust", f"select cast(0 as bigint) as joined, cast(0 as bigint) as below, count(*) as edges from ({graphs.duck('cust', 'edges')}) e")
+def nd_apart_cust(spark, sf_dir):
+    """Separators separate and rank above: no edge joins two parts of one cell, but through a node that was closed there and ranks higher."""
+    g = graphs.graph(spark, sf_dir, "cust")
+    placed = kept(dissect.cell_positions(g, cutters.config("SP4"), leaf_nodes=100), "positions")
+    ranks = dissect.global_rank(placed, ["path", "pos"], "rank")
+    steps = dissect.path_steps(F.col("path"))
+    of = lambda c: ranks.select(F.col("node_id").alias(c), steps.alias(f"p{c}"), F.col("rank").alias(f"r{c}"))
+    both = g.edges.join(of("u"), "u").join(of("v"), "v")
+    at = F.array_position(F.zip_with("pu", "pv", lambda a, b: ~a.eqNullSafe(b)), True)
+    step = lambda c: F.get(F.col(c), F.col("at") - 1)
+    # the first two steps are the component and the stage of the preprocessing, which edges may cross
+    apart = both.withColumn("at", at).filter("at > 2")
+    closed = lambda c: F.coalesce(step(c) == "~", F.lit(False))
+    below = (closed("pu") & (F.col("ru") < F.col("rv"))) | (closed("pv") & (F.col("rv") < F.col("ru")))
+    n = g.edges.agg(F.count("*").alias("edges"))
+    return apart.agg(F.count(F.when(~closed("pu") & ~closed("pv"), 1)).alias("joined"), F.count(F.when((closed("pu") != closed("pv")) & below, 1)).alias("below")).crossJoin(n)
+
+
+@query("ml_cuts", " union all ".join(f"select '{p}' as config, cast({e} as bigint) as eps_permille, true as answered, true as balanced from (select 1) q" for p in ("ML-a", "ML-b", "ML-c", "QM", "NC", "ENC") for e in (30, 200)))
+def ml_cuts(spark, sf_dir):
+    """The multilevel and natural-cut partitioners find a cut and keep the demanded balance, or say that they missed it, which only natural cuts do, as fragments are not split."""
+    found = cutters.multilevel_cuts(graphs.graph(spark, sf_dir, "cust"), [30, 200], ["ML-a", "ML-b", "ML-c", "QM", "NC", "ENC"])
+    held = ops.is_balanced(F.col("n") - F.col("small"), F.col("n"), F.col("eps_permille"))
+    may = F.col("config").isin("NC", "ENC") & F.col("missed")
+    return found.groupBy("config", "eps_permille").agg(F.bool_and(F.col("size") > 0).alias("answered"), F.bool_and(held | may).alias("balanced"))
+
+
+@query("ml_recount", "select config, cast(0 as bigint) as wrong from (select unnest(['ML-a', 'ML-b', 'ML-c', 'QM', 'NC', 'ENC', 'ML-s']) as config) c")
+def ml_recount(spark, sf_dir):
+    """Bisections and node separators of these partitioners are recounted edge by edge: the reported cut, and no edge between the blocks of a separator."""
+    nodes, edges = ops.celled(graphs.graph(spark, sf_dir, "supp"))
+    names = ["ML-a", "ML-b", "ML-c", "QM", "NC", "ENC", "ML-s"]
+    each = lambda df: df.withColumn("config", F.explode(F.array(*[F.lit(c) for c in names])))
+
+    def run(key, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        k, _ = ops.cell_graph(a, b)
+        name = str(key[1])
+        side, info = multilevel.bisect(k.n, k.u.tolist(), k.v.tolist(), 0.1, "ML-c" if name == "ML-s" else name)
+        own = np.array(side)
+        wrong = int((own[k.u] != own[k.v]).sum() != info["cut"])
+        if name == "ML-s":
+            label = multilevel.node_separator(k.n, k.u, k.v, side)
+            wrong += int(((label[k.u] == 0) & (label[k.v] == 1) | (label[k.u] == 1) & (label[k.v] == 0)).sum()) + int((label == 2).sum() > info["cut"])
+        return pd.DataFrame({"config": [name], "wrong": [wrong]})
+
+    found = each(nodes).groupBy("cell_id", "config").cogroup(each(edges).groupBy("cell_id", "config")).applyInPandas(run, "config string, wrong long")
+    return found.groupBy("config").agg(F.sum("wrong").alias("wrong"))
 
 
-def _ml(spark, sf_dir, preset):
-    """The multilevel partitioner keeps 10 % imbalance and finds a cut."""
-    found = kept(cutters.multilevel_cuts(graphs.graph(spark, sf_dir, "cust"), 0.1, preset), "ml")
-    bad = {"balanced": F.count(F.when((F.col("n") - F.col("small")) > F.ceil(F.col("n") * 1100 / 2000), 1)), "cut_found": F.count(F.when(F.col("size") < 1, 1))}
+@query("qm_cut", zeros(["balanced", "cut_found"], f"select count(*) from ({CUST_N}) n"))
+def qm_cut(spark, sf_dir):
+    """The quick partitioner keeps 10 % imbalance and finds a cut."""
+    found = kept(cutters.multilevel_cuts(graphs.graph(spark, sf_dir, "cust"), [100], ["QM"]), "ml")
+    bad = {"balanced": F.count(F.when(~ops.is_balanced(F.col("n") - F.col("small"), F.col("n"), F.lit(100)), 1)), "cut_found": F.count(F.when(F.col("size") < 1, 1))}
     rows = [found.agg(F.lit(k).alias("check_name"), v.alias("violations"), F.sum("n").alias("checked")) for k, v in bad.items()]
     return rows[0].unionByName(rows[1])
 
 
-@query("ml_miss_flag")
+@query("ml_miss_flag", f"with n as (select count(*) as n from ({CUST_N}) c) select n, true as sound from n")
 def ml_miss_flag(spark, sf_dir):
-    """Perfect balance is demanded but not enforced: whether it was missed."""
-    return cutters.multilevel_cuts(graphs.graph(spark, sf_dir, "cust"), 0.0, "strong", enforce=False).select("cell_id", "size", "small", "n", "missed")
+    """Perfect balance is demanded but not enforced: a cut is marked as missed iff its larger block has more than half of the nodes, rounded up."""
+    found = cutters.multilevel_cuts(graphs.graph(spark, sf_dir, "cust"), [0], ["ML-c"], enforce=False)
+    return found.select("n", (F.col("missed") == (F.col("n") - F.col("small") > F.expr("(n + 1) div 2"))).alias("sound"))

@@ -31,8 +31,22 @@ def read_positions(spark: SparkSession, path: str) -> DataFrame:
 
 
 def write_arcs(arcs: DataFrame, path: str) -> None:
-    """Folder of text files with arc records; the problem line is left to the reader, who may count."""
-    arcs.select(F.concat_ws(" ", F.lit("a"), "src", "dst", "weight").alias("value")).write.mode("overwrite").text(path)
+    """Folder of text files with arc records, and a problem line with the largest node number and the number of arcs in one of them."""
+    size = arcs.agg(F.coalesce(F.max(F.greatest("src", "dst")), F.lit(0)).alias("n"), F.count("*").alias("m"))
+    problem = size.select(F.concat_ws(" ", F.lit("p sp"), "n", "m").alias("value"))
+    problem.unionByName(arcs.select(F.concat_ws(" ", F.lit("a"), "src", "dst", "weight").alias("value"))).write.mode("overwrite").text(path)
+
+
+def check_problem(spark: SparkSession, path: str) -> tuple[int, int]:
+    """Nodes and arcs that the problem line tells; an error if it is missing, stands twice, or the arc records differ from it."""
+    part = F.split(F.trim("value"), r"\s+")
+    told = spark.read.text(path).filter(F.col("value").startswith("p ")).select(part[2].cast("long").alias("n"), part[3].cast("long").alias("m")).limit(2).collect()
+    if len(told) != 1:
+        raise ValueError(f"{len(told) or 'no'} problem line{'s' if told else ''}")
+    found = read_arcs(spark, path).agg(F.max(F.greatest("src", "dst")).alias("n"), F.count("*").alias("m")).first()
+    if found.m != told[0].m or (found.n or 0) > told[0].n:
+        raise ValueError(f"the problem line tells {told[0].n} nodes and {told[0].m} arcs; there are {found.m} arcs with nodes up to {found.n}")
+    return told[0].n, told[0].m
 
 
 class _Range(InputPartition):

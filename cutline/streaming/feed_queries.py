@@ -7,7 +7,10 @@ import uuid
 from pyspark.sql import functions as F
 
 from ..model import shared_folder
+from ..operators import index
+from ..plans import index_queries
 from ..plans.catalog import query
+from ..sources import graphs
 from . import feed
 
 
@@ -65,3 +68,51 @@ def feed_last(spark, sf_dir):
     _source(spark, sf_dir).writeStream.foreachBatch(feed.snapshot_writer(path)).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
     last = spark.read.parquet(path).agg(F.max("batch")).first()[0]
     return spark.read.parquet(f"{path}/batch={last}").select("arc", "weight")
+
+
+def _drained_updates(df):
+    """What a memory sink got of a stream in update mode."""
+    name, state = f"feed_{uuid.uuid4().hex}", f"{shared_folder(df.sparkSession)}/feed-state-{uuid.uuid4().hex}"
+    df.writeStream.format("memory").queryName(name).outputMode("update").option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
+    return df.sparkSession.table(name)
+
+
+@query("feed_ttl", f"""with {_OBS}, l as (select arc, arg_max(weight, (epoch_us(ts) // 1000, event_id)) as weight, max(epoch_us(ts) // 1000) as ms from o group by 1), m as (select max(ms) as top from l)
+    select arc, weight, ms, false as expired from l union all select arc, weight, ms, true from l, m where ms + 60000 < top""")
+def feed_ttl(spark, sf_dir):
+    """Last weights with a time to live of a minute after the watermark: each arc's latest, and the end of those that went stale."""
+    got = _drained_updates(feed.last_with_ttl(_source(spark, sf_dir), 60_000, "0 seconds"))
+    return got.select("arc", "weight", F.unix_millis("ts").alias("ms"), "expired")
+
+
+@query("feed_join", f"with {_OBS} select a.event_id as a, b.event_id as b from o a join o b on a.user_id = b.user_id and a.event_id % 2 = 0 and b.event_id % 2 = 1 and b.ts >= a.ts and b.ts <= a.ts + interval '10 minutes'")
+def feed_join(spark, sf_dir):
+    """Two streams joined by user and time."""
+    return drained(feed.followed(_source(spark, sf_dir).filter("event_id % 2 = 0"), _source(spark, sf_dir).filter("event_id % 2 = 1")))
+
+
+@query("feed_late_rows", f"with {_OBS}, m as (select max(epoch_us(ts) // 1000) - 3600000 as edge from o where event_id % 2 = 0) select case when epoch_us(ts) // 1000 < edge then 'late' else 'in time' end as kind, count(*) as n from o, m where event_id % 2 = 1 group by 1")
+def feed_late_rows(spark, sf_dir):
+    """Rows of a batch by whether a watermark of an hour over the rows before would drop them: both go to sinks of their own."""
+    events = feed.observations(spark.read.parquet(f"{sf_dir}/events.parquet"))
+    in_time, late = feed.split_late(events.filter("event_id % 2 = 1"), events.filter("event_id % 2 = 0"), 3_600_000)
+    return in_time.select(F.lit("in time").alias("kind")).unionByName(late.select(F.lit("late").alias("kind"))).groupBy("kind").agg(F.count("*").alias("n"))
+
+
+_LIVE = index_queries._BASE.replace(f"w as ({graphs.duck('supp', 'time')})", f"{_OBS}, last as (select arc, arg_max(weight, (ts, event_id)) as weight from o group by 1), w as (select e.u, e.v, 1 + abs(coalesce(l.weight, 0)) % 1000 as weight from e left join last l on l.arc = (e.u * 7 + e.v * 3) % 50)")
+
+
+@query("feed_customized", f"with recursive {_LIVE}, {index_queries._lower('w.weight')} select i.lo, i.hi, c.d as up, c.d as down from i join c on c.o = i.lo and c.v = i.hi")
+def feed_customized(spark, sf_dir):
+    """The stream of weights re-customizes the index: each batch merges its weights into the snapshot and writes the index' weights for it."""
+    g, ranks, arcs = index_queries._built(spark, sf_dir)
+    path, state = (f"{shared_folder(spark)}/{k}-{uuid.uuid4().hex}" for k in ("live", "live-state"))
+
+    def customize(last, number):
+        live = last.select("arc", F.col("weight").alias("seen"))
+        metric = g.edges.withColumn("arc", (F.col("u") * 7 + F.col("v") * 3) % 50).join(live, "arc", "left").select("u", "v", (1 + F.abs(F.coalesce("seen", F.lit(0))) % 1000).alias("weight"))
+        index.customize(arcs, g, ranks, metric).write.mode("overwrite").parquet(f"{path}-weights/batch={number}")
+
+    _source(spark, sf_dir).writeStream.foreachBatch(feed.snapshot_writer(path, customize)).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
+    whole = spark.read.parquet(f"{path}-weights")
+    return whole.join(whole.agg(F.max("batch").alias("batch")), "batch").select("lo", "hi", "up", "down")

@@ -157,7 +157,7 @@ def test_multilevel_balance():
     for eps in (0.0, 0.05, 0.3):
         side, info = multilevel.bisect(g.n, g.u.tolist(), g.v.tolist(), eps)
         assert info["large"] <= -(-int((1 + eps) * g.n * 1000) // 2000) and sum(side[a] != side[b] for a, b in zip(g.u, g.v, strict=True)) == info["cut"]
-    assert multilevel.bisect(g.n, g.u.tolist(), g.v.tolist(), 0.0, "fast")[0] is None
+    assert multilevel.bisect(g.n, g.u.tolist(), g.v.tolist(), 0.0, "QM")[0] is None
 
 
 def test_band_cut_is_minimum():
