@@ -310,7 +310,8 @@ def _competing(a: Column, b: Column) -> Column:
 def verified(pairs: DataFrame, docs: DataFrame, described: DataFrame, key: str, text: str) -> DataFrame:
     """The pairs (a, b) whose whole sets have the wanted similarity."""
     needed = pairs.select(F.col("a").alias("rid")).union(pairs.select("b")).distinct()
-    reps = stored(described.join(needed, "rid").groupBy("rid").agg(F.min("key").alias("r")), "pair-docs")
+    first = described.filter("rid is not null").groupBy("rid").agg(F.min("key").alias("r"))  # before the join, as a set may have many copies
+    reps = stored(first.join(needed, "rid"), "pair-docs")
 
     def shingled(batches):
         for batch in batches:
