@@ -308,7 +308,7 @@ def flow_levels_nat(spark, sf_dir):
     return ops.per_cell(nodes, edges, work, "stack long, queue long, levels long")
 
 
-@query("table_cutter_nat", "select cast(0 as bigint) as differences, true as some")
+@query("table_cutter_nat", "select cast(0 as bigint) as differences, true as found")
 def table_cutter_nat(spark, sf_dir):
     """The cutter over tables, with blocks of about eight edges, finds cut by cut what the cutter of one task finds: sizes, rules and blocks."""
     import numpy as np
@@ -329,7 +329,7 @@ def table_cutter_nat(spark, sf_dir):
         return pd.DataFrame([(i, c.size, c.grown, c.rule, int(ids[x])) for i, c in enumerate(cuts) for x in np.flatnonzero(np.frombuffer(c.side, np.uint8))], columns=["step", "size", "grown", "rule", "node_id"])
 
     task = kept(ops.per_cell(*ops.celled(g), work, "step int, size int, grown string, rule string, node_id long"), "task-cuts")
-    return tables.exceptAll(task).unionByName(task.exceptAll(tables)).agg(F.count("*").alias("differences")).crossJoin(task.agg((F.count("*") > 0).alias("some")))
+    return tables.exceptAll(task).unionByName(task.exceptAll(tables)).agg(F.count("*").alias("differences")).crossJoin(task.agg((F.count("*") > 0).alias("found")))
 
 
 @query("cut_eq_flow", f"{_CUTS} select cast(min(size) as bigint) as flow, cast(min(size) as bigint) as cut_size from b")

@@ -4,9 +4,9 @@ import numpy as np
 import pytest
 
 from cutline.functions import index, multilevel
-from cutline.functions.cutter import Cut, Cutter, SweepParams, band_cuts, choose, directions, front, interleave, pair_cutters, separator_of, sweep_cutters, sweep_order
+from cutline.functions.cutter import Cut, Cutter, SweepParams, band_cuts, choose, directions, front, interleave, pair_cutters, separator_of, split_orders, sweep_cutters, sweep_order
 from cutline.functions.flow import Net, level_flow, max_flow
-from cutline.functions.order import Graph, Splitter, bicomponents, chains, component_labels, cuts_of, dissect, full_order, separate, tree_order
+from cutline.functions.order import Graph, Splitter, bicomponents, chains, component_labels, cuts_of, dissect, full_order, separate, stages, tree_order
 
 
 def lattice(w, h=None):
@@ -152,6 +152,98 @@ def test_index_equals_shortest_paths():
             assert w.tree_query(parent, s, t) == w.heap_query(s, t) == w.tree_query(parent, s, t, True) == dist[t]
 
 
+def test_witnesses_keep_distances():
+    g = lattice(6)
+    rank = np.empty(g.n, int)
+    rank[full_order(g, Splitter(params=SweepParams(q=4)))] = np.arange(g.n)
+    a, b = rank[g.u], rank[g.v]
+    up = index.build(g.n, np.minimum(a, b), np.maximum(a, b))
+    forth, back = (g.u * 7 + g.v) % 17 + 1, (g.u + 5 * g.v) % 13 + 1
+    arcs = ([*a, *b], [*b, *a], [*forth.tolist(), *back.tolist()])
+    w = index.Weights(up).attach(*arcs).customize()
+    before = [[*x] for x in w.w_up]
+    gone = w.perfect()
+    near = [[] for _ in range(g.n)]
+    for t, h, x in zip(*arcs, strict=True):
+        near[t].append((h, x))
+    assert gone > 0
+    for s in range(g.n):
+        dist = index.dijkstra(g.n, near, s)
+        for t in range(g.n):
+            assert w.heap_query(s, t) == dist[t]
+        for i, h in enumerate(up[s]):  # a weight stays iff it is the distance
+            assert w.w_up[s][i] == (before[s][i] if before[s][i] <= dist[h] else index.FAR) and w.far_up[s][i] == dist[h]
+
+
+def test_a_paused_cutter_goes_on():
+    """Stopped at any flow, written down, read again: the same cuts."""
+    g = lattice(9, 7)
+    for net in (Net.undirected(g.n, g.u, g.v), Net.split(g.n, g.u, g.v)):
+        orders = [sweep_order(g.x, g.y, np.arange(g.n), d) for d in directions(3)]
+        wide = split_orders(orders) if net.n > g.n else orders
+        for k in range(3):
+            make = lambda: sweep_cutters(net, [wide[k]], list(range(net.n)), SweepParams(q=3), [k])[0]  # noqa: B023, E731
+            whole = [(c.size, c.side, c.rule) for c in make().steps() if c]
+            own, parts = make(), []
+            for limit in [*range(1, 30), None]:
+                parts += [(c.size, c.side, c.rule) for c in own.steps(limit) if c]
+                own = Cutter.load(own.dump())
+            assert own.done and parts == whole
+
+
+def test_incremental_reaches_are_those_of_the_flow():
+    """After every cut the cutter's marks are what a search from all its terminals finds."""
+    g = lattice(8, 6)
+    for net, pairs in ((Net.undirected(g.n, g.u, g.v), ([0, 1], [47])), (Net.split(g.n, g.u, g.v), ([0, 1], [94, 95]))):
+        c = Cutter(net.copy(), *pairs, list(range(net.n)))
+        for cut in c.steps():
+            if cut:
+                for side in (1, 2):
+                    # the other side's terminals don't end the search, as nothing reaches them
+                    assert c.net.reach([x for x in range(net.n) if c.term[x] == side], side == 1)[0] == c.reached[side]
+
+
+def test_interleaved_bands_end_with_the_smallest():
+    g = lattice(9, 7)
+    orders = [sweep_order(g.x, g.y, np.arange(g.n), d) for d in directions(4)]
+    net = Net.undirected(g.n, g.u, g.v)
+    every, units = band_cuts(net, orders, 0.2)
+    (first,), fewer = band_cuts(net, orders, 0.2, best_only=True)
+    assert first.size == min(c.size for c in every) and fewer < units and sum(c.size for c in every) == units
+
+
+@pytest.mark.parametrize("preset", multilevel.VERSIONS)
+def test_partitioners_recount(preset):
+    g = lattice(14, 11)
+    side, info = multilevel.bisect(g.n, g.u.tolist(), g.v.tolist(), 0.1, preset)
+    own = np.array(side)
+    assert (own[g.u] != own[g.v]).sum() == info["cut"] and max(own.sum(), g.n - own.sum()) == info["large"] and (info["missed"] or info["large"] <= 85)
+    label = multilevel.node_separator(g.n, g.u, g.v, side)
+    assert not (((label[g.u] == 0) & (label[g.v] == 1)) | ((label[g.u] == 1) & (label[g.v] == 0))).any() and 0 < (label == 2).sum() <= info["cut"]
+
+
+def test_flow_between_blocks_finds_the_bottleneck():
+    # two lattices of five columns joined by one edge; the bisection cuts a column inside the first
+    a = lattice(5)
+    u, v = np.concatenate([a.u, a.u + 25, [24]]), np.concatenate([a.v, a.v + 25, [25]])
+    near = multilevel._adjacency(50, u.tolist(), v.tolist(), [1] * len(u))
+    side = [int(i % 5 > 2 or i >= 25) for i in range(50)]
+    better = multilevel.flow_between(near, [1] * 50, side, 35)
+    assert multilevel.cut_size(near, side) == 5 and multilevel.cut_size(near, better) == 1
+    parts = multilevel.natural_fragments(50, u.tolist(), v.tolist(), 20)
+    assert not set(parts[:25]) & set(parts[25:])
+
+
+def test_stages_stand_apart():
+    """A core with a chain and a tail: the tail is loose, the chain is one edge of the rest."""
+    e = [(0, 1), (0, 2), (1, 2), (0, 3), (1, 3), (2, 3), (2, 4), (4, 5), (5, 3), (0, 6), (6, 7)]
+    g = Graph(8, np.array([x[0] for x in e]), np.array([x[1] for x in e]), np.zeros(8, int), np.zeros(8, int))
+    label, a, b = stages(g)
+    assert label.tolist() == [2, 2, 2, 2, 1, 1, 0, 0] and list(zip(a, b, strict=True)) == [(2, 3)]
+    made = full_order(g, Splitter(params=SweepParams(q=2)))
+    assert sorted(made[:2]) == [6, 7] and sorted(made[2:4]) == [4, 5]
+
+
 def test_multilevel_balance():
     g = lattice(12)
     for eps in (0.0, 0.05, 0.3):
