@@ -63,6 +63,35 @@ def test_topk_is_exact(spark, kind):
     assert sorted(tuple(x) for x in got.collect()) == brute_top(whole, 10)
 
 
+def test_topk_probes_few_rows():
+    """The threshold rises: rows are passed over, and of the others only part is probed, with exact results."""
+    r = np.random.default_rng(4)
+    centers = r.normal(size=(30, 32))
+    rows = np.floor(1024 * (centers[r.integers(0, 30, 6000)] + 0.3 * r.normal(size=(6000, 32)))).astype(np.int64)
+    ids = np.arange(6000)
+    shard = topk.Shard(ids, rows)
+    asked = range(0, 6000, 500)
+    for i in asked:
+        score = rows @ rows[i]
+        want = np.lexsort((ids[ids != i], -score[ids != i]))[:10]
+        found, got = shard.search(rows[i], i, 10)
+        assert found.tolist() == ids[ids != i][want].tolist() and got.tolist() == score[ids != i][want].tolist()
+    n = len(asked) * 6000
+    assert shard.work[0] == n and shard.work[1] < 0.5 * n and shard.work[2] < 0.8 * n * 32
+    # a threshold from elsewhere leaves out only what is below it
+    _, got = shard.search(rows[0], 0, 10, least=int(np.sort(rows[1:] @ rows[0])[-4]))
+    assert got.tolist()[:4] == sorted((rows[1:] @ rows[0]).tolist(), reverse=True)[:4]
+
+
+def test_topk_of_large_numbers(spark):
+    """Products beyond 2**53 are summed as longs."""
+    r = np.random.default_rng(8)
+    rows = [(i, [int(x) for x in v]) for i, v in enumerate(r.integers(-(2**30), 2**30, (300, 6)))]
+    df = spark.createDataFrame(rows, "id long, v array<long>")
+    got = topk.search(df, df.filter("id % 100 = 0"), 10, shard_rows=60, block_rows=2)
+    assert sorted(tuple(x) for x in got.collect()) == brute_top(rows, 10)
+
+
 def test_topk_empty(spark):
     df = topk.scaled(spark.createDataFrame([], "id long, e array<float>"), "id", "e", 1024)
     assert topk.search(df, df, 10).count() == 0
@@ -151,6 +180,55 @@ def test_lines_are_reversible(docs):
     assert sorted(map(tuple, undone.collect())) == sorted(map(tuple, whole.collect()))
 
 
+@pytest.mark.parametrize("most", [1_000_000, 0])
+def test_one_document_keeps_a_line(spark, docs, most):
+    """keep="first": every frequent line stays in one document, of exact copies in one and the same; equal rows keep it together."""
+    copies = "a first line\nand a second one\n\nthird"
+    more = spark.createDataFrame([(300 + i, copies, None, None, 1, "", "", "", "") for i in range(14)], SCHEMA)
+    rows = line_dedup.dedup_lines(docs.unionByName(more), 10, keep="first", broadcast_keys=most).collect()
+    whole = [r for r in rows if r.doc_id >= 300]
+    assert sorted(r.kept for r in whole) == [""] * 13 + [copies]
+    assert all(r.n_lines == 4 and r.n_dropped == (0 if r.kept else 3) for r in whole)
+    shared = [r for r in rows if r.doc_id < 300 and any(x.strip().lower() == "shared line" for x in r.kept.split("\n"))]
+    assert len(shared) == 1
+    assert sum("shared line" in (r.text or "").lower() for r in rows) == 12
+
+
+def test_filters_follow_documents(spark, docs, monkeypatch):
+    """Inserted and deleted documents change only the shards of keys that cross the threshold, and the changed filters are as good as new ones."""
+    monkeypatch.setattr(line_dedup, "SHARD_KEYS", 16)
+    lines = [f"line number {i}" for i in range(200)]
+    first = spark.createDataFrame([(i, "\n".join(rng.sample(lines, 60))) for i in range(30)], "doc_id long, text string")
+    gone = first.filter("doc_id < 6")
+    before = line_dedup.stored(line_dedup.line_counts(first), "counts")
+    bits = line_dedup.shard_bits(before.filter("n >= 8").count())
+    assert bits >= 3
+    filters = line_dedup.stored(line_dedup.build_filters(before.filter("n >= 8"), bits), "filters")
+    after = line_dedup.stored(line_dedup.apply_changes(before, inserted=None, deleted=gone), "counts")
+    changed = line_dedup.stored(line_dedup.change_filters(filters, bits, before, after, 8), "filters")
+    h = lambda t, least: np.array([r.h1 for r in t.filter(f"n >= {least}").collect()], np.int64).view(np.uint64)
+    known = lambda f: line_dedup.Known(bits, {r.shard: line_dedup.CuckooFilter.from_bytes(r.filter) for r in f.collect()}, *[np.zeros(0, np.uint64)] * 2, np.zeros(0, np.int64))
+    now, was = h(after, 8), h(before, 8)
+    fell = np.setdiff1d(was, now)
+    assert len(fell) and known(changed).may_hold(now).all() and known(changed).may_hold(fell).mean() < 0.1 and known(filters).may_hold(fell).all()
+    touched = {int(x >> np.uint64(16)) & ((1 << bits) - 1) for x in np.setxor1d(was, now).tolist() for x in [np.uint64(x)]}
+    old, new = ({r.shard: bytes(r.filter) for r in f.collect()} for f in (filters, changed))
+    assert {s for s in new if new[s] != old.get(s)} <= touched
+    # the scan asks the kept filters on both paths
+    rest = first.filter("doc_id >= 6")
+    want = brute_lines([r.text for r in rest.orderBy("doc_id").collect()], 8)
+    for most in (1_000_000, 0):
+        got = line_dedup.drop_frequent(rest, after, 8, broadcast_keys=most, filters=changed, bits=bits).orderBy("doc_id").collect()
+        assert [(r.n_lines, r.kept) for r in got] == want
+
+
+def test_long_lines_are_counted_in_parts(spark, monkeypatch):
+    monkeypatch.setattr(line_dedup, "HELD_BYTES", 1000)
+    df = spark.createDataFrame([(i, "x" * 5000 + "\n" + "y" * (900 + i % 2)) for i in range(12)], "doc_id long, text string").repartition(2)
+    assert sorted(r.n for r in line_dedup.line_counts(df).collect()) == [6, 6, 12]
+    assert {r.kept for r in line_dedup.dedup_lines(df, 7).collect()} == {"y" * 900, "y" * 901}
+
+
 def test_cuckoo_filter_inserts_and_deletes():
     r = np.random.default_rng(1)
     h = r.integers(0, 1 << 63, 5000, dtype=np.uint64)
