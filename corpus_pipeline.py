@@ -6,11 +6,13 @@ Between stages the documents are a Parquet table in the shared folder, so a lost
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cutline.llm import language, line_dedup, mixing, near_dup, packing
-from cutline.llm.common import stored, table
+from cutline.llm.common import shared_folder, stored, table, written
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -72,8 +74,11 @@ STAGES = [
 ORACLE_SQL = None
 
 
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+def run(spark: SparkSession, sf_dir: str, folder: str | None = None) -> DataFrame:
+    """The packed pieces of all documents. Each stage's documents are a table in `folder`, a new one of the shared folder if none is given; a run that is started again with the
+    folder of an earlier one goes on after that one's last finished stage. What a stage stores on its way is removed when its documents are written."""
+    folder = folder or f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     docs = table(spark, sf_dir, "documents")
-    for name, stage in STAGES[:-1]:
-        docs = stored(stage(spark, docs, sf_dir), f"pipeline-{name}")
+    for number, (name, stage) in enumerate(STAGES[:-1]):
+        docs = written(lambda stage=stage, docs=docs: stage(spark, docs, sf_dir), spark, f"{folder}/{number}-{name}")
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -19,10 +19,13 @@ WORD = "[^\\x20\\x09-\\x0D]+"
 
 #: Rows of a small table (a row per language, source or cell) that a broadcast may hold.
 BROADCAST_ROWS = 200_000
+#: Rows that one window of `numbered` ranks at most, about.
+PART_ROWS = 100_000
 #: Bytes of an Arrow batch that a Python worker takes up at once; a single longer row is a batch of its own.
 BATCH_BYTES = 4_000_000
 
 _own_folder: list[str] = []
+_made: list[str] = []  # folders of stored tables, as far as they are known to be there
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -46,9 +49,37 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _made.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _path(spark: SparkSession, path: str):
+    file = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return file, file.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf())
+
+
+@contextlib.contextmanager
+def scratch(spark: SparkSession):
+    """Removes the tables that were stored inside when it ends: for steps whose result has been written elsewhere by then."""
+    mark = len(_made)
+    try:
+        yield
+    finally:
+        for path in _made[mark:]:
+            file, system = _path(spark, path)
+            system.delete(file, True)
+        del _made[mark:]
+
+
+def written(df: Callable[[], DataFrame], spark: SparkSession, path: str) -> DataFrame:
+    """The table at path; if a run has not finished writing it, df() is written there first. What df() stores on its way is removed."""
+    file, system = _path(spark, f"{path}/_SUCCESS")
+    if not system.exists(file):
+        with scratch(spark):
+            df().write.mode("overwrite").parquet(path)
+    return spark.read.parquet(path)
+
+
 def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
     """A stored table for a join: with a broadcast hint while it has at most `rows` rows, else as it is, so that the join is shuffled."""
     return F.broadcast(df) if df.count() <= rows else df
@@ -56,10 +87,9 @@ def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
 
 def discard(df: DataFrame) -> None:
     """Removes the files of a stored table that nothing reads any more."""
-    jvm = df.sparkSession._jvm
-    for file in {f.rpartition("/")[0] for f in df.inputFiles()}:
-        path = jvm.org.apache.hadoop.fs.Path(file)
-        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+    for folder in {f.rpartition("/")[0] for f in df.inputFiles()}:
+        file, system = _path(df.sparkSession, folder)
+        system.delete(file, True)
 
 
 def pieces_of(batch: pa.RecordBatch, most: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:
@@ -94,19 +124,24 @@ def text_key(col: Column) -> Column:
     return F.coalesce(F.concat(F.lit("k"), col.cast("string")), F.lit("n"))
 
 
-def numbered(df: DataFrame, group: list[str], order: list[str], name: str, digits: int = 2) -> DataFrame:
+def numbered(df: DataFrame, group: list[str], order: list[str], name: str, part_rows: int = PART_ROWS) -> DataFrame:
     """Adds gapless numbers from 0 within each group, without one task for a whole group.
 
-    A group is cut into 16**digits parts by the md5 of its first order column. The parts are counted
+    A group is cut into a power of 16 of parts by the md5 of its order columns, so many that a group of all rows would have parts of at most
+    about part_rows rows. The parts are counted
     (a map-side combined aggregate), running totals of the counts give each part its first number, and
     rows are numbered inside their part only. The order is (part, order columns); rows equal in all of
     these are interchangeable. Nulls in the group columns form a group.
     """
+    digits = 1
+    rows = df.count()
+    while rows > part_rows * 16**digits:
+        digits += 1
     cell = lambda c: F.col("row")[c]  # noqa: E731  the input's columns stay in a struct, so that names can't clash
     marks = [f"group{i}" for i in range(len(group))]
     keyed = df.select(
         F.struct(*[F.col(c) for c in df.columns if c != name]).alias("row"),
-        F.substring(F.md5(text_key(F.col(order[0]))), 1, digits).alias("part"),
+        F.substring(F.md5(F.concat_ws("\x01", *[text_key(F.col(c)) for c in order])), 1, digits).alias("part"),
         *[text_key(F.col(c)).alias(mark) for mark, c in zip(marks, group, strict=True)],
     )
     before = Window.partitionBy(*marks).orderBy("part").rowsBetween(Window.unboundedPreceding, -1)

@@ -62,5 +62,5 @@ def op2_rendezvous(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.crc32(F.coalesce(raw, F.encode(F.lit(""), "UTF-8"))).cast("long").alias("text_crc32"),
     )
     placed = shard_records(shard_records(sized, "doc_id", [1.0] * n), "doc_id", [1.0] * (n + 1), "grown_shard")
-    slotted = numbered(placed, ["shard"], ["doc_id", "size", "text_crc32"], "slot", digits=1)
+    slotted = numbered(placed, ["shard"], ["doc_id", "size", "text_crc32"], "slot")
     return slotted.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")

@@ -386,3 +386,31 @@ def test_pipeline_by_stages(spark, odd, none):
     last = stages["packing"](spark, fourth, odd).collect()
     assert Counter(r.doc_id for r in last if r.start == 0) == Counter(r.doc_id for r in fourth.collect())
     assert pipe.run(spark, none).count() == 0
+
+
+def test_pipeline_goes_on_and_cleans_up(spark, odd, tmp_path, monkeypatch):
+    """A run that fails in a stage leaves the stages before it, which the next run takes up; intermediate tables go with their stage."""
+    import os
+
+    import corpus_pipeline as pipe
+    from cutline.llm import common
+
+    calls = []
+    plain = {"language_id": lambda s, d, f: common.stored(d.limit(30), "some").select("doc_id", "text"), "line_dedup": lambda s, d, f: d.filter("doc_id is not null")}
+
+    def step(name):
+        def run(s, docs, sf_dir):
+            calls.append(name)
+            if name == "line_dedup" and calls.count(name) == 1:
+                raise RuntimeError("lost")
+            return plain[name](s, docs, sf_dir)
+
+        return run
+
+    monkeypatch.setattr(pipe, "STAGES", [("language_id", step("language_id")), ("line_dedup", step("line_dedup")), ("packing", lambda s, d, f: d)])
+    before = len(common._made)
+    with pytest.raises(RuntimeError):
+        pipe.run(spark, odd, str(tmp_path))
+    done = pipe.run(spark, odd, str(tmp_path))
+    assert calls == ["language_id", "line_dedup", "line_dedup"] and done.filter("doc_id is null").count() == 0
+    assert len(common._made) == before and sorted(os.listdir(tmp_path)) == ["0-language_id", "1-line_dedup"]
