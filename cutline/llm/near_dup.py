@@ -49,7 +49,7 @@ PILE = 256
 #: Piles that the rows of one set or component are dealt to when they get its id.
 SALTS = 16
 #: Shingles whose hash ends in so many zero bits are counted in all documents, for cost estimates; more bits where more than MAX_SAMPLED of them stand in two documents or more.
-SAMPLE_BITS, MAX_SAMPLED = 5, 500_000
+SAMPLE_BITS, MAX_SAMPLED = 5, 100_000
 #: Shingles that a task holds before it counts them.
 HELD_SHINGLES = 1_000_000
 MOST_MATCHES = 4
@@ -125,7 +125,8 @@ def describe_docs(docs: DataFrame, key: str, text: str) -> tuple[DataFrame, List
     bits = next(b for b, t in levels.items() if b == max(levels) or t.count() <= MAX_SAMPLED)
     sampled = levels[bits].toPandas()
     by = np.argsort(of(sampled, "h").view(np.uint64))
-    known = Lists(of(frequent, "h").view(np.uint64)[order], of(frequent, "n")[order], of(sampled, "h").view(np.uint64)[by], of(sampled, "n")[by], (1 << bits) - 1, float(whole.others or 0) / max(1, whole.n or 0))
+    short = lambda x: np.minimum(x, 1 << 30).astype(np.int32)
+    known = Lists(of(frequent, "h").view(np.uint64)[order], short(of(frequent, "n")[order]), of(sampled, "h").view(np.uint64)[by], short(of(sampled, "n")[by]), (1 << bits) - 1, float(whole.others or 0) / max(1, whole.n or 0))
     return both.filter("kind = 0").select("key", "n", F.col("h").alias("rid")), known
 
 
@@ -288,7 +289,8 @@ def candidates(posts: DataFrame, long: int = LONG) -> DataFrame:
             last, rest = rest, None
             yield from process(*last, True)
 
-    dealt = posts.repartition("token", "pile").sortWithinPartitions("token", "pile", "meta", "rid")
+    # by rarity and size, then set: positions would give lists of the same sets different hubs
+    dealt = posts.repartition("token", "pile").sortWithinPartitions("token", "pile", F.shiftright("meta", _POS + _L), "rid")
     return in_arrow(dealt, run, "pair boolean, token long, a long, meta_a long, b long, meta_b long, c long, every long")
 
 
@@ -398,7 +400,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", lo
     swap = F.col("a") > F.col("b")
     # the hubs of a shingle's piles meet the first of them
     piles = listed.groupBy("token", "b").agg(F.first("meta_b").alias("meta_b"))
-    top = piles.groupBy("token").agg(F.min(F.struct("meta_b", "b")).alias("top"), F.count("*").alias("piles")).filter("piles > 1")
+    top = piles.groupBy("token").agg(F.min(F.struct(F.shiftright("meta_b", _POS + _L).alias("head"), "b", "meta_b")).alias("top"), F.count("*").alias("piles")).filter("piles > 1")
     between = piles.join(top, "token").select("token", F.col("b").alias("a"), F.col("meta_b").alias("meta_a"), F.col("top.b").alias("b"), F.col("top.meta_b").alias("meta_b"))
     hubs = listed.select(between.columns).unionByName(between).filter((F.col("a") != F.col("b")) & _competing(F.col("meta_a"), F.col("meta_b"))).select(
         F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), *[F.when(swap, F.col(y)).otherwise(F.col(x)).alias(x) for x, y in (("meta_a", "meta_b"), ("meta_b", "meta_a"))],
