@@ -45,7 +45,7 @@ THRESHOLD = 0.15
 BROADCAST_PATHS = 200_000
 #: Repeated pages whose digests a broadcast may hold (about 40 bytes each); beyond it pages find their number of copies by a shuffled join.
 BROADCAST_COPIES = 500_000
-#: Keys that the copies of one page are dealt to in that join.
+#: Keys that the copies of one page, or the pages of one host, are dealt to in joins.
 SALTS = 16
 
 # Element kinds of HTML.
@@ -363,8 +363,12 @@ def extract(pages: DataFrame, url: str = "url", page: str = "html", threshold: f
     low = stored(low_branches(stored(style_tree(pages, url, page), "style-tree"), threshold), "low-branches")
     names = [c for c in pages.columns if c not in ("text", "n_chars")]
     packed = pages.select(F.struct(*names).alias("row"), F.col(page).cast("string").alias("page"), _host(url).alias("host"))
-    small = (low.agg(F.sum(F.size("low"))).first()[0] or 0) <= BROADCAST_PATHS
-    joined = packed.join(F.broadcast(low) if small else low, "host", "left").drop("host")
+    if (low.agg(F.sum(F.size("low"))).first()[0] or 0) <= BROADCAST_PATHS:
+        joined = packed.join(F.broadcast(low), "host", "left").drop("host")
+    else:
+        # a host may have a third of all pages
+        salts = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long")))
+        joined = packed.withColumn("salt", F.pmod(F.xxhash64("page"), F.lit(SALTS))).join(low.withColumn("salt", salts), ["host", "salt"], "left").drop("host", "salt")
 
     def run(batches):
         for batch in batches:

@@ -373,7 +373,7 @@ def test_main_text_of_wrappers(spark):
     assert {r.page_id: r.text for r in got} == dict(enumerate(own))
 
 
-def test_the_style_tree_decides(spark):
+def test_the_style_tree_decides(spark, monkeypatch):
     """No article elements, class names of no list: same words and same shapes go by entropy alone, with and without the priors."""
     own = [words(25) for _ in range(12)]
     rows = []
@@ -386,6 +386,9 @@ def test_the_style_tree_decides(spark):
     got = texts()
     assert all(t.split("\n\n")[0] == own[i] and len(t.split("\n\n")) == 1 + i % 4 for i, t in got.items())
     assert texts(roles=False) == got
+    with monkeypatch.context() as m:
+        m.setattr(html_text, "BROADCAST_PATHS", 0)
+        assert texts() == got
     assert all("Contact us" in t and "All rights" in t and "small files" in t for t in texts(threshold=0.0).values())
 
 
