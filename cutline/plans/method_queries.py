@@ -67,7 +67,7 @@ def _checked(graph, name, splitter=None):
 
 for _name in ("SP4", "SP8", "SP12", "SP16", "PP3", "PP20"):
     query(f"{_name.lower()}_front", zeros(_CHECKS, f"select count(*) from ({CUST_N}) n"))(_checked("cust", _name))
-query("pp100_front", zeros(_CHECKS, f"select count(*) from ({graphs.duck('supp', 'nodes')}) n"))(_checked("supp", "PP100"))
+query("pp100_front", zeros(_CHECKS, f"select count(*) from ({CUST_N}) n"))(_checked("cust", "PP100"))
 query("bandflow_front", zeros(_CHECKS, f"select count(*) from ({CUST_N}) n"))(_checked("cust", "BF"))
 query("sp8_front_emb", zeros(_CHECKS, f"select count(*) from ({EMB_N}) n"))(_checked("emb", "SP8"))
 query("cut_schedule_front", zeros(_CHECKS, f"select count(*) from ({CUST_N}) n"))(_checked("cust", "SP4", order.Splitter("sweep", SweepParams(q=4), schedule="cut")))
