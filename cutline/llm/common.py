@@ -23,6 +23,7 @@ BROADCAST_ROWS = 200_000
 PART_ROWS = 100_000
 #: Bytes of an Arrow batch that a Python worker takes up at once; a single longer row is a batch of its own.
 BATCH_BYTES = 4_000_000
+BATCH_SETTING, BATCH_DEFAULT = "spark.sql.execution.arrow.maxBytesPerBatch", "67108864b"
 
 _own_folder: list[str] = []
 _made: list[str] = []  # folders of stored tables, as far as they are known to be there
@@ -106,7 +107,11 @@ def pieces_of(batch: pa.RecordBatch, most: int = BATCH_BYTES) -> Iterator[pa.Rec
 
 def in_arrow(df: DataFrame, run: Callable, schema, most: int = BATCH_BYTES) -> DataFrame:
     """df.mapInArrow(run, schema) with bounded memory: run sees batches of at most `most` bytes, and as Spark keeps its Python
-    workers from stage to stage, a task gives back what it has freed when it ends."""
+    workers from stage to stage, a task gives back what it has freed when it ends. Where the session has Spark's default for the bytes
+    of a batch that it sends to Python, it gets BATCH_BYTES, as either side holds a whole batch."""
+    conf = df.sparkSession.conf
+    if conf.get(BATCH_SETTING, None) == BATCH_DEFAULT:
+        conf.set(BATCH_SETTING, f"{BATCH_BYTES}b")
 
     def bounded(batches):
         try:

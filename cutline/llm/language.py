@@ -35,7 +35,7 @@ PROBE_SHIFT = 22
 #: Slots of a filter that one row holds while filters are put together.
 PART_SLOTS = 1 << 16
 #: Counts that a training task holds before it passes them on.
-HELD_GRAMS = 2_000_000
+HELD_GRAMS = 1_000_000
 
 
 def gram_counts(rows: DataFrame) -> DataFrame:

@@ -51,7 +51,7 @@ SALTS = 16
 #: Shingles whose hash ends in so many zero bits are counted in all documents, for cost estimates; more bits where more than MAX_SAMPLED of them stand in two documents or more.
 SAMPLE_BITS, MAX_SAMPLED = 5, 100_000
 #: Shingles that a task holds before it counts them.
-HELD_SHINGLES = 1_000_000
+HELD_SHINGLES = 500_000
 MOST_MATCHES = 4
 CHECK_COST = 20.0
 #: Sets of candidate pairs whose ids a broadcast may hold (about 40 bytes each); beyond it their texts are found by a shuffled join.

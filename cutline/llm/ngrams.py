@@ -13,7 +13,7 @@ FOLD = np.array([b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b >= 128 el
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
-def chunks(column: pa.Array, most: int = 1_000_000) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+def chunks(column: pa.Array, most: int = 500_000) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """(bytes, starts, ends) for runs of rows with about `most` bytes; each text is lower-cased, folded, and stands between
     spaces. A single text longer than that makes a run of its own. Nulls are empty texts."""
     lowered = pc.utf8_lower(column.cast(pa.large_string()).fill_null(""))
