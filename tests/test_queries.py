@@ -177,15 +177,14 @@ def test_block_flow_equals_task_flow(spark):
     g, e = _lattice(spark, 6, 5)
     u, v = np.array(e).T
     ids = lambda x: spark.createDataFrame([(i,) for i in x], "node_id long")
-    for s, t in (([0, 6, 12], [29, 23]), ([14], [0, 5, 24, 29])):
+    for s, t, forward in (([0, 6, 12], [29, 23], True), ([14], [0, 5, 24, 29], False)):
         net = Net.undirected(30, u, v)
         value = max_flow(net, s, t)
-        for forward in (True, False):
-            blocks = flow.BlockNet.of(g, table_cutter.undirected(g), 12)
-            assert blocks.places.select("block").distinct().count() > 1
-            units, _ = blocks.augment(ids(s if forward else t), ids(t if forward else s), forward)
-            assert units == value
-            assert all(x.violations == 0 for x in flow.flow_violations(blocks.state(), table_cutter.undirected(g), ids(s), ids(t)).collect())
-            for seeds, way in ((s, True), (t, False)):
-                marks = net.reach(seeds, way)[0]
-                assert {x.node_id for x in blocks.reach(ids(seeds), way)[0].collect()} == {i for i in range(30) if marks[i]}
+        blocks = flow.BlockNet.of(g, table_cutter.undirected(g), 12)
+        assert blocks.places.select("block").distinct().count() > 1
+        units, _ = blocks.augment(ids(s if forward else t), ids(t if forward else s), forward)
+        assert units == value
+        assert all(x.violations == 0 for x in flow.flow_violations(blocks.state(), table_cutter.undirected(g), ids(s), ids(t)).collect())
+        for seeds, way in ((s, True), (t, False)):
+            marks = net.reach(seeds, way)[0]
+            assert {x.node_id for x in blocks.reach(ids(seeds), way)[0].collect()} == {i for i in range(30) if marks[i]}
