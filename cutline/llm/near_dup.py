@@ -17,7 +17,9 @@ that its own two sizes give.
    about PILE sets, each with its hub, and the hubs of a shingle's piles are paired with the first of them, so that no list is one task.
 3. Pairs are checked exactly on whole texts, and links are contracted to components.
 4. In long lists, sets outside the list's largest component are paired with the sets of other components, by size class, where one
-   of their first shingles meets (L = 1: longer prefixes would meet everywhere in such lists), and are checked as well. Sets of one component need no further check, so
+   of their first shingles meets (L = 1: longer prefixes would meet everywhere in such lists), and are checked as well. Every set has a bitmap of
+   its shingles' hashes, and a bit that only one of two sets has stands for a shingle that they don't share; pairs that share too few for
+   that reason are left out of the join itself. Sets of one component need no further check, so
    a group of copies never gives all its pairs; no link between different components is lost.
 
 `near_duplicates` finds components and needs no more links than join them; `similar_pairs` finds every link between different
@@ -50,6 +52,8 @@ PILE = 256
 SALTS = 16
 #: Shingles whose hash ends in so many zero bits are counted in all documents, for cost estimates; more bits where more than MAX_SAMPLED of them stand in two documents or more.
 SAMPLE_BITS, MAX_SAMPLED = 5, 100_000
+#: Longs of a set's bitmap.
+BITMAP = 8
 #: Shingles that a task holds before it counts them.
 HELD_SHINGLES = 500_000
 MOST_MATCHES = 4
@@ -59,6 +63,8 @@ BROADCAST_SETS = 1_000_000
 #: Size classes of the join within long lists: ratio of successive bounds.
 CLASS_RATIO = 1.34
 
+MARKS = [f"m{i}" for i in range(BITMAP)]
+
 _N, _POS, _L = 26, 24, 3  # bits of a posting's size, position and matches; its rarity is above them
 
 
@@ -84,8 +90,15 @@ class Lists:
         return float(np.where(self.sampled[at] == own, self.lengths[at] - 1, 0).mean())
 
 
+def bitmap(s: np.ndarray) -> bytes:
+    """A bit for each shingle, by the high bits of its hash."""
+    marks = np.zeros(64 * BITMAP, np.uint8)
+    marks[(s >> np.uint64(40)) % np.uint64(64 * BITMAP)] = 1
+    return np.packbits(marks).tobytes()
+
+
 def describe_docs(docs: DataFrame, key: str, text: str) -> tuple[DataFrame, Lists]:
-    """(key, n, rid) of each row, and the lengths of lists."""
+    """(key, n, rid, m0 ...: the bitmap) of each row, and the lengths of lists."""
     low = np.uint64((1 << SAMPLE_BITS) - 1)
 
     def run(batches):
@@ -96,25 +109,28 @@ def describe_docs(docs: DataFrame, key: str, text: str) -> tuple[DataFrame, List
             own, part = c > 1, (u & low) == 0
             n = int(own.sum()), int(part.sum())
             kinds = np.repeat(np.array([1, 2], np.int32), n)
-            return pa.RecordBatch.from_arrays([pa.nulls(sum(n), kind), pa.array(np.concatenate([c[own], c[part]]).astype(np.int64)), pa.array(np.concatenate([u[own], u[part]]).view(np.int64)), pa.array(kinds)], names)
+            none = [pa.nulls(sum(n), pa.int64())] * BITMAP
+            return pa.RecordBatch.from_arrays([pa.nulls(sum(n), kind), pa.array(np.concatenate([c[own], c[part]]).astype(np.int64)), pa.array(np.concatenate([u[own], u[part]]).view(np.int64)), pa.array(kinds), *none], names)
 
-        names, kind = ["key", "n", "h", "kind"], None
+        names, kind = ["key", "n", "h", "kind", *MARKS], None
         for batch in batches:
-            kind, n, rid = batch.schema.field(0).type, [], []
+            kind, n, rid, marks = batch.schema.field(0).type, [], [], []
             for s in sets(batch.column(1)):
                 n.append(len(s))
                 rid.append(signature(s) if len(s) else None)
+                marks.append(bitmap(s))
                 held.append(s)
                 size += len(s)
                 if size > HELD_SHINGLES:
                     yield flush()
                     held, size = [], 0
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(rid, pa.int64()), pa.array(np.zeros(len(n), np.int32))], names)
+            bits = np.frombuffer(b"".join(marks), np.int64).reshape(-1, BITMAP)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(rid, pa.int64()), pa.array(np.zeros(len(n), np.int32)), *[pa.array(bits[:, i].copy()) for i in range(BITMAP)]], names)
         if kind is not None:
             yield flush()
 
     type_ = docs.schema[key].dataType.simpleString()
-    both = stored(in_arrow(docs.select(F.col(key).alias("key"), F.col(text).cast("string")), run, f"key {type_}, n long, h long, kind int"), "sets")
+    both = stored(in_arrow(docs.select(F.col(key).alias("key"), F.col(text).cast("string")), run, f"key {type_}, n long, h long, kind int, " + ", ".join(f"{m} long" for m in MARKS)), "sets")
     frequent = both.filter("kind = 1").groupBy("h").agg(F.sum("n").alias("n")).filter(F.col("n") >= FREQUENT).orderBy(F.desc("n"), "h").limit(MAX_FREQUENT).toPandas()
     of = lambda t, c: t[c].to_numpy(np.int64)
     order = np.argsort(of(frequent, "h").view(np.uint64))
@@ -127,7 +143,7 @@ def describe_docs(docs: DataFrame, key: str, text: str) -> tuple[DataFrame, List
     by = np.argsort(of(sampled, "h").view(np.uint64))
     short = lambda x: np.minimum(x, 1 << 30).astype(np.int32)
     known = Lists(of(frequent, "h").view(np.uint64)[order], short(of(frequent, "n")[order]), of(sampled, "h").view(np.uint64)[by], short(of(sampled, "n")[by]), (1 << bits) - 1, float(whole.others or 0) / max(1, whole.n or 0))
-    return both.filter("kind = 0").select("key", "n", F.col("h").alias("rid")), known
+    return both.filter("kind = 0").select("key", "n", F.col("h").alias("rid"), *MARKS), known
 
 
 def prefix(s: np.ndarray, known: Lists) -> tuple[np.ndarray, np.ndarray, int, int]:
@@ -312,7 +328,7 @@ def _competing(a: Column, b: Column) -> Column:
 def verified(pairs: DataFrame, docs: DataFrame, described: DataFrame, key: str, text: str) -> DataFrame:
     """The pairs (a, b) whose whole sets have the wanted similarity."""
     needed = pairs.select(F.col("a").alias("rid")).union(pairs.select("b")).distinct()
-    first = described.filter("rid is not null").groupBy("rid").agg(F.min("key").alias("r"))  # before the join, as a set may have many copies
+    first = described.select("rid", "key").filter("rid is not null").groupBy("rid").agg(F.min("key").alias("r"))  # before the join, as a set may have many copies
     reps = stored(first.join(needed, "rid"), "pair-docs")
 
     def shingled(batches):
@@ -359,17 +375,27 @@ def components(links: DataFrame) -> DataFrame:
         labels = new.select("rid", "comp")
 
 
-def _cross(listed: DataFrame, labels: DataFrame) -> DataFrame:
-    """a, b, meta_a, meta_b: pairs of sets of different components that share one of their first shingles in a long list."""
-    known = listed.select("token", F.col("a").alias("rid"), F.col("meta_a").alias("meta")).join(labels, "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
+def _alike(one: str, other: str) -> Column:
+    """Whether the bitmaps of two sets (struct columns bits_<name> and metas m<name>) let them share what their sizes ask for."""
+    na, nb = _size(F.col(f"m{one}")), _size(F.col(f"m{other}"))
+    req = F.ceil((na + nb) * NUMERATOR / (NUMERATOR + DENOMINATOR))
+    alone = lambda p, q: sum((F.bit_count(F.col(f"bits_{p}.{m}").bitwiseAND(F.bitwise_not(F.col(f"bits_{q}.{m}")))) for m in MARKS), F.lit(0))
+    return (na - alone(one, other) >= req) & (nb - alone(other, one) >= req)
+
+
+def _cross(listed: DataFrame, labels: DataFrame, described: DataFrame) -> DataFrame:
+    """a, b, meta_a, meta_b: pairs of sets of different components that share one of their first shingles in a long list, and whose bitmaps don't keep them apart."""
+    inside = listed.select(F.col("a").alias("rid")).distinct()
+    bits = described.filter("rid is not null").groupBy("rid").agg(*[F.first(m).alias(m) for m in MARKS]).join(inside, "rid").select("rid", F.struct(*MARKS).alias("bits"))
+    known = listed.select("token", F.col("a").alias("rid"), F.col("meta_a").alias("meta")).join(labels, "rid", "left").join(bits, "rid").withColumn("comp", F.coalesce("comp", "rid"))
     known = stored(known.withColumn("class", F.floor(F.log(_size(F.col("meta")).cast("double")) / float(np.log(CLASS_RATIO))).cast("int")), "long-lists")
     most = known.groupBy("token", "comp").agg(F.count("*").alias("n")).groupBy("token").agg(F.max(F.struct("n", "comp"))["comp"].alias("most"), F.count("*").alias("comps")).filter("comps > 1")
     minor = known.join(small(stored(most, "long-heads")), "token").filter("comp <> most")
     reach = int(np.ceil(np.log(DENOMINATOR / NUMERATOR) / np.log(CLASS_RATIO)))
-    probe = minor.select("token", F.col("rid").alias("x"), F.col("meta").alias("mx"), F.col("comp").alias("cx"), "most", F.explode(F.sequence(F.col("class") - reach, F.col("class") + reach)).alias("class"))
-    other = known.select("token", "class", F.col("rid").alias("y"), F.col("meta").alias("my"), F.col("comp").alias("cy"))
+    probe = minor.select("token", F.col("rid").alias("x"), F.col("meta").alias("mx"), F.col("comp").alias("cx"), F.col("bits").alias("bits_x"), "most", F.explode(F.sequence(F.col("class") - reach, F.col("class") + reach)).alias("class"))
+    other = known.select("token", "class", F.col("rid").alias("y"), F.col("meta").alias("my"), F.col("comp").alias("cy"), F.col("bits").alias("bits_y"))
     # of two minor sets each finds the other; the smaller id speaks
-    met = probe.join(other, ["token", "class"]).filter((F.col("cx") != F.col("cy")) & ((F.col("cy") == F.col("most")) | (F.col("x") < F.col("y"))) & _competing(F.col("mx"), F.col("my")))
+    met = probe.join(other, ["token", "class"]).filter((F.col("cx") != F.col("cy")) & ((F.col("cy") == F.col("most")) | (F.col("x") < F.col("y"))) & _competing(F.col("mx"), F.col("my")) & _alike("x", "y"))
     first = F.col("x") < F.col("y")
     pick = lambda a, b: F.when(first, F.col(a)).otherwise(F.col(b))
     both = met.select(pick("x", "y").alias("a"), pick("y", "x").alias("b"), pick("mx", "my").alias("meta_a"), pick("my", "mx").alias("meta_b"))
@@ -412,7 +438,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", lo
     links = verified(first, docs, described, key, text)
     labels = components(links)
     if not listed.isEmpty():
-        crossing = _cross(listed, labels).join(counted.select("a", "b", "c", "every"), ["a", "b"], "left")
+        crossing = _cross(listed, labels, described).join(counted.select("a", "b", "c", "every"), ["a", "b"], "left")
         second = _reachable(crossing, in_long).join(first, ["a", "b"], "left_anti")
         # what the first links have joined needs no check
         of = lambda c: labels.select(F.col("rid").alias(c), F.col("comp").alias(f"comp_{c}"))
@@ -423,7 +449,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", lo
     # copies of one set and members of one component are dealt over salts
     salt = F.pmod(F.xxhash64("key"), F.lit(SALTS))
     salted = lambda x: x.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
-    classed = described.withColumn("salt", salt).join(salted(labels), ["rid", "salt"], "left").withColumn("comp", F.coalesce("comp", "rid"))
+    classed = described.drop(*MARKS).withColumn("salt", salt).join(salted(labels), ["rid", "salt"], "left").withColumn("comp", F.coalesce("comp", "rid"))
     least = classed.filter("comp is not null").groupBy("comp").agg(F.min("key").alias("component_id"), F.count("*").alias("rows")).filter("rows > 1").drop("rows")
     out = classed.join(salted(least), ["comp", "salt"], "left")
     return out.select(F.col("key").alias(key), F.col("n").alias("n_shingles"), F.coalesce("component_id", "key").alias("component_id"))
