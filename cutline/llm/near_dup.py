@@ -55,7 +55,7 @@ SAMPLE_BITS, MAX_SAMPLED = 5, 100_000
 #: Longs of a set's bitmap.
 BITMAP = 8
 #: Shingles that a task holds before it counts them.
-HELD_SHINGLES = 500_000
+HELD_SHINGLES = 2_000_000
 MOST_MATCHES = 4
 CHECK_COST = 20.0
 #: Sets of candidate pairs whose ids a broadcast may hold (about 40 bytes each); beyond it their texts are found by a shuffled join.
