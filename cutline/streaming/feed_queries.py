@@ -28,9 +28,15 @@ def drained(df, mode="append"):
     spark = df.sparkSession
     out, state = (f"{shared_folder(spark)}/{k}-{uuid.uuid4().hex}" for k in ("feed", "feed-state"))
     if mode == "complete":
-        name = f"feed_{uuid.uuid4().hex}"
-        df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
-        return spark.table(name)
+        # each batch brings the whole result; it goes to a folder of its own, not through the driver
+        batches = []
+
+        def write(batch, number):
+            batch.write.mode("overwrite").parquet(f"{out}/batch={number}")
+            batches.append(number)
+
+        df.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
+        return spark.read.schema(df.schema).parquet(f"{out}/batch={batches[-1]}") if batches else spark.createDataFrame([], df.schema)
     df.writeStream.format("parquet").option("path", out).option("checkpointLocation", state).trigger(availableNow=True).outputMode(mode).start().awaitTermination()
     return spark.read.schema(df.schema).parquet(out)
 
