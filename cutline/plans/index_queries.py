@@ -149,10 +149,9 @@ def path_weights_supp(spark, sf_dir):
 
 @query("custom_rounds_supp", ORACLES["custom_w_supp"])
 def custom_rounds_supp(spark, sf_dir):
-    """Customization by joins over stored triangles."""
+    """Customization by rounds over blocks of ranks."""
     g, ranks, i = _built(spark, sf_dir)
-    triangles = kept(index.lower_triangles(i), "triangles")
-    return index.customize_rounds(i, ranks, graphs.metric(spark, sf_dir, "supp"), triangles)
+    return index.customize_rounds(i, ranks, graphs.metric(spark, sf_dir, "supp"))
 
 
 @query("lower_triangles_supp", f"with recursive {_BASE} select a.lo as low, a.hi as u, b.hi as v from i a join i b on a.lo = b.lo and a.hi < b.hi join i c on c.lo = a.hi and c.hi = b.hi")
