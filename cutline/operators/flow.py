@@ -92,7 +92,7 @@ def flow_violations(state: DataFrame, capacity: DataFrame, sources: DataFrame, t
 class BlockNet:
     """Residual arcs dealt to blocks, each of which a task can hold: the tier whose rounds are block crossings and not levels.
 
-    arcs: block, src, dst, res, cap; an arc between blocks is in both. places: block, node_id. Searches and paths run inside
+    arcs: block, src, dst, res, cap; an arc between blocks is in both. places: block, node_id. Searches run inside
     blocks in one task each and pass on what leaves them; the driver sees counts only."""
 
     TREE = "node_id long, depth long, via long, root long, block long"
@@ -109,15 +109,15 @@ class BlockNet:
         return cls(kept(arcs, "block-arcs"), places)
 
     def reach(self, seeds: DataFrame, forward: bool = True, closed: DataFrame | None = None, stop: DataFrame | None = None) -> tuple[DataFrame, bool]:
-        """node_id, depth, via, root, block of what residual arcs reach from seeds (or what reaches them) without entering `closed`; ends with the round that meets `stop`.
+        """node_id, depth, via, root, block of what residual arcs reach from seeds (or what reaches them) without entering `closed`. Roots whose trees meet `stop` grow no further.
 
         A node that two blocks reach in one round keeps the smaller depth, so parents are less deep than their children."""
         start = seeds.select("node_id", F.lit(0).cast("long").alias("depth"), F.lit(None).cast("long").alias("via"), F.col("node_id").alias("root"), F.lit(-1).cast("long").alias("block"))
         seen = news = kept(start.distinct(), "tree")
-        barred = None if closed is None else closed.select("node_id")
+        barred, met, rounds = None if closed is None else closed.select("node_id"), None, 0
         while True:
             asked = news.join(self.places.withColumnRenamed("block", "at"), "node_id").select("at", "node_id", "depth", "root", F.lit(True).alias("new"))
-            hit = kept(asked.select("at").distinct(), "blocks")
+            hit = asked.select("at").distinct()
             # what a block must not enter again
             old = (seen if barred is None else seen.select("node_id").unionByName(barred)).join(self.places.withColumnRenamed("block", "at"), "node_id").join(hit, "at", "left_semi")
             marks = asked.unionByName(old.select("at", "node_id", F.lit(0).cast("long").alias("depth"), F.lit(0).cast("long").alias("root"), F.lit(False).alias("new")))
@@ -126,23 +126,34 @@ class BlockNet:
             best = found.groupBy("node_id").agg(F.min(F.struct("depth", "via", "root", "block")).alias("t")).select("node_id", "t.*")
             news = kept(best.join(seen.select("node_id"), "node_id", "left_anti"), "tree")
             if news.isEmpty():
-                return seen, False
-            seen = kept(seen.unionByName(news), "tree")
-            if stop is not None and not news.join(stop, "node_id", "left_semi").isEmpty():
-                return seen, True
-
-    def paths(self, tree: DataFrame, ends: DataFrame) -> DataFrame:
-        """src, dst of the tree arcs that lead to ends. Blocks walk what is theirs and hand the rest on."""
-        at, out = kept(ends.select("node_id"), "walk"), None
-        links = tree.filter("via is not null").select("block", "node_id", "via")
-        while True:
-            here = kept(at.join(links, "node_id").select("block", "node_id"), "walk")
-            if here.isEmpty():
-                return out
-            walked = kept(links.groupBy("block").cogroup(here.groupBy("block")).applyInPandas(lambda t, x: _walk(t, x), "src long, dst long, last boolean"), "walk")
-            steps = walked.select("src", "dst")
-            out = steps if out is None else out.unionByName(steps)
-            at = walked.filter("last").select(F.col("src").alias("node_id")).distinct()
+                return seen, met is not None
+            rounds += 1
+            seen = seen.unionByName(news)
+            if rounds % 8 == 0:  # else plans grow with the rounds
+                seen = kept(seen, "tree")
+            if stop is not None:
+                hits = news.join(stop, "node_id", "left_semi").select("root").distinct()
+                hits = kept(hits if met is None else hits.unionByName(met), "met")
+                if met is not None or not hits.isEmpty():
+                    met, news = hits, news.join(hits, "root", "left_anti").select(news.columns)
+                    if news.isEmpty():
+                        return seen, True
+
+    def lifts(self, tree: DataFrame) -> list[DataFrame]:
+        """node_id, up: the ancestors 1, 2, 4 ... steps above, a root's being itself, so the last table has the roots. The tree's own roots may differ: a node's parent
+        can be found by another block in the same round, with a smaller depth and another root."""
+        up = kept(tree.select("node_id", F.coalesce("via", "node_id").alias("up"), "depth"), "lifts")
+        out, steps = [up.select("node_id", "up")], up.agg(F.max("depth").alias("d")).first().d or 0
+        for _ in range(max(0, steps - 1).bit_length()):
+            out.append(kept(out[-1].join(out[-1].select(F.col("node_id").alias("up"), F.col("up").alias("next")), "up").select("node_id", F.col("next").alias("up")), "lifts"))
+        return out
+
+    def paths(self, lifts: list[DataFrame], ends: DataFrame) -> DataFrame:
+        """src, dst of the tree arcs that lead to ends. A round doubles the steps that are known above each end."""
+        at = ends.select("node_id")
+        for up in lifts:
+            at = kept(at.unionByName(at.join(up, "node_id").select(F.col("up").alias("node_id"))).distinct(), "walk")
+        return at.join(lifts[0], "node_id").filter("up <> node_id").select(F.col("up").alias("src"), F.col("node_id").alias("dst"))
 
     def push(self, paths: DataFrame, forward: bool = True) -> None:
         """One unit along arcs src -> dst, or against them where the tree was found backward."""
@@ -159,8 +170,10 @@ class BlockNet:
             tree, found = self.reach(sources, forward, closed, targets)
             if not found:
                 return units, tree
-            ends = kept(tree.join(targets, "node_id", "left_semi").groupBy("root").agg(F.min(F.struct("depth", "node_id")).alias("e")).select("e.node_id"), "ends")
-            self.push(self.paths(tree, ends), forward)
+            lifts = self.lifts(tree)
+            top = lifts[-1].withColumnRenamed("up", "root")
+            ends = kept(tree.drop("root").join(targets, "node_id", "left_semi").join(top, "node_id").groupBy("root").agg(F.min(F.struct("depth", "node_id")).alias("e")).select("e.node_id"), "ends")
+            self.push(self.paths(lifts, ends), forward)
             units += ends.count()
 
     def state(self) -> DataFrame:
@@ -198,15 +211,3 @@ def _search(block: int, arcs: pd.DataFrame, marks: pd.DataFrame, forward: bool)
                     waiting.setdefault(d + 1, []).append(y)
     own = np.array(out, np.int64)
     return pd.DataFrame({"node_id": ids[own], "depth": np.array(depth, np.int64)[own], "via": ids[np.array(via, np.int64)[own]], "root": np.array(root, np.int64)[own], "block": block}) if out else pd.DataFrame(columns=names)
-
-
-def _walk(tree: pd.DataFrame, at: pd.DataFrame) -> pd.DataFrame:
-    """A block's part of paths toward their roots; `last` marks the arc whose tail another block goes on from."""
-    up = dict(zip(tree.node_id.tolist(), tree.via.tolist(), strict=True))
-    rows = []
-    for x in at.node_id.tolist():
-        while x in up:
-            v = int(up[x])
-            rows.append((v, x, v not in up))
-            x = v
-    return pd.DataFrame(rows, columns=["src", "dst", "last"])
